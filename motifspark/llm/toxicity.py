@@ -186,10 +186,10 @@ class Scorer:
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, score, n_sentences, offending (numbers of the sentences that score 0.5 or more)."""
-    shipped = docs.sparkSession.sparkContext.broadcast(model)  # MAX_FEATURES weights at most
+    shipped = docs.sparkSession.sparkContext.broadcast(tuple(model))  # MAX_FEATURES weights at most
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorer = Scorer(shipped.value)
+        scorer = Scorer(Model(*shipped.value))
         for batch in batches:
             for part in slices(batch, "text"):
                 rows = [scorer.document(t) for t in part.column(1).to_pylist()]
