@@ -144,14 +144,14 @@ def column_generation(demand: np.ndarray, gap: float = 5e-4, rounds: int = 3000)
         basis[s - 1, k] = m // s
     rows = sizes - 1
     inverse = np.diag(1.0 / (m // sizes))
-    x = inverse @ demand[rows]
-    for step in range(rounds):
+    x = demand[rows] / (m // sizes)
+    for _ in range(rounds):
         price = np.zeros(m)
         price[rows] = inverse.sum(axis=0)
         value, pattern = knapsack(price, m)
         if value <= 1 + gap:  # dividing the prices by value makes them feasible: the bound is x.sum() / value
             break
-        u = inverse @ pattern[rows]
+        u = (inverse * pattern[rows]).sum(axis=1)  # elementwise: threads of a linear algebra library would only contend here
         ok = u > 1e-9
         ratio = np.where(ok, x / np.where(ok, u, 1), np.inf)
         leave = int(ratio.argmin())
@@ -162,9 +162,6 @@ def column_generation(demand: np.ndarray, gap: float = 5e-4, rounds: int = 3000)
         inverse[leave] /= u[leave]
         others = np.arange(len(sizes)) != leave
         inverse[others] -= np.outer(u[others], inverse[leave])
-        if step % 200 == 199:
-            inverse = np.linalg.inv(basis[rows])
-            x = np.maximum(inverse @ demand[rows], 0)
     return basis.astype(np.int64), x
 
 
