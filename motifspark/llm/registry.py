@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from . import exact_dedup, packing, secret_scan, sharding, toxicity, url_rules
+from . import exact_dedup, jaccard_join, packing, secret_scan, sharding, toxicity, url_rules
 
 QUERIES = {
     "op2_secret_scan": secret_scan.query,
     "op3_hypergeometric_shards": sharding.query,
     "op4_toxicity": toxicity.query,
     "op5_exact_dedup": exact_dedup.query,
+    "op7_jaccard_join": jaccard_join.query,
     "op9_url_rules": url_rules.query,
     "op10_packing": packing.query,
 }
 SQL = {
     "op5_exact_dedup": exact_dedup.SQL,
+    "op7_jaccard_join": jaccard_join.SQL,
 }
