@@ -22,8 +22,10 @@ one by one.  An empty table gives no rows.  Extra columns are ignored.
 
 from __future__ import annotations
 
+import os
 import zlib
 from collections.abc import Iterator
+from itertools import chain, repeat
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +37,9 @@ from .arrow_text import slices, utf8
 from .common import Scratch, ranked
 
 LENGTH, GRAIN, END = 4096, 16, 2
-CACHE_WORDS, LONG_WORD = 150_000, 48
+CACHE_WORDS, LONG_WORD = 300_000, 48
+#: Bytes of text and new words that a worker encodes together; both bound its memory.
+ENCODE_BYTES, ENCODE_WORDS = 1 << 20, 4_000
 RANK_ROWS = 50_000
 
 
@@ -45,52 +49,66 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def ragged(flat: np.ndarray, start: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The runs flat[start[i]:start[i+1]] for i in which, one after the other, and their sizes."""
+    sizes = start[which + 1] - start[which]
+    ends = np.cumsum(sizes)
+    return flat[np.repeat(start[which] - (ends - sizes), sizes) + np.arange(sizes.sum())], sizes
+
+
 class Encoder:
-    """Token ids of many texts, word by word, with a bounded cache."""
+    """Token ids of many texts, word by word.
+
+    The cache has two generations: when the young one is full it becomes the old one, and
+    words found in the old one move over, so frequent words are never encoded again.
+    """
 
     def __init__(self, path: str):
+        os.environ["TOKENIZERS_PARALLELISM"] = "false"  # the cores are Spark's
         from tokenizers import Tokenizer
 
         self.t = Tokenizer.from_file(path)
-        self.clear()
+        self.old: tuple[dict[bytes, int], np.ndarray, np.ndarray] = ({}, np.zeros(0, dtype=np.int32), np.zeros(1, dtype=np.int64))
+        self.renew()
 
-    def clear(self) -> None:
+    def renew(self) -> None:
         self.at: dict[bytes, int] = {}
         self.ids, self.start = np.zeros(0, dtype=np.int32), np.zeros(1, dtype=np.int64)
 
+    def _append(self, flat: np.ndarray, sizes: np.ndarray) -> None:
+        self.ids, self.start = np.concatenate((self.ids, flat)), np.concatenate((self.start, self.start[-1] + np.cumsum(sizes)))
+
     def _learn(self, words: list[bytes]) -> None:
-        if words:
-            found = [e.ids for e in self.t.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)]
-            sizes = np.fromiter(map(len, found), dtype=np.int64, count=len(found))
-            flat = np.fromiter((i for x in found for i in x), dtype=np.int32, count=int(sizes.sum()))
-            self.ids, self.start = np.concatenate((self.ids, flat)), np.concatenate((self.start, self.start[-1] + np.cumsum(sizes)))
+        for k in range(0, len(words), ENCODE_WORDS):
+            found = [e.ids for e in self.t.encode_batch_fast([w.decode() for w in words[k : k + ENCODE_WORDS]], add_special_tokens=False)]
+            self._append(np.array(list(chain.from_iterable(found)), dtype=np.int32), np.array(list(map(len, found)), dtype=np.int64))
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and one offset more than there are texts."""
         if len(self.at) > CACHE_WORDS:
-            self.clear()
+            self.old = (self.at, self.ids, self.start)
+            self.renew()
         split = [x.split() for x in texts]
-        words = [w for x in split for w in x]
-        get = self.at.get
-        idx = np.fromiter((get(w, -1) for w in words), dtype=np.int64, count=len(words))
-        kept, once = len(self.start), {}
+        words = list(chain.from_iterable(split))
+        idx = np.fromiter(map(self.at.get, words, repeat(-1)), dtype=np.int64, count=len(words))
+        kept, many = len(self.start), False
         if len(new := np.flatnonzero(idx < 0)):
-            fresh = dict.fromkeys(words[k] for k in new.tolist())
-            short = [w for w in fresh if len(w) <= LONG_WORD]
-            self.at.update(zip(short, range(kept - 1, kept - 1 + len(short)), strict=True))
+            missing = [words[k] for k in new.tolist()]
+            fresh = list(dict.fromkeys(missing))
+            was = np.fromiter(map(self.old[0].get, fresh, repeat(-1)), dtype=np.int64, count=len(fresh))
+            moved, unknown = [fresh[k] for k in np.flatnonzero(was >= 0)], [fresh[k] for k in np.flatnonzero(was < 0)]
+            short, long = [w for w in unknown if len(w) <= LONG_WORD], [w for w in unknown if len(w) > LONG_WORD]
+            place = dict(zip(chain(moved, short, long), range(kept - 1, kept - 1 + len(fresh)), strict=True))
+            self._append(*ragged(*self.old[1:], was[was >= 0]))
             self._learn(short)
-            kept = len(self.start)
-            long = [w for w in fresh if len(w) > LONG_WORD]
-            once = dict(zip(long, range(kept - 1, kept - 1 + len(long)), strict=True))
+            kept, many = len(self.start), bool(long)
             self._learn(long)
-            idx[new] = [once[w] if w in once else self.at[w] for w in (words[k] for k in new.tolist())]
-        sizes = (self.start[1:] - self.start[:-1])[idx] if len(idx) else np.zeros(0, dtype=np.int64)
-        ends = np.cumsum(sizes)
-        total = int(ends[-1]) if len(ends) else 0
-        ids = self.ids[np.repeat(self.start[idx] - (ends - sizes), sizes) + np.arange(total)] if total else np.zeros(0, dtype=np.int32)
-        per = np.concatenate(([0], np.cumsum([len(x) for x in split]))).astype(np.int64)
-        offsets = np.concatenate(([0], ends))[per]
-        if once:
+            idx[new] = np.fromiter(map(place.__getitem__, missing), dtype=np.int64, count=len(missing))
+            self.at.update((w, place[w]) for w in chain(moved, short))
+        ids, sizes = ragged(self.ids, self.start, idx)
+        per = np.concatenate(([0], np.cumsum(list(map(len, split))))).astype(np.int64)
+        offsets = np.concatenate(([0], np.cumsum(sizes)))[per]
+        if many:  # very long words are not kept
             self.ids, self.start = self.ids[: self.start[kept - 1]], self.start[:kept]
         return ids, offsets
 
@@ -104,7 +122,7 @@ def pieces(docs: DataFrame, path: str, length: int = LENGTH) -> DataFrame:
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder(path)
         for batch in batches:
-            for part in slices(batch, "text"):
+            for part in slices(batch, "text", ENCODE_BYTES):
                 buf, off = utf8(part.column(1))
                 data = buf.tobytes()
                 ids, at = encoder.encode([data[a:b] for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)])
