@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import sys
+import types
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 
 #: Bytes of text that a worker looks at together; a longer text is a slice of its own.
-SLICE_BYTES = 4 << 20
+SLICE_BYTES = 1 << 20
 
 
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -34,3 +36,11 @@ def slices(batch: pa.RecordBatch, text: str, most: int = SLICE_BYTES) -> Iterato
         to = max(at + 1, int(np.searchsorted(off, off[at] + most, "right")) - 1)
         yield batch.slice(at, to - at)
         at = to
+
+
+def per_process(name: str, make: Callable):
+    """A value that a Python worker keeps from task to task (its functions are unpickled anew for each)."""
+    held = sys.modules.setdefault("_motifspark_worker", types.ModuleType("_motifspark_worker")).__dict__
+    if name not in held:
+        held[name] = make()
+    return held[name]

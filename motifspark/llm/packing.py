@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, utf8
+from .arrow_text import per_process, slices, utf8
 from .common import Scratch, ranked
 
 LENGTH, GRAIN, END = 4096, 16, 2
@@ -68,6 +68,8 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.t = Tokenizer.from_file(path)
+        self.ends = np.zeros(self.t.get_vocab_size(), dtype=bool)
+        self.ends[[i for token, i in self.t.get_vocab().items() if token.endswith("</w>")]] = True
         self.old: tuple[dict[bytes, int], np.ndarray, np.ndarray] = ({}, np.zeros(0, dtype=np.int32), np.zeros(1, dtype=np.int64))
         self.renew()
 
@@ -79,9 +81,35 @@ class Encoder:
         self.ids, self.start = np.concatenate((self.ids, flat)), np.concatenate((self.start, self.start[-1] + np.cumsum(sizes)))
 
     def _learn(self, words: list[bytes]) -> None:
+        """Appends the ids of new words.
+
+        Letters, with one mark after them or none, are one or two tokens of the pre-tokeniser, so such
+        words are encoded in long lines and cut where a word's last id stands; others go one by one.
+        """
         for k in range(0, len(words), ENCODE_WORDS):
-            found = [e.ids for e in self.t.encode_batch_fast([w.decode() for w in words[k : k + ENCODE_WORDS]], add_special_tokens=False)]
-            self._append(np.array(list(chain.from_iterable(found)), dtype=np.int32), np.array(list(map(len, found)), dtype=np.int64))
+            said = [w.decode() for w in words[k : k + ENCODE_WORDS]]
+            runs = np.array([1 if w.isalpha() else 2 if w[-1] in ".,;:!?" and w[:-1].isalpha() else 0 for w in said])
+            plain = np.flatnonzero(runs)
+            if len(plain):
+                ids = np.array(self.t.encode(" ".join([said[i] for i in plain.tolist()]), add_special_tokens=False).ids, dtype=np.int32)
+                last = np.flatnonzero(self.ends[ids])
+                if len(last) == runs.sum():
+                    cut = np.concatenate(([0], last[np.cumsum(runs[plain]) - 1] + 1))
+                else:
+                    plain = plain[:0]
+            rest = np.setdiff1d(np.arange(len(said)), plain)
+            found = self.t.encode_batch_fast([said[i] for i in rest.tolist()], add_special_tokens=False) if len(rest) else []
+            flat = [e.ids for e in found]
+            sizes = np.zeros(len(said), dtype=np.int64)
+            other = np.array(list(chain.from_iterable(flat)), dtype=np.int32)
+            sizes[rest] = list(map(len, flat))
+            if len(plain):
+                sizes[plain] = np.diff(cut)
+                pool, start = np.concatenate((ids, other)), np.zeros(len(said), dtype=np.int64)
+                start[plain], start[rest] = cut[:-1], len(ids) + np.concatenate(([0], np.cumsum(sizes[rest])))[:-1]
+                ends = np.cumsum(sizes)
+                other = pool[np.repeat(start - (ends - sizes), sizes) + np.arange(sizes.sum())]
+            self._append(other, sizes)
 
     def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and one offset more than there are texts."""
@@ -120,7 +148,7 @@ def pieces(docs: DataFrame, path: str, length: int = LENGTH) -> DataFrame:
     """Rows (doc_id, start, length, ids_crc32, doc_tokens): every id, the end id included, lies in one piece."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(path)
+        encoder = per_process(f"encoder {path}", lambda: Encoder(path))
         for batch in batches:
             for part in slices(batch, "text", ENCODE_BYTES):
                 buf, off = utf8(part.column(1))

@@ -16,6 +16,7 @@ FACTOR = _RNG.integers(1, 1 << 63, 64, dtype=np.uint64) * U(2) + U(1)
 BASE = U(0x9E3779B97F4A7C15)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
+CHUNK = 1 << 18  # bytes hashed together
 SPACE = np.zeros(256, dtype=bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 
@@ -46,10 +47,16 @@ def word_hashes(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarra
         return np.zeros(0, dtype=np.uint64), start, end, first
     size = end - start
     heads = np.concatenate(([0], np.cumsum(size)))
-    at = np.repeat(start - heads[:-1], size) + np.arange(heads[-1])
-    local = np.arange(heads[-1]) - np.repeat(heads[:-1], size)
-    h = np.add.reduceat(LETTER[LOWER[buf[at]]] * powers(int(size.max()))[local], heads[:-1])
-    return mix(h ^ (size.astype(np.uint64) * FACTOR[63])), start, end, first
+    power, out = powers(int(size.max())), np.empty(len(start), dtype=np.uint64)
+    a = 0
+    while a < len(start):  # some words at a time: the intermediates take many bytes a byte
+        b = max(a + 1, int(np.searchsorted(heads, heads[a] + CHUNK, "right")) - 1)
+        own = heads[a:b] - heads[a]
+        local = np.arange(heads[b] - heads[a]) - np.repeat(own, size[a:b])
+        letters = buf[np.repeat(start[a:b], size[a:b]) + local]
+        out[a:b] = np.add.reduceat(LETTER[LOWER[letters]] * power[local], own)
+        a = b
+    return mix(out ^ (size.astype(np.uint64) * FACTOR[63])), start, end, first
 
 
 def grams(words: np.ndarray, k: int) -> np.ndarray:
