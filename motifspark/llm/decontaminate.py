@@ -32,25 +32,35 @@ def words(text: str = "text") -> Column:
 
 
 def shingles(column: str, size: int, as_text: bool = False) -> Column:
-    """Shingles of one size of an array of words, hashed or as text; none where the words are fewer."""
-    of = (lambda w: F.array_join(w, " ")) if as_text else (lambda w: F.xxhash64(w))
-    return F.when(F.size(column) >= size, F.transform(F.sequence(F.lit(1), F.size(column) - (size - 1)), lambda i: of(F.slice(column, i, size)))).otherwise(F.array().cast("array<string>" if as_text else "array<bigint>"))
+    """Shingles of one size of an array of words, hashed or as text; none where the words are fewer.
+
+    Words are taken one by one: slice() would copy the whole array for every shingle.
+    """
+    of = (lambda w: F.concat_ws(" ", *w)) if as_text else (lambda w: F.xxhash64(*w))
+    every = F.transform(F.sequence(F.lit(0), F.size(column) - size), lambda i: of([F.get(F.col(column), i + j) for j in range(size)]))
+    return F.when(F.size(column) >= size, every).otherwise(F.array().cast("array<string>" if as_text else "array<bigint>"))
+
+
+def by_size(column: str, size: str, as_text: bool) -> Column:
+    """The shingles of the size that another column names."""
+    out = F.when(F.col(size) == SHINGLE, shingles(column, SHINGLE, as_text))
+    for s in range(1, SHINGLE):
+        out = out.when(F.col(size) == s, shingles(column, s, as_text))
+    return out
 
 
 def items_of(benchmark: DataFrame) -> DataFrame:
-    """(item_id, size, texts, n): shingle size, distinct shingles as text and how many."""
-    d = benchmark.select("item_id", words().alias("w")).where(F.size("w") > 0)
-    d = d.select("item_id", "w", F.least(F.size("w"), F.lit(SHINGLE)).alias("size"))
-    texts = F.when(F.col("size") == SHINGLE, shingles("w", SHINGLE, True)).otherwise(F.array(F.array_join("w", " ")))
-    return d.select("item_id", "size", F.array_distinct(texts).alias("texts")).dropDuplicates(["item_id", "texts"]).withColumn("n", F.size("texts"))
+    """(item_id, size, texts, hashes, n): shingle size, distinct shingles as text and hashed, and how many."""
+    d = benchmark.select("item_id", words().alias("w")).where(F.size("w") > 0).withColumn("size", F.least(F.size("w"), F.lit(SHINGLE)))
+    d = d.select("item_id", "size", F.array_distinct(by_size("w", "size", True)).alias("texts"), F.array_distinct(by_size("w", "size", False)).alias("hashes"))
+    return d.dropDuplicates(["item_id", "texts"]).withColumn("n", F.size("texts"))
 
 
 def sketches(items: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(h, item_id): each item's bottom-k sketch, k by its size partition."""
     upper = F.pow(F.lit(2), F.ceil(F.log2("n"))).cast("int")
     k = (upper * (100 - percent) / 100).cast("int") + 1
-    hashes = F.transform("texts", lambda x: F.xxhash64(F.split(x, " ")))
-    return items.select("item_id", F.explode(F.slice(F.array_sort(hashes), 1, k)).alias("h")).distinct()
+    return items.select("item_id", F.explode(F.slice(F.array_sort("hashes"), 1, k)).alias("h")).distinct()
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, percent: int = PERCENT) -> DataFrame:
@@ -62,14 +72,14 @@ def matches(docs: DataFrame, benchmark: DataFrame, percent: int = PERCENT) -> Da
         return docs.sparkSession.createDataFrame([], "doc_id bigint, item_id bigint, n_shared int, n_item int")
     sketch = scratch.table(sketches(items, percent), "sketches")
     hashed = docs.where("doc_id is not null").select("doc_id", words().alias("w")).select("doc_id", F.concat(*(shingles("w", s) for s in sizes)).alias("hs"))
-    found = hashed.select("doc_id", F.explode("hs").alias("h")).join(small(sketch), "h").select("doc_id", "item_id").distinct()
+    # explode_outer and the late filter below: a filter pushed under the split into words would split again for every shingle.
+    found = hashed.select("doc_id", F.explode_outer("hs").alias("h")).join(small(sketch), "h").select("doc_id", "item_id").distinct()
     found = scratch.table(found, "candidates")
-    checked = docs.select("doc_id", "text").join(small(found), "doc_id").select("doc_id", "item_id", words().alias("w")).join(small(items), "item_id")
-    held = F.when(F.col("size") == SHINGLE, shingles("w", SHINGLE, True))
-    for s in range(1, SHINGLE):
-        held = held.when(F.col("size") == s, shingles("w", s, True))
+    checked = docs.select("doc_id", "text").join(small(found), "doc_id").select("doc_id", "item_id", words().alias("w")).join(small(items.drop("hashes")), "item_id")
+    held = by_size("w", "size", True)
     checked = checked.select("doc_id", "item_id", F.size(F.array_intersect("texts", held)).alias("n_shared"), F.col("n").alias("n_item"))
-    return checked.where(100 * F.col("n_shared") >= percent * F.col("n_item")).groupBy("doc_id", "item_id").agg(F.max("n_shared").alias("n_shared"), F.max("n_item").alias("n_item"))
+    checked = checked.groupBy("doc_id", "item_id").agg(F.max("n_shared").alias("n_shared"), F.max("n_item").alias("n_item"))
+    return checked.where(100 * F.col("n_shared") >= percent * F.col("n_item"))
 
 
 def survivors(docs: DataFrame, benchmark: DataFrame) -> DataFrame:

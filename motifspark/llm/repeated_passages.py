@@ -211,21 +211,22 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 SQL = r"""
 WITH w AS (
-  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^ 	-]+') AS words FROM documents
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^ 	-
+]+') AS words FROM documents
 ), p AS (
-  SELECT doc_id, words, unnest(range(1, len(words) - 48)) AS at FROM w WHERE len(words) >= 50
+  SELECT doc_id, words, unnest(range(1, len(words) - 48)) AS i FROM w WHERE len(words) >= 50
 ), s AS (
-  SELECT doc_id, at - 1 AS at, hash(list_slice(words, at, at + 49)) AS h FROM p
+  SELECT doc_id, i - 1 AS s, hash(list_slice(words, i, i + 49)) AS h FROM p
 ), r AS (
   SELECT h FROM s GROUP BY h HAVING min(doc_id) <> max(doc_id)
 ), m AS (
-  SELECT DISTINCT doc_id, at FROM s WHERE h IN (SELECT h FROM r)
+  SELECT DISTINCT doc_id, s FROM s WHERE h IN (SELECT h FROM r)
 ), g AS (
-  SELECT doc_id, at, CASE WHEN at - lag(at) OVER (PARTITION BY doc_id ORDER BY at) <= 50 THEN 0 ELSE 1 END AS fresh FROM m
+  SELECT doc_id, s, CASE WHEN s - lag(s) OVER (PARTITION BY doc_id ORDER BY s) <= 50 THEN 0 ELSE 1 END AS fresh FROM m
 ), k AS (
-  SELECT doc_id, at, sum(fresh) OVER (PARTITION BY doc_id ORDER BY at) AS passage FROM g
+  SELECT doc_id, s, sum(fresh) OVER (PARTITION BY doc_id ORDER BY s) AS passage FROM g
 ), spans AS (
-  SELECT doc_id, min(at) AS a, max(at) + 50 AS b FROM k GROUP BY doc_id, passage
+  SELECT doc_id, min(s) AS a, max(s) + 50 AS b FROM k GROUP BY doc_id, passage
 )
 SELECT doc_id, count(*) AS n_passages, CAST(sum(b - a) AS BIGINT) AS n_words, string_agg(a || ':' || b, ',' ORDER BY a) AS passages FROM spans GROUP BY doc_id
 """
