@@ -37,7 +37,7 @@ from .arrow_text import per_process, slices, utf8
 from .common import Scratch, ranked
 
 LENGTH, GRAIN, END = 4096, 16, 2
-CACHE_WORDS, LONG_WORD = 300_000, 48
+CACHE_WORDS, LONG_WORD, LINE = 600_000, 48, 200
 #: Bytes of text and new words that a worker encodes together; both bound its memory.
 ENCODE_BYTES, ENCODE_WORDS = 1 << 20, 4_000
 RANK_ROWS = 50_000
@@ -91,7 +91,9 @@ class Encoder:
             runs = np.array([1 if w.isalpha() else 2 if w[-1] in ".,;:!?" and w[:-1].isalpha() else 0 for w in said])
             plain = np.flatnonzero(runs)
             if len(plain):
-                ids = np.array(self.t.encode(" ".join([said[i] for i in plain.tolist()]), add_special_tokens=False).ids, dtype=np.int32)
+                line = [said[i] for i in plain.tolist()]
+                lines = self.t.encode_batch_fast([" ".join(line[i : i + LINE]) for i in range(0, len(line), LINE)], add_special_tokens=False)
+                ids = np.array(list(chain.from_iterable(e.ids for e in lines)), dtype=np.int32)
                 last = np.flatnonzero(self.ends[ids])
                 if len(last) == runs.sum():
                     cut = np.concatenate(([0], last[np.cumsum(runs[plain]) - 1] + 1))
