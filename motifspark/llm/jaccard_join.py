@@ -39,6 +39,8 @@ SHINGLE, PERCENT = 5, 75
 #: The sample that orders the shingles, its count from which a shingle is common, and how many of those are used.
 SAMPLE_DOCS, COMMON, MAX_COMMON = 6_000, 3, 200_000
 SKETCH = 8  # words of 64 bits
+#: Larger sets have a second, wider sketch: (size above which, words).
+WIDE = [(512, 64), (4096, 512)]
 
 
 def sets_of(part: pa.RecordBatch, k: int) -> Iterator[np.ndarray]:
@@ -52,6 +54,13 @@ def digest(s: np.ndarray) -> bytes:
     return hashlib.blake2b(s.tobytes(), digest_size=16).digest()
 
 
+def sketch(s: np.ndarray, words: int) -> np.ndarray:
+    bits = np.zeros(64 * words, dtype=np.uint8)
+    if words:
+        bits[s & (64 * words - 1)] = 1
+    return np.packbits(bits).view(np.int64)
+
+
 def lists(values: list[np.ndarray]) -> pa.ListArray:
     off = np.concatenate(([0], np.cumsum([len(v) for v in values]))).astype(np.int32)
     return pa.ListArray.from_arrays(pa.array(off), pa.array(np.concatenate(values) if values else np.zeros(0, dtype=np.int64)))
@@ -73,28 +82,27 @@ def common_shingles(docs: DataFrame, k: int) -> np.ndarray:
 
 
 def rows_of(docs: DataFrame, k: int, percent: int, common: np.ndarray) -> DataFrame:
-    """(doc_id, fp, n, prefix, sketch): fp identifies the set, sketch has a bit for each shingle."""
+    """(doc_id, fp, n, prefix, sketch, wide): fp identifies the set, sketches have a bit for each shingle."""
     shipped = docs.sparkSession.sparkContext.broadcast(common)  # MAX_COMMON numbers at most
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         late = shipped.value
         for batch in batches:
             for part in slices(batch, "text"):
-                fps, ns, prefixes, sketches = [], [], [], []
+                fps, ns, prefixes, sketches, wides = [], [], [], [], []
                 for s in sets_of(part, k):
                     n = len(s)
                     head = n + (-percent * n // 100) + 1 if n else 0
                     is_late = late[np.minimum(np.searchsorted(late, s), len(late) - 1)] == s if len(late) else np.zeros(n, dtype=bool)
                     early = s[~is_late][:head]
                     prefixes.append(np.concatenate((early, s[is_late][: head - len(early)])))
-                    bits = np.zeros(64 * SKETCH, dtype=np.uint8)
-                    bits[s & (64 * SKETCH - 1)] = 1
-                    sketches.append(np.packbits(bits).view(np.int64))
+                    sketches.append(sketch(s, SKETCH))
+                    wides.append(sketch(s, max([w for least, w in WIDE if n > least], default=0)))
                     ns.append(n)
                     fps.append(digest(s))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary()), pa.array(ns, pa.int64()), lists(prefixes), lists(sketches)], ["doc_id", "fp", "n", "prefix", "sketch"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary()), pa.array(ns, pa.int64()), lists(prefixes), lists(sketches), lists(wides)], ["doc_id", "fp", "n", "prefix", "sketch", "wide"])
 
-    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, fp binary, n bigint, prefix array<bigint>, sketch array<bigint>")
+    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, fp binary, n bigint, prefix array<bigint>, sketch array<bigint>, wide array<bigint>")
 
 
 def full_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -122,8 +130,13 @@ def enough(overlap: Column, a: Column, b: Column, percent: int) -> Column:
 
 
 def counted(scratch: Scratch, docs: DataFrame, reps: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
-    """The pairs (x, y) whose sets are similar, by exact overlap."""
-    pairs = scratch.table(pairs, "pairs")
+    """The pairs (x, y) whose sets are similar: those that the wide sketches leave possible, by exact overlap."""
+    wide = reps.select("rid", "n", "wide")
+    missing = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: F.bit_count(p.bitwiseAND(F.bitwise_not(q)))), F.lit(0), lambda a, b: a + b)
+    a, b = (wide.select(F.col("rid").alias(v), F.col("n").alias(f"n{v}"), F.col("wide").alias(f"w{v}")) for v in "xy")
+    room = F.least(F.col("nx") - missing("wx", "wy"), F.col("ny") - missing("wy", "wx"))
+    pairs = pairs.join(a, "x").join(b, "y").where((F.size("wx") == 0) | (F.size("wx") != F.size("wy")) | enough(room, F.col("nx"), F.col("ny"), percent))
+    pairs = scratch.table(pairs.select("x", "y"), "pairs")
     wanted = pairs.select(F.col("x").alias("rid")).unionByName(pairs.select(F.col("y").alias("rid"))).distinct()
     wanted = scratch.table(wanted.join(reps.select("rid", "doc_id", "fp"), "rid"), "wanted")
     sets = scratch.table(full_sets(docs, wanted, k), "sets")
@@ -162,8 +175,8 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     scratch = Scratch(docs.sparkSession, "jaccard")
     # Stored, so that row numbers given on the way stay what they are.
     rows = scratch.table(rows_of(docs, k, percent, common_shingles(docs, k)).withColumn("rid", F.monotonically_increasing_id()), "rows")
-    reps = rows.where("n > 0").groupBy("fp").agg(F.min(F.struct("rid", "doc_id")).alias("r"), F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("prefix").alias("prefix"), F.first("sketch").alias("sketch"))
-    reps = scratch.table(reps.select("fp", F.col("r.rid").alias("rid"), F.col("r.doc_id").alias("doc_id"), "least", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)), "prefix"), "reps")
+    reps = rows.where("n > 0").groupBy("fp").agg(F.min(F.struct("rid", "doc_id")).alias("r"), F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("prefix").alias("prefix"), F.first("sketch").alias("sketch"), F.first("wide").alias("wide"))
+    reps = scratch.table(reps.select("fp", F.col("r.rid").alias("rid"), F.col("r.doc_id").alias("doc_id"), "least", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)), "wide", "prefix"), "reps")
     sizes = reps.select("rid", "n", *(f"w{i}" for i in range(SKETCH)))
 
     columns = scratch.table(runs(reps.select(F.explode("prefix").alias("token"), "rid")), "columns")
@@ -176,7 +189,11 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     open_ = labelled.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
     open_rows = scratch.table(labelled.join(open_, "token", "left_semi").join(sizes, "rid"), "open")
     rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent))
-    more = counted(scratch, docs, reps, rest.select(F.col("a.rid").alias("x"), F.col("b.rid").alias("y")).distinct(), k, percent)
+    # A pair shares as much as its parts of the product show, and at most all that lies beyond one's part.
+    beyond = lambda n: F.floor((percent * F.col(n) + 99) / 100) - 1
+    rest = rest.groupBy(F.col("a.rid").alias("x"), F.col("b.rid").alias("y"), F.col("a.n").alias("nx"), F.col("b.n").alias("ny")).agg(F.count("*").alias("shared"))
+    rest = rest.where(enough(F.col("shared") + F.greatest(beyond("nx"), beyond("ny")), F.col("nx"), F.col("ny"), percent))
+    more = counted(scratch, docs, reps, rest.select("x", "y"), k, percent)
 
     final = components(scratch, links.unionByName(more), "x", "y")
     named = reps.select("fp", "rid", "least").join(final.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
@@ -197,7 +214,8 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 SQL = r"""
 WITH RECURSIVE w AS (
-  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^ 	-]+') AS words FROM documents
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^ 	-
+]+') AS words FROM documents
 ), s AS (
   SELECT DISTINCT doc_id, unnest(CASE WHEN len(words) = 0 THEN [] WHEN len(words) < 5 THEN [array_to_string(words, ' ')]
     ELSE list_transform(range(1, len(words) - 3), lambda i: array_to_string(list_slice(words, i, i + 4), ' ')) END) AS shingle FROM w
