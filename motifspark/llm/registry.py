@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import decontaminate, exact_dedup, jaccard_join, packing, repeated_passages, secret_scan, sharding, toxicity, url_rules
+from . import decontaminate, exact_dedup, jaccard_join, language_id, packing, repeated_passages, secret_scan, sharding, toxicity, url_rules
 
 QUERIES = {
     "op1_decontaminate": decontaminate.query,
@@ -12,6 +12,7 @@ QUERIES = {
     "op5_exact_dedup": exact_dedup.query,
     "op6_repeated_passages": repeated_passages.query,
     "op7_jaccard_join": jaccard_join.query,
+    "op8_language_id": language_id.query,
     "op9_url_rules": url_rules.query,
     "op10_packing": packing.query,
 }
