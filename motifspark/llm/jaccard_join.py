@@ -37,7 +37,7 @@ from .shingles import shingle_set, word_hashes
 
 SHINGLE, PERCENT = 5, 75
 #: The sample that orders the shingles, its count from which a shingle is common, and how many of those are used.
-SAMPLE_DOCS, COMMON, MAX_COMMON = 6_000, 3, 200_000
+SAMPLE_DOCS, COMMON, MAX_COMMON = 12_000, 2, 500_000
 SKETCH = 8  # words of 64 bits
 #: Larger sets have a second, wider sketch: (size above which, words).
 WIDE = [(512, 64), (4096, 512)]
@@ -125,17 +125,21 @@ def possible(percent: int) -> Column:
     return enough(F.least(room("a", "b"), room("b", "a")), F.col("a.n"), F.col("b.n"), percent)
 
 
+def still_possible(x: str, y: str, percent: int) -> Column:
+    """The same by the wide sketches, for sets that have such of one width."""
+    missing = lambda p, q: F.aggregate(F.zip_with(f"{p}.wide", f"{q}.wide", lambda u, v: F.bit_count(u.bitwiseAND(F.bitwise_not(v)))), F.lit(0), lambda u, v: u + v)
+    room = F.least(F.col(f"{x}.n") - missing(x, y), F.col(f"{y}.n") - missing(y, x))
+    return (F.size(f"{x}.wide") == 0) | (F.size(f"{x}.wide") != F.size(f"{y}.wide")) | enough(room, F.col(f"{x}.n"), F.col(f"{y}.n"), percent)
+
+
 def enough(overlap: Column, a: Column, b: Column, percent: int) -> Column:
     return (100 + percent) * overlap >= percent * (a + b)
 
 
 def counted(scratch: Scratch, docs: DataFrame, reps: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (x, y) whose sets are similar: those that the wide sketches leave possible, by exact overlap."""
-    wide = reps.select("rid", "n", "wide")
-    missing = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: F.bit_count(p.bitwiseAND(F.bitwise_not(q)))), F.lit(0), lambda a, b: a + b)
-    a, b = (wide.select(F.col("rid").alias(v), F.col("n").alias(f"n{v}"), F.col("wide").alias(f"w{v}")) for v in "xy")
-    room = F.least(F.col("nx") - missing("wx", "wy"), F.col("ny") - missing("wy", "wx"))
-    pairs = pairs.join(a, "x").join(b, "y").where((F.size("wx") == 0) | (F.size("wx") != F.size("wy")) | enough(room, F.col("nx"), F.col("ny"), percent))
+    a, b = (reps.select(F.col("rid").alias(v), F.struct("n", "wide").alias(f"w{v}")) for v in "xy")
+    pairs = pairs.join(a, "x").join(b, "y").where(still_possible("wx", "wy", percent))
     pairs = scratch.table(pairs.select("x", "y"), "pairs")
     wanted = pairs.select(F.col("x").alias("rid")).unionByName(pairs.select(F.col("y").alias("rid"))).distinct()
     wanted = scratch.table(wanted.join(reps.select("rid", "doc_id", "fp"), "rid"), "wanted")
@@ -187,8 +191,8 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     found = components(scratch, links, "x", "y")
     labelled = columns.select("token", "rid").join(found.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
     open_ = labelled.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
-    open_rows = scratch.table(labelled.join(open_, "token", "left_semi").join(sizes, "rid"), "open")
-    rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent))
+    open_rows = scratch.table(labelled.join(open_, "token", "left_semi").join(sizes.join(reps.select("rid", "wide"), "rid"), "rid"), "open")
+    rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent) & still_possible("a", "b", percent))
     # A pair shares as much as its parts of the product show, and at most all that lies beyond one's part.
     beyond = lambda n: F.floor((percent * F.col(n) + 99) / 100) - 1
     rest = rest.groupBy(F.col("a.rid").alias("x"), F.col("b.rid").alias("y"), F.col("a.n").alias("nx"), F.col("b.n").alias("ny")).agg(F.count("*").alias("shared"))
