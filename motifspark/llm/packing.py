@@ -35,11 +35,13 @@ from pyspark.sql import functions as F
 
 from .arrow_text import per_process, slices, utf8
 from .common import Scratch, ranked
+from .shingles import word_hashes
 
 LENGTH, GRAIN, END = 4096, 16, 2
+LAST = END.to_bytes(4, "little")
 CACHE_WORDS, LONG_WORD, LINE = 600_000, 48, 200
 #: Bytes of text and new words that a worker encodes together; both bound its memory.
-ENCODE_BYTES, ENCODE_WORDS = 1 << 20, 4_000
+ENCODE_BYTES, ENCODE_WORDS = 2 << 20, 4_000
 RANK_ROWS = 50_000
 
 
@@ -59,7 +61,7 @@ def ragged(flat: np.ndarray, start: np.ndarray, which: np.ndarray) -> tuple[np.n
 class Encoder:
     """Token ids of many texts, word by word.
 
-    The cache has two generations: when the young one is full it becomes the old one, and
+    Words are told apart by 64-bit hashes.  The cache has two generations: when the young one is full it becomes the old one, and
     words found in the old one move over, so frequent words are never encoded again.
     """
 
@@ -70,12 +72,12 @@ class Encoder:
         self.t = Tokenizer.from_file(path)
         self.ends = np.zeros(self.t.get_vocab_size(), dtype=bool)
         self.ends[[i for token, i in self.t.get_vocab().items() if token.endswith("</w>")]] = True
-        self.old: tuple[dict[bytes, int], np.ndarray, np.ndarray] = ({}, np.zeros(0, dtype=np.int32), np.zeros(1, dtype=np.int64))
+        self.old: tuple[dict[int, int], np.ndarray, np.ndarray] = ({}, np.zeros(0, dtype="<u4"), np.zeros(1, dtype=np.int64))
         self.renew()
 
     def renew(self) -> None:
-        self.at: dict[bytes, int] = {}
-        self.ids, self.start = np.zeros(0, dtype=np.int32), np.zeros(1, dtype=np.int64)
+        self.at: dict[int, int] = {}
+        self.ids, self.start = np.zeros(0, dtype="<u4"), np.zeros(1, dtype=np.int64)
 
     def _append(self, flat: np.ndarray, sizes: np.ndarray) -> None:
         self.ids, self.start = np.concatenate((self.ids, flat)), np.concatenate((self.start, self.start[-1] + np.cumsum(sizes)))
@@ -93,7 +95,7 @@ class Encoder:
             if len(plain):
                 line = [said[i] for i in plain.tolist()]
                 lines = self.t.encode_batch_fast([" ".join(line[i : i + LINE]) for i in range(0, len(line), LINE)], add_special_tokens=False)
-                ids = np.array(list(chain.from_iterable(e.ids for e in lines)), dtype=np.int32)
+                ids = np.array(list(chain.from_iterable(e.ids for e in lines)), dtype="<u4")
                 last = np.flatnonzero(self.ends[ids])
                 if len(last) == runs.sum():
                     cut = np.concatenate(([0], last[np.cumsum(runs[plain]) - 1] + 1))
@@ -103,7 +105,7 @@ class Encoder:
             found = self.t.encode_batch_fast([said[i] for i in rest.tolist()], add_special_tokens=False) if len(rest) else []
             flat = [e.ids for e in found]
             sizes = np.zeros(len(said), dtype=np.int64)
-            other = np.array(list(chain.from_iterable(flat)), dtype=np.int32)
+            other = np.array(list(chain.from_iterable(flat)), dtype="<u4")
             sizes[rest] = list(map(len, flat))
             if len(plain):
                 sizes[plain] = np.diff(cut)
@@ -113,31 +115,32 @@ class Encoder:
                 other = pool[np.repeat(start - (ends - sizes), sizes) + np.arange(sizes.sum())]
             self._append(other, sizes)
 
-    def encode(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        """All ids, and one offset more than there are texts."""
+    def encode(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """All ids of the texts in buf, and one offset more than there are texts."""
         if len(self.at) > CACHE_WORDS:
             self.old = (self.at, self.ids, self.start)
             self.renew()
-        split = [x.split() for x in texts]
-        words = list(chain.from_iterable(split))
-        idx = np.fromiter(map(self.at.get, words, repeat(-1)), dtype=np.int64, count=len(words))
+        hashes, begin, end, first = word_hashes(buf, off, fold=False)
+        distinct, example, which = np.unique(hashes, return_index=True, return_inverse=True)
+        distinct = distinct.tolist()
+        idx = np.fromiter(map(self.at.get, distinct, repeat(-1)), dtype=np.int64, count=len(distinct))
         kept, many = len(self.start), False
         if len(new := np.flatnonzero(idx < 0)):
-            missing = [words[k] for k in new.tolist()]
-            fresh = list(dict.fromkeys(missing))
-            was = np.fromiter(map(self.old[0].get, fresh, repeat(-1)), dtype=np.int64, count=len(fresh))
-            moved, unknown = [fresh[k] for k in np.flatnonzero(was >= 0)], [fresh[k] for k in np.flatnonzero(was < 0)]
-            short, long = [w for w in unknown if len(w) <= LONG_WORD], [w for w in unknown if len(w) > LONG_WORD]
-            place = dict(zip(chain(moved, short, long), range(kept - 1, kept - 1 + len(fresh)), strict=True))
+            was = np.fromiter(map(self.old[0].get, (distinct[k] for k in new.tolist()), repeat(-1)), dtype=np.int64, count=len(new))
+            moved, unknown = new[was >= 0], new[was < 0]
+            size = (end - begin)[example[unknown]]
+            short, long = unknown[size <= LONG_WORD], unknown[size > LONG_WORD]
+            data = memoryview(buf)
+            words = lambda at: [bytes(data[a:b]) for a, b in zip(begin[example[at]].tolist(), end[example[at]].tolist(), strict=True)]
             self._append(*ragged(*self.old[1:], was[was >= 0]))
-            self._learn(short)
-            kept, many = len(self.start), bool(long)
-            self._learn(long)
-            idx[new] = np.fromiter(map(place.__getitem__, missing), dtype=np.int64, count=len(missing))
-            self.at.update((w, place[w]) for w in chain(moved, short))
-        ids, sizes = ragged(self.ids, self.start, idx)
-        per = np.concatenate(([0], np.cumsum(list(map(len, split))))).astype(np.int64)
-        offsets = np.concatenate(([0], np.cumsum(sizes)))[per]
+            self._learn(words(short))
+            kept, many = len(self.start), bool(len(long))
+            self._learn(words(long))
+            order = np.concatenate((moved, short, long))
+            idx[order] = np.arange(kept - 1 - len(moved) - len(short), kept - 1 + len(long))
+            self.at.update((distinct[k], i) for k, i in zip(order[: len(moved) + len(short)].tolist(), idx[order].tolist(), strict=False))
+        ids, sizes = ragged(self.ids, self.start, idx[which])
+        offsets = np.concatenate(([0], np.cumsum(sizes)))[first]
         if many:  # very long words are not kept
             self.ids, self.start = self.ids[: self.start[kept - 1]], self.start[:kept]
         return ids, offsets
@@ -153,13 +156,11 @@ def pieces(docs: DataFrame, path: str, length: int = LENGTH) -> DataFrame:
         encoder = per_process(f"encoder {path}", lambda: Encoder(path))
         for batch in batches:
             for part in slices(batch, "text", ENCODE_BYTES):
-                buf, off = utf8(part.column(1))
-                data = buf.tobytes()
-                ids, at = encoder.encode([data[a:b] for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)])
+                ids, at = encoder.encode(*utf8(part.column(1)))
                 rows = []
                 for doc, a, b in zip(part.column(0).to_pylist(), at[:-1].tolist(), at[1:].tolist(), strict=True):
-                    own = np.append(ids[a:b], END).astype("<u4")
-                    rows += [(doc, s, min(length, len(own) - s), zlib.crc32(own[s : s + length].tobytes()), len(own)) for s in range(0, len(own), length)]
+                    own, n = ids[a:b].tobytes() + LAST, b - a + 1
+                    rows += [(doc, s, min(length, n - s), zlib.crc32(own[4 * s : 4 * (s + length)]), n) for s in range(0, n, length)]
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
 
     return docs.select("doc_id", "text").mapInArrow(work, PIECES)

@@ -33,8 +33,11 @@ def powers(n: int) -> np.ndarray:
     return np.cumprod(out, dtype=np.uint64)
 
 
-def word_hashes(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Hash, first byte and end byte of every word, and per text the number of its first word (one more at the end)."""
+def word_hashes(buf: np.ndarray, off: np.ndarray, fold: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Hash, first byte and end byte of every word, and per text the number of its first word (one more at the end).
+
+    ``fold``: A-Z hash as a-z.
+    """
     solid = ~SPACE[buf]
     edge = np.zeros(len(buf) + 1, dtype=bool)
     edge[off] = True
@@ -54,7 +57,7 @@ def word_hashes(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarra
         own = heads[a:b] - heads[a]
         local = np.arange(heads[b] - heads[a]) - np.repeat(own, size[a:b])
         letters = buf[np.repeat(start[a:b], size[a:b]) + local]
-        out[a:b] = np.add.reduceat(LETTER[LOWER[letters]] * power[local], own)
+        out[a:b] = np.add.reduceat(LETTER[LOWER[letters] if fold else letters] * power[local], own)
         a = b
     return mix(out ^ (size.astype(np.uint64) * FACTOR[63])), start, end, first
 
