@@ -8,10 +8,22 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark.sql import DataFrame
 
 #: Bytes of text that a worker looks at together; a longer text is a slice of its own.
 SLICE_BYTES = 1 << 20
 
+#: Rows in a batch between Spark and a Python worker; whole texts of thousands of rows would fill both.
+BATCH_ROWS = 1_000
+
+
+def small_batches(df: DataFrame) -> DataFrame:
+    """df, after the session's Arrow batches were held to BATCH_ROWS (a run-time setting; smaller ones stay)."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(df.sparkSession.conf.get(name)) <= BATCH_ROWS:
+        df.sparkSession.conf.set(name, str(BATCH_ROWS))
+    return df
+
 
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes of all texts, one after the other, and len + 1 offsets; null texts are empty."""

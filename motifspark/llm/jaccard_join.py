@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, utf8
+from .arrow_text import slices, small_batches, utf8
 from .common import Scratch, components, small
 from .shingles import shingle_set, word_hashes
 
@@ -76,7 +76,7 @@ def common_shingles(docs: DataFrame, k: int) -> np.ndarray:
                 seen, n = np.unique(np.concatenate([*sets_of(part, k), np.zeros(0, dtype=np.int64)]), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(n.astype(np.int64))], ["shingle", "n"])
 
-    counted = docs.select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("text").mapInArrow(work, "shingle bigint, n bigint")
+    counted = small_batches(docs).select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("text").mapInArrow(work, "shingle bigint, n bigint")
     rows = counted.groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON).orderBy(F.desc("n"), "shingle").limit(MAX_COMMON).select("shingle").collect()
     return np.sort(np.array([r[0] for r in rows], dtype=np.int64))
 

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices
+from .arrow_text import slices, small_batches
 from .common import Scratch, small
 
 TRAIN_DOCS, BUCKETS, MAX_LANGUAGES, EFFECTIVE, STRENGTH = 4_000, 1 << 15, 32, 60, 5.0
@@ -95,7 +95,7 @@ def evidence(pages: DataFrame, langs: list[str], table: np.ndarray) -> DataFrame
                     best.append(int(ll.argmax()))
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, pa.string()) for c in (hosts, parents, suffixes, said)), pa.array(lls, pa.list_(pa.float64())), pa.array(best, pa.int32())], ["page_id", "host", "parent", "suffix", "declared", "ll", "best"])
 
-    return pages.select("page_id", "url", "html").mapInArrow(work, "page_id bigint, host string, parent string, suffix string, declared string, ll array<double>, best int")
+    return small_batches(pages).select("page_id", "url", "html").mapInArrow(work, "page_id bigint, host string, parent string, suffix string, declared string, ll array<double>, best int")
 
 
 def tally(rows: DataFrame, by: list[str], n: int, out: str) -> DataFrame:

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .arrow_text import per_process, slices, utf8
+from .arrow_text import per_process, slices, small_batches, utf8
 from .common import Scratch, ranked
 from .shingles import word_hashes
 
@@ -163,7 +163,7 @@ def pieces(docs: DataFrame, path: str, length: int = LENGTH) -> DataFrame:
                     rows += [(doc, s, min(length, n - s), zlib.crc32(own[4 * s : 4 * (s + length)]), n) for s in range(0, n, length)]
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
 
-    return docs.select("doc_id", "text").mapInArrow(work, PIECES)
+    return small_batches(docs).select("doc_id", "text").mapInArrow(work, PIECES)
 
 
 def knapsack(values: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:

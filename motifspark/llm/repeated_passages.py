@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, utf8
+from .arrow_text import slices, small_batches, utf8
 from .common import Scratch
 from .shingles import grams, mix, word_hashes
 
@@ -134,7 +134,7 @@ def anchors(docs: DataFrame, least: int, head: int) -> DataFrame:
                 key = np.concatenate(keys)
                 yield combined(key, np.concatenate(docs_), key)
 
-    return docs.where("doc_id is not null").select("doc_id", "text").mapInArrow(work, ROWS)
+    return small_batches(docs).where("doc_id is not null").select("doc_id", "text").mapInArrow(work, ROWS)
 
 
 def stretches(docs: DataFrame, least: int, head: int) -> DataFrame:

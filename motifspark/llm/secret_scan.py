@@ -28,7 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .arrow_text import slices, utf8
+from .arrow_text import slices, small_batches, utf8
 
 
 class Rule(NamedTuple):
@@ -182,7 +182,7 @@ def scan(docs: DataFrame, rules: list[Rule] | None = None) -> DataFrame:
                 cols = list(zip(*rows, strict=True))
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, pa.int64()) for c in cols[:3]), *(pa.array(c, pa.string()) for c in cols[3:5]), pa.array(cols[5], pa.int64())], ["doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans", "n_spans"])
 
-    return docs.select("doc_id", "text").mapInArrow(work, SCHEMA)
+    return small_batches(docs).select("doc_id", "text").mapInArrow(work, SCHEMA)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices
+from .arrow_text import slices, small_batches
 
 MAX_TRAIN, MAX_FEATURES, LEAST_DOCS, ROUNDS = 20_000, 4_000, 3, 300
 SENTENCE = re.compile(r"[.!?\n]+")
@@ -140,7 +140,7 @@ def fit(rows: list[tuple[int, int, list[int]]], n_features: int, rounds: int = R
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Model:
-    taught = docs.select("doc_id", "text").join(F.broadcast(training_rows(labels)), "doc_id").select("text", "y")
+    taught = small_batches(docs).select("doc_id", "text").join(F.broadcast(training_rows(labels)), "doc_id").select("text", "y")
     n = {r["y"]: r["n"] for r in taught.groupBy("y").agg(F.count("*").alias("n")).collect()}
     pos, neg = n.get(1, 0), n.get(0, 0)
     if not pos or not neg:
@@ -195,7 +195,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
                 rows = [scorer.document(t) for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r[0] for r in rows], pa.float64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.list_(pa.int32()))], ["doc_id", "score", "n_sentences", "offending"])
 
-    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, score double, n_sentences bigint, offending array<int>")
+    return small_batches(docs).select("doc_id", "text").mapInArrow(work, "doc_id bigint, score double, n_sentences bigint, offending array<int>")
 
 
 def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
