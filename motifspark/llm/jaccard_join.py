@@ -3,8 +3,8 @@
 Rows of the matrix are distinct shingle sets (documents with equal sets are one row, one
 class), columns are shingles.  Only a part of each row takes part in the product: under one
 global order of the shingles, two sets of similarity t share one of their first
-n - ceil(t n) + 1, so those suffice.  The order puts shingles that are common in a bounded
-sample last and is otherwise a hash order; any order gives the same result.
+n - ceil(t n) + 1, so those suffice.  The order puts shingles that are common in a sample
+of the documents last and is otherwise a hash order; any order gives the same result.
 
 A column is a block of rows that may be similar.  Blocks are worked off in two steps, so
 that no block's pairs are ever written out:
@@ -36,8 +36,8 @@ from .common import Scratch, components, small
 from .shingles import shingle_set, word_hashes
 
 SHINGLE, PERCENT = 5, 75
-#: The sample that orders the shingles, its count from which a shingle is common, and how many of those are used.
-SAMPLE_DOCS, COMMON, MAX_COMMON = 12_000, 2, 500_000
+#: One document in so many is in the sample that orders the shingles; its count from which a shingle is common; how many of those are used.
+SAMPLE_ONE_IN, COMMON, MAX_COMMON = 8, 2, 500_000
 SKETCH = 8  # words of 64 bits
 #: Larger sets have a second, wider sketch: (size above which, words).
 WIDE = [(512, 64), (4096, 512)]
@@ -67,16 +67,14 @@ def lists(values: list[np.ndarray]) -> pa.ListArray:
 
 
 def common_shingles(docs: DataFrame, k: int) -> np.ndarray:
-    """Sorted hashes of the shingles that are common in the sample (chosen by a hash of doc_id)."""
-    ids = docs.select("doc_id").where("doc_id is not null").distinct().orderBy(F.xxhash64("doc_id")).limit(SAMPLE_DOCS)
-
+    """Sorted hashes of the shingles that are common in the sample (chosen by a hash of doc_id); the most common MAX_COMMON at most."""
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, "text"):
                 seen, n = np.unique(np.concatenate([*sets_of(part, k), np.zeros(0, dtype=np.int64)]), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(n.astype(np.int64))], ["shingle", "n"])
 
-    counted = small_batches(docs).select("doc_id", "text").join(F.broadcast(ids), "doc_id").select("text").mapInArrow(work, "shingle bigint, n bigint")
+    counted = small_batches(docs).where(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE_ONE_IN)) == 0).select("text").mapInArrow(work, "shingle bigint, n bigint")
     rows = counted.groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON).orderBy(F.desc("n"), "shingle").limit(MAX_COMMON).select("shingle").collect()
     return np.sort(np.array([r[0] for r in rows], dtype=np.int64))
 
@@ -136,13 +134,13 @@ def enough(overlap: Column, a: Column, b: Column, percent: int) -> Column:
     return (100 + percent) * overlap >= percent * (a + b)
 
 
-def counted(scratch: Scratch, docs: DataFrame, reps: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
+def counted(scratch: Scratch, docs: DataFrame, rows: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
     """The pairs (x, y) whose sets are similar: those that the wide sketches leave possible, by exact overlap."""
-    a, b = (reps.select(F.col("rid").alias(v), F.struct("n", "wide").alias(f"w{v}")) for v in "xy")
+    a, b = (rows.select(F.col("rid").alias(v), F.struct("n", "wide").alias(f"w{v}")) for v in "xy")
     pairs = pairs.join(a, "x").join(b, "y").where(still_possible("wx", "wy", percent))
     pairs = scratch.table(pairs.select("x", "y"), "pairs")
     wanted = pairs.select(F.col("x").alias("rid")).unionByName(pairs.select(F.col("y").alias("rid"))).distinct()
-    wanted = scratch.table(wanted.join(reps.select("rid", "doc_id", "fp"), "rid"), "wanted")
+    wanted = scratch.table(wanted.join(rows.select("rid", "doc_id", "fp"), "rid"), "wanted")
     sets = scratch.table(full_sets(docs, wanted, k), "sets")
     both = pairs.join(sets.select(F.col("rid").alias("x"), F.col("shingles").alias("sx")), "x").join(sets.select(F.col("rid").alias("y"), F.col("shingles").alias("sy")), "y")
     return scratch.table(both.where(enough(F.size(F.array_intersect("sx", "sy")), F.size("sx"), F.size("sy"), percent)).select("x", "y"), "links")
@@ -179,25 +177,26 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     scratch = Scratch(docs.sparkSession, "jaccard")
     # Stored, so that row numbers given on the way stay what they are.
     rows = scratch.table(rows_of(docs, k, percent, common_shingles(docs, k)).withColumn("rid", F.monotonically_increasing_id()), "rows")
-    reps = rows.where("n > 0").groupBy("fp").agg(F.min(F.struct("rid", "doc_id")).alias("r"), F.min("doc_id").alias("least"), F.first("n").alias("n"), F.first("prefix").alias("prefix"), F.first("sketch").alias("sketch"), F.first("wide").alias("wide"))
-    reps = scratch.table(reps.select("fp", F.col("r.rid").alias("rid"), F.col("r.doc_id").alias("doc_id"), "least", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)), "wide", "prefix"), "reps")
-    sizes = reps.select("rid", "n", *(f"w{i}" for i in range(SKETCH)))
+    reps = rows.where("n > 0").groupBy("fp").agg(F.min(F.struct("rid", "doc_id")).alias("r"), F.min("doc_id").alias("least"))
+    reps = scratch.table(reps.select("fp", F.col("r.rid").alias("rid"), F.col("r.doc_id").alias("doc_id"), "least"), "reps")
+    own = rows.join(reps.select("rid"), "rid")
+    sizes = own.select("rid", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)))
 
-    columns = scratch.table(runs(reps.select(F.explode("prefix").alias("token"), "rid")), "columns")
+    columns = scratch.table(runs(own.select(F.explode("prefix").alias("token"), "rid")), "columns")
     star = columns.where("rid <> pivot").select(F.col("rid").alias("x"), F.col("pivot").alias("y")).distinct()
     star = star.join(sizes.alias("a"), F.col("x") == F.col("a.rid")).join(sizes.alias("b"), F.col("y") == F.col("b.rid")).where(possible(percent)).select("x", "y")
-    links = counted(scratch, docs, reps, star, k, percent)
+    links = counted(scratch, docs, rows, star, k, percent)
 
     found = components(scratch, links, "x", "y")
     labelled = columns.select("token", "rid").join(found.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
     open_ = labelled.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
-    open_rows = scratch.table(labelled.join(open_, "token", "left_semi").join(sizes.join(reps.select("rid", "wide"), "rid"), "rid"), "open")
-    rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent) & still_possible("a", "b", percent))
+    open_rows = scratch.table(labelled.join(open_, "token", "left_semi").join(sizes, "rid"), "open")
+    rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent))
     # A pair shares as much as its parts of the product show, and at most all that lies beyond one's part.
     beyond = lambda n: F.floor((percent * F.col(n) + 99) / 100) - 1
     rest = rest.groupBy(F.col("a.rid").alias("x"), F.col("b.rid").alias("y"), F.col("a.n").alias("nx"), F.col("b.n").alias("ny")).agg(F.count("*").alias("shared"))
     rest = rest.where(enough(F.col("shared") + F.greatest(beyond("nx"), beyond("ny")), F.col("nx"), F.col("ny"), percent))
-    more = counted(scratch, docs, reps, rest.select("x", "y"), k, percent)
+    more = counted(scratch, docs, rows, rest.select("x", "y"), k, percent)
 
     final = components(scratch, links.unionByName(more), "x", "y")
     named = reps.select("fp", "rid", "least").join(final.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
