@@ -179,7 +179,9 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     rows = scratch.table(rows_of(docs, k, percent, common_shingles(docs, k)).withColumn("rid", F.monotonically_increasing_id()), "rows")
     reps = rows.where("n > 0").groupBy("fp").agg(F.min(F.struct("rid", "doc_id")).alias("r"), F.min("doc_id").alias("least"))
     reps = scratch.table(reps.select("fp", F.col("r.rid").alias("rid"), F.col("r.doc_id").alias("doc_id"), "least"), "reps")
-    own = rows.join(reps.select("rid"), "rid")
+    # Rows that are not their class's: few as a rule, so that the others need not be shuffled to lose them.
+    copies = scratch.table(rows.where("n > 0").select("rid", "fp").join(reps.select("rid"), "rid", "left_anti").select("rid"), "copies")
+    own = rows.where("n > 0").join(small(copies), "rid", "left_anti")
     sizes = own.select("rid", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)))
 
     columns = scratch.table(runs(own.select(F.explode("prefix").alias("token"), "rid")), "columns")
