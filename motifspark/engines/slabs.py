@@ -37,14 +37,21 @@ def adjacency(pdf: pd.DataFrame, tree_predicates: list[str], ties: str) -> kerne
     return kernels.Adjacency(*(pdf[c].to_numpy(dtype=np.int64) for c in ("edge_id", "src", "dst", "t", "tie")), ties, passes)
 
 
+def counted(total: dict[str, int]) -> pd.DataFrame:
+    return pd.DataFrame({"motif": pd.Series(list(total), dtype=object), "n": pd.Series(list(total.values()), dtype="int64")})
+
+
 def rows(kernel, a: kernels.Adjacency, owned: np.ndarray, delta: int, mode: str) -> pd.DataFrame:
     if mode == "count":
-        return pd.DataFrame(list(kernels.tally(kernel, a, owned, delta).items()), columns=["motif", "n"])
+        return counted(kernels.tally(kernel, a, owned, delta))
     parts = []
     for query, e in kernels.found(kernel, a, owned, delta):
         ids = np.stack([a.edge_id[x] for x in e], axis=1)
         parts.append(pd.DataFrame({"motif": query, "edge_path": ["-".join(map(str, r)) for r in ids.tolist()], "t_first": a.t[e[0]], "t_last": a.t[e[-1]]}))
-    return pd.concat(parts) if parts else pd.DataFrame({"motif": [], "edge_path": [], "t_first": [], "t_last": []})
+    if not parts:
+        return pd.DataFrame({c: pd.Series([], dtype=k) for c, k in (("motif", object), ("edge_path", object), ("t_first", "int64"), ("t_last", "int64"))})
+    # Plain objects: joined Arrow-backed strings would be chunked, which the way back to Spark refuses.
+    return pd.concat([p.astype({"motif": object, "edge_path": object}) for p in parts], ignore_index=True)
 
 
 def run(edges: DataFrame, tree: PrefixTree, delta: int, slabs: Slabs, mode: str = "count", ties: str = "strict", kernel: str = "special", split_siblings: bool = False, anchored: str | None = None) -> DataFrame:
@@ -92,7 +99,7 @@ def finish(frontier: DataFrame, at: tuple[Edge, ...], edges: DataFrame, tree: Pr
 
     def work(key: tuple, front: pd.DataFrame, pdf: pd.DataFrame) -> pd.DataFrame:
         if not len(front) or not len(pdf):
-            return pd.DataFrame({"motif": [], "n": []})
+            return counted({})
         a = adjacency(pdf, wanted, ties)
         total: dict[str, int] = {}
 
@@ -110,7 +117,7 @@ def finish(frontier: DataFrame, at: tuple[Edge, ...], edges: DataFrame, tree: Pr
             v = [np.searchsorted(a.ids, part[f"v{k}"].to_numpy()) for k in range(n)]
             last = a.last_rank(part["t_last"].to_numpy()) if ties == "strict" else np.array([np.flatnonzero((a.t == t) & (a.edge_id == e))[0] for t, e in zip(part["t_last"], part["tie_last"], strict=True)], dtype=np.int64)
             descend(at, v, last, a.last_rank(part["t_first"].to_numpy() + delta))
-        return pd.DataFrame(list(total.items()), columns=["motif", "n"])
+        return counted(total)
 
     cols = [*(f"v{k}" for k in range(n)), "t_first", "t_last", "tie_last"]
     f = frontier.select(*cols, slabs.index(F.col("t_first")).alias("slab")).withColumn("owner", F.pmod(F.xxhash64(*cols), F.lit(owners)).cast("int"))

@@ -80,35 +80,43 @@ class TemporalGraph:
         return TemporalGraph(e if self_loops else e.where("src <> dst"), self.vertices, self.sides, self.name)
 
     def is_bipartite(self, max_rounds: int = 64) -> bool:
-        """Two-colouring by label propagation: each vertex takes the smallest (root, parity) among its neighbours.
+        """Two-colouring by label propagation with pointer jumping.
 
-        The graph is bipartite iff, when nothing changes any more, no edge joins equal sides.
-        Labels are cut from their lineage by a checkpoint in the shared folder, or by a cached
-        table where none is set.
+        Each vertex holds a root and the parity of a way to it; it takes the smallest pair among
+        its own, its neighbours' (parity turned) and its root's.  When nothing changes any more,
+        the graph is bipartite iff no edge joins equal sides of one root.  Each round's labels
+        are written to the shared folder and read again: no lineage grows, no executor's loss matters.
         """
         if self.sides is not None:
             return self.sides
+        from .sources.readers import scratch_path
+
+        spark = self.edges.sparkSession
+        folder, kept = scratch_path(spark), 0
+
+        def stored(df: DataFrame) -> DataFrame:
+            nonlocal kept
+            kept += 1
+            df.write.parquet(f"{folder}/{kept}")
+            return spark.read.schema(df.schema).parquet(f"{folder}/{kept}")
+
         pairs = self.edges.select("src", "dst").distinct()
-        both = pairs.unionByName(pairs.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct().persist()
+        both = stored(pairs.unionByName(pairs.select(F.col("dst").alias("src"), F.col("src").alias("dst"))).distinct())
         if not both.where("src = dst").isEmpty():
-            both.unpersist()
             return False
-        # Vertex (v, side 0/1) of the double cover; the graph is bipartite iff no v reaches its other side.
-        label = both.select("src").distinct().select(F.col("src").alias("v"), F.col("src").alias("root"), F.lit(0).alias("side")).persist()
-        held = [label]
+        mark = F.struct("root", "side")
+        label = stored(both.select(F.col("src").alias("v")).distinct().select("v", F.col("v").alias("root"), F.lit(0).alias("side")))
         for _ in range(max_rounds):
-            near = both.join(label.select(F.col("v").alias("dst"), "root", (1 - F.col("side")).alias("side")), "dst").groupBy("src").agg(F.min(F.struct("root", "side")).alias("m"))
-            new = label.join(near, label.v == near.src).select("v", F.least(F.struct("root", "side"), "m").alias("b"), F.struct("root", "side").alias("was")).select("v", "b.root", "b.side", (F.col("b") != F.col("was")).alias("moved")).persist()
-            held.append(new)
+            near = both.join(label.select(F.col("v").alias("dst"), "root", (1 - F.col("side")).alias("side")), "dst").groupBy(F.col("src").alias("v")).agg(F.min(mark).alias("m"))
+            step = label.join(near, "v").select("v", F.least(mark, F.col("m")).alias("b"), mark.alias("was"))
+            jump = step.join(label.toDF("hop", "hop_root", "hop_side"), F.col("b.root") == F.col("hop"))
+            jump = jump.select("v", F.least(F.col("b"), F.struct(F.col("hop_root").alias("root"), F.pmod(F.col("b.side") + F.col("hop_side"), F.lit(2)).alias("side"))).alias("b"), "was")
+            new = stored(jump.select("v", F.col("b.root").alias("root"), F.col("b.side").alias("side"), (F.col("b") != F.col("was")).alias("moved")))
+            label = new.select("v", "root", "side")
             if new.where("moved").isEmpty():
                 break
-            label = new.select("v", "root", "side")
-        final = new.select("v", "root", "side")
-        clash = both.join(final.toDF("src", "r1", "s1"), "src").join(final.toDF("dst", "r2", "s2"), "dst").where("r1 = r2 and s1 = s2")
-        out = clash.isEmpty()
-        for x in [both, *held]:
-            x.unpersist()
-        return out
+        clash = both.join(label.toDF("src", "r1", "s1"), "src").join(label.toDF("dst", "r2", "s2"), "dst").where("r1 = r2 and s1 = s2")
+        return clash.isEmpty()
 
 
 def from_edge_list(df: DataFrame, src: str = "src", dst: str = "dst", t: str = "t", edge_id: str | None = None, attrs: tuple[str, ...] = ()) -> TemporalGraph:
