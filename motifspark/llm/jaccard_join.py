@@ -11,6 +11,7 @@ that no block's pairs are ever written out:
 1. Each row is paired with the block's first row only (its pivot); the pairs' sizes and
    512-bit sketches bound the overlap they can have, pairs below the bound go, the rest
    is counted exactly.  The links found join most rows of a large block.
+   In blocks that stay divided this is repeated with other pivots.
 2. In blocks whose rows are still in several components, rows of different components
    are paired, under the same bounds inside the join, and counted exactly.
 Components of all links are then those of the whole join: a pair left out is either below
@@ -39,8 +40,11 @@ SHINGLE, PERCENT = 5, 75
 #: One document in so many is in the sample that orders the shingles; its count from which a shingle is common; how many of those are used.
 SAMPLE_ONE_IN, COMMON, MAX_COMMON = 8, 2, 500_000
 SKETCH = 8  # words of 64 bits
-#: Larger sets have a second, wider sketch: (size above which, words).
-WIDE = [(512, 64), (4096, 512)]
+#: A second, wider sketch, read for single pairs only: (size above which, words).
+WIDE = [(0, 32), (512, 64), (4096, 512)]
+#: Smallest hashes of a set's part of the product that its rows carry, so that a pair is written once and not once a shingle.
+#: And how often rows of open blocks are paired with a pivot chosen anew, at most.
+HEAD, ROUNDS = 4, 3
 
 
 def sets_of(part: pa.RecordBatch, k: int) -> Iterator[np.ndarray]:
@@ -182,23 +186,36 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     # Rows that are not their class's: few as a rule, so that the others need not be shuffled to lose them.
     copies = scratch.table(rows.where("n > 0").select("rid", "fp").join(reps.select("rid"), "rid", "left_anti").select("rid"), "copies")
     own = rows.where("n > 0").join(small(copies), "rid", "left_anti")
-    sizes = own.select("rid", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)))
+    sizes = own.select("rid", "n", *(F.col("sketch")[i].alias(f"w{i}") for i in range(SKETCH)), F.slice(F.array_sort("prefix"), 1, HEAD).alias("head"))
 
     columns = scratch.table(runs(own.select(F.explode("prefix").alias("token"), "rid")), "columns")
     star = columns.where("rid <> pivot").select(F.col("rid").alias("x"), F.col("pivot").alias("y")).distinct()
     star = star.join(sizes.alias("a"), F.col("x") == F.col("a.rid")).join(sizes.alias("b"), F.col("y") == F.col("b.rid")).where(possible(percent)).select("x", "y")
     links = counted(scratch, docs, rows, star, k, percent)
 
-    found = components(scratch, links, "x", "y")
-    labelled = columns.select("token", "rid").join(found.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
-    open_ = labelled.groupBy("token").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("token")
-    open_rows = scratch.table(labelled.join(open_, "token", "left_semi").join(sizes, "rid"), "open")
-    rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent))
-    # A pair shares as much as its parts of the product show, and at most all that lies beyond one's part.
-    beyond = lambda n: F.floor((percent * F.col(n) + 99) / 100) - 1
-    rest = rest.groupBy(F.col("a.rid").alias("x"), F.col("b.rid").alias("y"), F.col("a.n").alias("nx"), F.col("b.n").alias("ny")).agg(F.count("*").alias("shared"))
-    rest = rest.where(enough(F.col("shared") + F.greatest(beyond("nx"), beyond("ny")), F.col("nx"), F.col("ny"), percent))
-    more = counted(scratch, docs, rows, rest.select("x", "y"), k, percent)
+    for again in range(1, ROUNDS + 1):
+        found = components(scratch, links, "x", "y")
+        known = own.select("rid", "n").join(found.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
+        labelled = scratch.table(columns.select("token", "rid").join(known, "rid"), "labelled", at := [])
+        # Blocks with rows of several components; of two rows that their sizes part, none are.
+        open_ = labelled.groupBy("token").agg(F.count("*").alias("m"), F.min("c").alias("lo"), F.max("c").alias("hi"), F.min("n").alias("short"), F.max("n").alias("long"), F.min_by(F.struct("rid", "c"), F.xxhash64("rid", "token", F.lit(again))).alias("pivot"))
+        open_ = open_.where((F.col("lo") != F.col("hi")) & ((F.col("m") > 2) | (100 * F.col("short") >= percent * F.col("long")))).select("token", "pivot")
+        if again == ROUNDS:
+            break
+        # In large blocks rows meet another pivot: most of a group of near copies joins before any pair of its is looked at.
+        star = labelled.join(open_, "token").where("c <> pivot.c").select(F.col("rid").alias("x"), F.col("pivot.rid").alias("y")).distinct()
+        star = star.join(sizes.alias("a"), F.col("x") == F.col("a.rid")).join(sizes.alias("b"), F.col("y") == F.col("b.rid")).where(possible(percent)).select("x", "y")
+        new = counted(scratch, docs, rows, star, k, percent)
+        scratch.drop(at[0])
+        if new.isEmpty():
+            continue
+        links = links.unionByName(new)
+    open_rows = scratch.table(labelled.join(open_.select("token"), "token", "left_semi").drop("n").join(sizes, "rid"), "open")
+    # A pair whose heads meet is taken in the block of the first shingle they share, any other in all its blocks.
+    meet = F.get(F.array_intersect("a.head", "b.head"), F.lit(0))
+    once = meet.isNull() | (meet == F.col("a.token"))
+    rest = open_rows.alias("a").join(open_rows.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.rid") < F.col("b.rid")) & (F.col("a.c") != F.col("b.c")) & enough(F.least("a.n", "b.n"), F.col("a.n"), F.col("b.n"), percent) & possible(percent) & once)
+    more = counted(scratch, docs, rows, rest.select(F.col("a.rid").alias("x"), F.col("b.rid").alias("y")).distinct(), k, percent)
 
     final = components(scratch, links.unionByName(more), "x", "y")
     named = reps.select("fp", "rid", "least").join(final.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))

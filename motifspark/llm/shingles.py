@@ -75,4 +75,4 @@ def grams(words: np.ndarray, k: int) -> np.ndarray:
 
 def shingle_set(words: np.ndarray, k: int = 5) -> np.ndarray:
     """Sorted distinct shingle hashes as int64; with fewer words the whole sequence is one, without words there is none."""
-    return np.unique(grams(words, min(k, len(words)))).view(np.int64) if len(words) else np.zeros(0, dtype=np.int64)
+    return np.unique(grams(words, min(k, len(words))).view(np.int64)) if len(words) else np.zeros(0, dtype=np.int64)
