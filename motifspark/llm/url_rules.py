@@ -3,7 +3,7 @@
 Each labelled url is a basket of tokens (its host's suffixes, its path segments without
 figures, the names of its query's parameters) plus one class token.  Spark's FP-growth
 finds frequent token sets; association rules whose consequent is the bad class are kept
-if support, confidence and lift pass, and if no shorter rule says the same (a superset
+if support (a number of labelled bad pages), confidence and lift pass, and if no shorter rule says the same (a superset
 adds nothing where a subset already blocks).  Matching is by inverted index: one rule
 token (the rarest one) opens the rule, the others are then required.
 
@@ -33,7 +33,8 @@ RULES = [
     ("block", "example.net", "/de/8"),
     ("block", "org", "/es/"),
 ]
-MIN_SUPPORT, MIN_CONFIDENCE, MIN_LIFT, MAX_TOKENS = 0.01, 0.6, 2.0, 3
+#: MIN_BAD counts labelled bad pages a rule fits, so that a small host can give a rule in a table of any size.
+MIN_BAD, MIN_CONFIDENCE, MIN_LIFT, MAX_TOKENS = 5, 0.6, 2.0, 3
 BAD = "class=bad"
 
 
@@ -60,14 +61,16 @@ def tokens(host: Column, path: Column, url: Column) -> Column:
     return F.when(host == "", F.array().cast("array<string>")).otherwise(F.array_distinct(F.concat(suffixes, segments, names)))
 
 
-def mine(baskets: DataFrame, min_support: float = MIN_SUPPORT, min_confidence: float = MIN_CONFIDENCE, min_lift: float = MIN_LIFT) -> DataFrame:
+def mine(baskets: DataFrame, min_bad: int = MIN_BAD, min_confidence: float = MIN_CONFIDENCE, min_lift: float = MIN_LIFT) -> DataFrame:
     """baskets: rows (items array<string>, bad boolean) -> rows (rule array<string>, confidence, lift, support)."""
     b = baskets.select(F.when(F.col("bad"), F.concat("items", F.array(F.lit(BAD)))).otherwise(F.col("items")).alias("items")).where(F.size("items") > 0)
     spark = baskets.sparkSession
     schema = "rule array<string>, confidence double, lift double, support double"
-    if b.isEmpty():
+    n, bad = b.agg(F.count("*"), F.count_if(F.array_contains("items", BAD))).first()
+    if bad < max(min_bad, 1):
         return spark.createDataFrame([], schema)
-    model = FPGrowth(itemsCol="items", minSupport=min_support, minConfidence=min_confidence).fit(b)
+    # FP-growth rounds share x baskets up to a count: half a page less keeps the count exact.
+    model = FPGrowth(itemsCol="items", minSupport=(max(min_bad, 1) - 0.5) / n, minConfidence=min_confidence).fit(b)
     rules = model.associationRules.where((F.size("consequent") == 1) & (F.col("consequent")[0] == BAD) & (F.col("lift") >= min_lift) & (F.size("antecedent") <= MAX_TOKENS))
     return rules.select(F.array_sort("antecedent").alias("rule"), "confidence", "lift", "support")
 

@@ -332,6 +332,15 @@ def test_url_rules(spark):
     assert url_rules.judge(spark.createDataFrame([], PAGES), none).count() == 0
 
 
+def test_url_rules_small_host(spark):
+    """Support is a number of bad pages: a host far below one page in a hundred gives a rule, one below the number gives none."""
+    rows = [(k, f"http://good{k % 9}.test/read/{k}", None) for k in range(1500)]
+    rows += [(2000 + k, f"http://pills.test/{k}", None) for k in range(9)] + [(3000 + k, f"http://rare.test/{k}", None) for k in range(9)]
+    labels = [(k, 1, 0) for k in range(1500)] + [(2000 + k, 0, 0) for k in range(url_rules.MIN_BAD)] + [(3000 + k, 0, 0) for k in range(url_rules.MIN_BAD - 1)]
+    got = url_rules.judge(spark.createDataFrame(rows, PAGES), spark.createDataFrame(labels, "doc_id bigint, quality int, toxic int"))
+    assert {r.page_id for r in got.where("mined").collect()} == set(range(2000, 2009))
+
+
 def test_language_id(spark):
     rng = random.Random(2)
     stock = {"aa": ["thing", "other", "water", "house"], "bb": ["zug", "krieg", "wasser", "haus"]}
