@@ -3,7 +3,7 @@
 Each labelled url is a basket of tokens (its host's suffixes, its path segments without
 figures, the names of its query's parameters) plus one class token.  Spark's FP-growth
 finds frequent token sets; association rules whose consequent is the bad class are kept
-if support (a number of labelled bad pages), confidence and lift pass, and if no shorter rule says the same (a superset
+if support (a number of labelled bad pages) and confidence pass, whatever their length, and if no shorter rule says the same (a superset
 adds nothing where a subset already blocks).  Matching is by inverted index: one rule
 token (the rarest one) opens the rule, the others are then required.
 
@@ -34,7 +34,7 @@ RULES = [
     ("block", "org", "/es/"),
 ]
 #: MIN_BAD counts labelled bad pages a rule fits, so that a small host can give a rule in a table of any size.
-MIN_BAD, MIN_CONFIDENCE, MIN_LIFT, MAX_TOKENS = 5, 0.6, 2.0, 3
+MIN_BAD, MIN_CONFIDENCE = 5, 0.6
 BAD = "class=bad"
 
 
@@ -61,7 +61,7 @@ def tokens(host: Column, path: Column, url: Column) -> Column:
     return F.when(host == "", F.array().cast("array<string>")).otherwise(F.array_distinct(F.concat(suffixes, segments, names)))
 
 
-def mine(baskets: DataFrame, min_bad: int = MIN_BAD, min_confidence: float = MIN_CONFIDENCE, min_lift: float = MIN_LIFT) -> DataFrame:
+def mine(baskets: DataFrame, min_bad: int = MIN_BAD, min_confidence: float = MIN_CONFIDENCE) -> DataFrame:
     """baskets: rows (items array<string>, bad boolean) -> rows (rule array<string>, confidence, lift, support)."""
     b = baskets.select(F.when(F.col("bad"), F.concat("items", F.array(F.lit(BAD)))).otherwise(F.col("items")).alias("items")).where(F.size("items") > 0)
     spark = baskets.sparkSession
@@ -71,22 +71,26 @@ def mine(baskets: DataFrame, min_bad: int = MIN_BAD, min_confidence: float = MIN
         return spark.createDataFrame([], schema)
     # FP-growth rounds share x baskets up to a count: half a page less keeps the count exact.
     model = FPGrowth(itemsCol="items", minSupport=(max(min_bad, 1) - 0.5) / n, minConfidence=min_confidence).fit(b)
-    rules = model.associationRules.where((F.size("consequent") == 1) & (F.col("consequent")[0] == BAD) & (F.col("lift") >= min_lift) & (F.size("antecedent") <= MAX_TOKENS))
+    rules = model.associationRules.where((F.size("consequent") == 1) & (F.col("consequent")[0] == BAD))
     return rules.select(F.array_sort("antecedent").alias("rule"), "confidence", "lift", "support")
 
 
 def pruned(rules: DataFrame) -> DataFrame:
     """Without the rules of which a proper subset is a rule: it blocks all that they block."""
-    one = rules.select(F.col("rule").alias("sub"))
-    parts = rules.withColumn("t", F.explode("rule")).join(one.withColumn("t", F.explode("sub")), "t")
-    covered = parts.where(F.size("sub") < F.size("rule")).groupBy("rule", "sub").count().where(F.col("count") == F.size("sub")).select("rule").distinct()
+    parts = rules.select("rule", F.explode("rule").alias("t"))
+    inside = parts.join(opening(rules, parts.groupBy("t").agg(F.count("*").alias("n"))).withColumnRenamed("rule", "sub"), "t")
+    covered = inside.where((F.size("sub") < F.size("rule")) & (F.size(F.array_except("sub", "rule")) == 0)).select("rule").distinct()
     return rules.join(covered, "rule", "left_anti")
 
 
+def opening(rules: DataFrame, frequency: DataFrame) -> DataFrame:
+    """(rule, t): the rarest token of each rule."""
+    return rules.withColumn("t", F.explode("rule")).join(frequency, "t", "left").groupBy("rule").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "t"))["t"].alias("t"))
+
+
 def matched(urls: DataFrame, rules: DataFrame, frequency: DataFrame) -> DataFrame:
     """urls: rows (key, items) -> keys that some rule fits, by the inverted index of each rule's rarest token."""
-    opened = rules.withColumn("t", F.explode("rule")).join(frequency, "t", "left").groupBy("rule").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "t"))["t"].alias("t"))
-    opened = small(opened)
+    opened = small(opening(rules, frequency))
     hits = urls.withColumn("t", F.explode("items")).join(opened, "t").where(F.size(F.array_except("rule", "items")) == 0)
     return hits.select("key").distinct()
 

@@ -6,6 +6,7 @@ import random
 import re
 import zlib
 from collections import Counter, defaultdict
+from itertools import combinations
 
 import numpy as np
 import pytest
@@ -341,6 +342,26 @@ def test_url_rules_small_host(spark):
     assert {r.page_id for r in got.where("mined").collect()} == set(range(2000, 2009))
 
 
+@pytest.mark.parametrize("share", [0.2, 0.7, 1.0])
+def test_url_rules_mined(spark, share):
+    """The shortest rules by support and confidence alone, of any length and at any share of bad pages, against a plain version."""
+    rng = random.Random(5)
+    baskets = [(rng.sample("abcdefg", rng.randrange(1, 7)), rng.random() < share) for _ in range(120)]
+    four = ["w", "x", "y", "z"]  # only all four together are bad
+    baskets += [(four, True)] * 10 + [([*four[:k], *four[k + 1 :], f"v{k}"], False) for k in range(4) for _ in range(10)]
+    subsets = Counter()
+    bads = Counter()
+    for items, bad in baskets:
+        for n in range(1, len(items) + 1):
+            for c in combinations(sorted(items), n):
+                subsets[c] += 1
+                bads[c] += bad
+    rules = {c for c in subsets if bads[c] >= url_rules.MIN_BAD and bads[c] / subsets[c] >= url_rules.MIN_CONFIDENCE}
+    want = {c for c in rules if not any(r != c and set(r) < set(c) for r in rules)}
+    got = url_rules.pruned(url_rules.mine(spark.createDataFrame(baskets, "items array<string>, bad boolean"))).collect()
+    assert tuple(four) in want and len(got) == len(want) and {tuple(r.rule) for r in got} == want
+
+
 def test_language_id(spark):
     rng = random.Random(2)
     stock = {"aa": ["thing", "other", "water", "house"], "bb": ["zug", "krieg", "wasser", "haus"]}
