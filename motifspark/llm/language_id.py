@@ -3,8 +3,9 @@
 posterior(l) ~ prior(l | host) * P(text | l) * P(declared markup language | l) * P(address suffix | l)
 
 * Text: naive Bayes over hashed byte trigrams of the visible text, trained on a bounded
-  sample of the labelled documents (TRAIN_DOCS, by a hash of doc_id).  Trigrams depend on
-  each other, so a text counts as at most EFFECTIVE independent ones.
+  sample of each language's labelled documents (DOCS_A_LANGUAGE, by a hash of doc_id), so
+  that every language found can be given.  Trigrams depend on each other, so a text counts
+  as at most EFFECTIVE independent ones.
 * Declared language (``<html lang>``) and address suffix (the host's last label): counts
   over all pages of value by text language, smoothed.
 * Host prior: counts by text language of the host, smoothed towards those of its parent
@@ -25,12 +26,13 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .arrow_text import slices, small_batches
 from .common import Scratch, small
 
-TRAIN_DOCS, BUCKETS, MAX_LANGUAGES, EFFECTIVE, STRENGTH = 4_000, 1 << 15, 32, 60, 5.0
+DOCS_A_LANGUAGE, BUCKETS, EFFECTIVE, STRENGTH = 1_000, 1 << 15, 60, 5.0
 GONE = re.compile(r"<!--.*?-->|<(script|style|head)\b.*?</\1\s*>|<[^>]*>", re.DOTALL | re.IGNORECASE)
 DECLARED = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]+)", re.IGNORECASE)
 
@@ -49,9 +51,11 @@ def trigrams(text: str) -> np.ndarray:
 
 
 def train(docs: DataFrame) -> tuple[list[str], np.ndarray]:
-    """Languages and their log probabilities of the buckets."""
-    ids = docs.where("lang is not null and doc_id is not null").select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(TRAIN_DOCS)
-    taught = docs.select("doc_id", "lang", "text").where("lang is not null").join(F.broadcast(ids), "doc_id").select("lang", "text")
+    """Languages, all there are, and their log probabilities of the buckets."""
+    place = F.row_number().over(W.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))
+    ids = docs.where("lang is not null and doc_id is not null").select("lang", "doc_id").distinct().withColumn("place", place).where(F.col("place") <= DOCS_A_LANGUAGE).drop("place")
+    ids = Scratch(docs.sparkSession, "language").table(ids, "sample")
+    taught = docs.select("doc_id", "lang", "text").where("lang is not null").join(small(ids), ["lang", "doc_id"]).select("lang", "text")
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -63,13 +67,13 @@ def train(docs: DataFrame) -> tuple[list[str], np.ndarray]:
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at.astype(np.int32)), pa.array(n[at])], ["lang", "bucket", "n"])
 
     rows = taught.mapInArrow(work, "lang string, bucket int, n bigint").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
-    sums = rows.groupBy("lang").agg(F.sum("n").alias("s")).orderBy(F.desc("s"), "lang").limit(MAX_LANGUAGES)
-    got = rows.join(F.broadcast(sums.select("lang")), "lang").collect()  # MAX_LANGUAGES * BUCKETS rows at most
-    langs = sorted({r["lang"] for r in got})
-    n = np.full((len(langs), BUCKETS), 0.5)
-    for r in got:
-        n[langs.index(r["lang"]), r["bucket"]] += r["n"]
-    return langs, np.log(n / n.sum(axis=1, keepdims=True)) if langs else n
+    got = {}
+    for r in rows.groupBy("lang").agg(F.collect_list("bucket").alias("at"), F.collect_list("n").alias("n")).toLocalIterator():  # a row a language, BUCKETS numbers at most
+        n = np.full(BUCKETS, 0.5)
+        n[r["at"]] += r["n"]
+        got[r["lang"]] = np.log(n / n.sum())
+    langs = sorted(got)
+    return langs, np.array([got[x] for x in langs])
 
 
 def evidence(pages: DataFrame, langs: list[str], table: np.ndarray) -> DataFrame:

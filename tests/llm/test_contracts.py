@@ -362,6 +362,17 @@ def test_url_rules_mined(spark, share):
     assert tuple(four) in want and len(got) == len(want) and {tuple(r.rule) for r in got} == want
 
 
+def test_language_id_many(spark):
+    """Forty languages, most of them with three documents beside thousands: none is left out."""
+    def text(lang, n):
+        return "".join(chr(0x4E00 + 50 * lang + random.Random(n * 100 + k).randrange(50)) for k in range(40))
+
+    docs = [(k, f"l{k % 2:02}", text(k % 2, k)) for k in range(5000)] + [(5000 + k, f"l{k // 3:02}", text(k // 3, k)) for k in range(6, 120)]
+    pages = [(k, f"http://h{k}.test/", f"<p>{text(k, 7)}</p>") for k in range(40)]
+    got = language_id.identify(spark.createDataFrame(pages, PAGES), spark.createDataFrame(docs, "doc_id bigint, lang string, text string"))
+    assert {r.page_id: r.lang for r in got.collect()} == {k: f"l{k:02}" for k in range(40)}
+
+
 def test_language_id(spark):
     rng = random.Random(2)
     stock = {"aa": ["thing", "other", "water", "house"], "bb": ["zug", "krieg", "wasser", "haus"]}
