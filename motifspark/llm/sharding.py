@@ -49,18 +49,26 @@ def communication_matrix(sizes: np.ndarray, shards: int, seed: int) -> np.ndarra
 
 
 def hypergeometric(rng: np.random.Generator, good: int, bad: int, sample: int) -> int:
-    """numpy's draw, split into parts where its arguments would pass 10**9."""
+    """An exact draw (to the rounding of doubles): numpy's below its limit of 10**9, by inversion around the mode from there on."""
     if good == 0 or sample == 0:
         return 0
     if bad == 0:
         return min(sample, good)
     if good + bad < 1_000_000_000:
         return int(rng.hypergeometric(good, bad, sample))
-    # Large pools: a normal draw within the support differs by less than a row in a thousand standard deviations.
     n = good + bad
-    mean = sample * good / n
-    sd = (mean * (bad / n) * ((n - sample) / (n - 1))) ** 0.5
-    return int(min(max(round(rng.normal(mean, sd)), max(0, sample - bad)), min(good, sample)))
+    low, high = max(0, sample - bad), min(good, sample)
+    mode = min(max((sample + 1) * (good + 1) // (n + 2), low), high)
+    # Beyond this many rows from the mode all chances together are less than a double resolves.
+    reach = 60 + int(12 * (sample * (good / n) * (bad / n) * ((n - sample) / (n - 1))) ** 0.5)
+    low, high = max(low, mode - reach), min(high, mode + reach)
+    # Chances relative to the mode's, from the ratios of neighbours.
+    k = np.arange(mode, high, dtype=np.float64)
+    above = np.cumprod((good - k) / (k + 1) * ((sample - k) / (bad - sample + k + 1)))
+    k = np.arange(mode, low, -1, dtype=np.float64)
+    below = np.cumprod(k / (good - k + 1) * ((bad - sample + k) / (sample - k + 1)))
+    chances = np.cumsum(np.concatenate((below[::-1], [1.0], above)))
+    return low + min(int(np.searchsorted(chances, rng.random() * chances[-1], side="right")), high - low)
 
 
 def shard(df: DataFrame, shards: int, key: list, seed: int = 0, partitions: int | None = None) -> DataFrame:

@@ -2,10 +2,12 @@
 
 import hashlib
 import json
+import math
 import random
 import re
 import zlib
 from collections import Counter, defaultdict
+from fractions import Fraction
 from itertools import combinations
 
 import numpy as np
@@ -305,6 +307,29 @@ def test_toxicity_gradient():
     assert w[0] > 3 and w[0] > 5 * w[1] and b < -1
 
 
+@pytest.mark.parametrize(("good", "bad", "sample"), [(10**9, 99 * 10**9, 10), (6 * 10**8, 9 * 10**8, 12), (3, 10**10, 5 * 10**9), (10**10, 4, 10**10 - 1), (2, 10**9, 10**9)])
+def test_hypergeometric_large(good, bad, sample):
+    """The exact law on pools beyond numpy's limit."""
+    rng = np.random.default_rng(3)
+    draws = 20_000
+    got = Counter(sharding.hypergeometric(rng, good, bad, sample) for _ in range(draws))
+
+    def choose(n, k):
+        return Fraction(math.prod(range(n - k + 1, n + 1)), math.factorial(k))
+
+    # Few good, few bad or few drawn: the chance of k by the smallest of the three.
+    n, low, high = good + bad, max(0, sample - bad), min(good, sample)
+    assert low <= min(got) and max(got) <= high
+    for k in range(low, high + 1):
+        if sample <= 20:
+            p = choose(good, k) * choose(bad, sample - k) / choose(n, sample)
+        elif good <= 20:
+            p = choose(sample, k) * choose(n - sample, good - k) / choose(n, good)
+        else:
+            p = choose(sample, sample - k) * choose(n - sample, bad - sample + k) / choose(n, bad)
+        assert abs(got[k] - draws * p) <= 5 * (draws * p) ** 0.5 + 1
+
+
 PAGES = "page_id bigint, url string, html string"
 URLS = ["https://a.Example.com/en/712?x=1", "http://example.com/en/1", "http://b.net/de/8", "http://example.net/de/81#t", "http://x.example.net/de/8/", "ftp://q.org/es/", "http://org/es/1?u", "nourl", None, "http://EXAMPLE.org", "https://badexample.com/en/7", "://h/en/", "http://m.com?/en/", "http://com/en/"]
 
