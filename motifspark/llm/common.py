@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -59,6 +60,32 @@ def small(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_ROWS) -
     return F.broadcast(df) if n <= limit else df
 
 
+def without(docs: DataFrame, rejected: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """The rows of docs that ``rejected`` (docs -> rows with doc_id) does not name; those without doc_id are judged under a hash of their text."""
+    left = docs.join(rejected(docs).select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
+    nameless = docs.where("doc_id is null").withColumn("_text", F.xxhash64("text"))
+    if nameless.isEmpty():
+        return left
+    gone = rejected(nameless.withColumn("doc_id", F.col("_text"))).select(F.col("doc_id").alias("_text")).distinct()
+    return left.where("doc_id is not null").unionByName(nameless.join(gone, "_text", "left_anti").select(*docs.columns))
+
+
+def keepers(docs: DataFrame, key: Column, verdicts: DataFrame) -> DataFrame:
+    """The rows of docs that stay, one of those that repeat doc_id and text.
+
+    ``key`` is a hash of a row's text; verdicts has rows (doc_id, key, gone, n), n how many rows share both.
+    Only rows that repeat are shuffled to lose their copies.
+    """
+    d = docs.withColumn("_key", key)
+    v = verdicts.select(F.col("doc_id").alias("_id"), F.col("key").alias("_of"), "gone", "n")
+    same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_of"))
+    left = d.join(v.where("gone or n > 1"), same, "left_anti").select(*docs.columns)
+    again = v.where("not gone and n > 1")
+    if again.isEmpty():
+        return left
+    return left.unionByName(d.join(again, same, "left_semi").dropDuplicates(["doc_id", "_key"]).select(*docs.columns))
+
+
 def text_or_empty(c: str = "text") -> Column:
     return F.coalesce(F.col(c), F.lit(""))
 

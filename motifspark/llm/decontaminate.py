@@ -13,7 +13,8 @@ of that length too).
 
 Defined results.  Empty and null items match nothing, empty and null documents hold
 nothing.  Rows of one doc_id count as one document if any of them matches; rows without
-doc_id are not reported.  Items that repeat are searched once an item_id.  Empty tables
+doc_id are not reported, but ``survivors`` drops those that hold an item.  Items that repeat
+are searched once an item_id; of texts that share one, each is an item of its own.  Empty tables
 give no rows; extra columns are ignored by ``matches`` and kept by ``survivors``.
 """
 
@@ -22,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, small, text_or_empty
+from .common import Scratch, small, text_or_empty, without
 
 SHINGLE, PERCENT = 5, 75
 
@@ -57,35 +58,35 @@ def items_of(benchmark: DataFrame) -> DataFrame:
 
 
 def sketches(items: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(h, item_id): each item's bottom-k sketch, k by its size partition."""
+    """(h, item): each item's bottom-k sketch, k by its size partition."""
     upper = F.pow(F.lit(2), F.ceil(F.log2("n"))).cast("int")
     k = (upper * (100 - percent) / 100).cast("int") + 1
-    return items.select("item_id", F.explode(F.slice(F.array_sort("hashes"), 1, k)).alias("h")).distinct()
+    return items.select("item", F.explode(F.slice(F.array_sort("hashes"), 1, k)).alias("h")).distinct()
 
 
 def matches(docs: DataFrame, benchmark: DataFrame, percent: int = PERCENT) -> DataFrame:
     """(doc_id, item_id, n_shared, n_item): items of which the document holds at least ``percent`` of the shingles."""
     scratch = Scratch(docs.sparkSession, "decontaminate")
-    items = scratch.table(items_of(benchmark), "items")
+    # Stored, so that item numbers stay what they are: an item_id may be null, or repeat with another text.
+    items = scratch.table(items_of(benchmark).withColumn("item", F.monotonically_increasing_id()), "items")
     sizes = sorted(r[0] for r in items.select("size").distinct().collect())  # five at most
     if not sizes:
         return docs.sparkSession.createDataFrame([], "doc_id bigint, item_id bigint, n_shared int, n_item int")
     sketch = scratch.table(sketches(items, percent), "sketches")
     hashed = docs.where("doc_id is not null").select("doc_id", words().alias("w")).select("doc_id", F.concat(*(shingles("w", s) for s in sizes)).alias("hs"))
     # explode_outer and the late filter below: a filter pushed under the split into words would split again for every shingle.
-    found = hashed.select("doc_id", F.explode_outer("hs").alias("h")).join(small(sketch), "h").select("doc_id", "item_id").distinct()
+    found = hashed.select("doc_id", F.explode_outer("hs").alias("h")).join(small(sketch), "h").select("doc_id", "item").distinct()
     found = scratch.table(found, "candidates")
-    checked = docs.select("doc_id", "text").join(small(found), "doc_id").select("doc_id", "item_id", words().alias("w")).join(small(items.drop("hashes")), "item_id")
+    checked = docs.select("doc_id", "text").join(small(found), "doc_id").select("doc_id", "item", words().alias("w")).join(small(items.drop("hashes")), "item")
     held = by_size("w", "size", True)
     checked = checked.select("doc_id", "item_id", F.size(F.array_intersect("texts", held)).alias("n_shared"), F.col("n").alias("n_item"))
-    checked = checked.groupBy("doc_id", "item_id").agg(F.max("n_shared").alias("n_shared"), F.max("n_item").alias("n_item"))
-    return checked.where(100 * F.col("n_shared") >= percent * F.col("n_item"))
+    checked = checked.where(100 * F.col("n_shared") >= percent * F.col("n_item"))
+    return checked.groupBy("doc_id", "item_id").agg(F.max(F.struct("n_shared", "n_item")).alias("m")).select("doc_id", "item_id", "m.n_shared", "m.n_item")
 
 
 def survivors(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The documents that hold no item, with all their columns."""
-    gone = matches(docs, benchmark).select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    return without(docs, lambda d: matches(d, benchmark))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -21,7 +21,7 @@ from contextlib import contextmanager
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import ASCII_SPACE, Scratch, text_or_empty
+from .common import ASCII_SPACE, Scratch, keepers, text_or_empty
 
 STATE = {
     "spark.sql.streaming.stateStore.providerClass": "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider",
@@ -69,7 +69,7 @@ def run_state(spark: SparkSession, scratch: Scratch, arrivals: str, schema, file
     stream = spark.readStream.schema(schema)
     if files_per_trigger:
         stream = stream.option("maxFilesPerTrigger", files_per_trigger)
-    state = stream.parquet(arrivals).groupBy("digest").agg(F.min(F.struct("id", "locator")).alias("first"), F.count("*").alias("n"))
+    state = stream.parquet(arrivals).groupBy("digest").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "locator")).alias("first"), F.count("*").alias("n"))
 
     def append(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{log}/batch={number}")
@@ -78,7 +78,7 @@ def run_state(spark: SparkSession, scratch: Scratch, arrivals: str, schema, file
         q = state.writeStream.outputMode("update").option("checkpointLocation", scratch.path("state")).trigger(availableNow=True).foreachBatch(append).start()
         q.awaitTermination()
         batches = q.lastProgress["batchId"] + 1 if q.lastProgress else 0
-    fields = "digest binary, first struct<id: {}, locator: struct<bytes: int, row: {}>>, n bigint".format(*[schema["id"].dataType.simpleString()] * 2)
+    fields = "digest binary, first struct<none: boolean, id: {}, locator: struct<bytes: int, row: {}>>, n bigint".format(*[schema["id"].dataType.simpleString()] * 2)
     if not batches:
         return spark.createDataFrame([], fields)
     rows = spark.read.schema(fields).parquet(*[f"{log}/batch={k}" for k in range(batches)])
@@ -116,9 +116,10 @@ def classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", files_p
 
 
 def survivors(docs: DataFrame) -> DataFrame:
-    """The rows of docs that stay, with all their columns."""
-    gone = classes(docs).where(~F.col("kept")).select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """The rows of docs that stay, one of each group, with all their columns."""
+    groups = classes(docs).where("group_size > 1").groupBy("doc_id", F.unhex("text_sha256").alias("key")).agg(F.first(~F.col("kept")).alias("gone"), F.count("*").alias("n"))
+    verdicts = Scratch(docs.sparkSession, "exact-dedup").table(groups, "verdicts")
+    return keepers(docs, F.unhex(F.sha2(normalised(), 256)), verdicts)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

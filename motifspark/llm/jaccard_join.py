@@ -18,7 +18,7 @@ Components of all links are then those of the whole join: a pair left out is eit
 the bound or already connected.
 
 Defined results.  Texts without words, and null ones, have empty sets and are linked with
-nothing.  Rows with a null doc_id have a null component.  Rows that repeat get the same
+nothing.  A null doc_id names a component only if it has no other.  Rows that repeat get the same
 result.  An empty table gives no rows.  Extra columns are ignored.
 """
 
@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .arrow_text import slices, small_batches, utf8
-from .common import Scratch, components, small
+from .common import Scratch, components, keepers, small
 from .shingles import shingle_set, word_hashes
 
 SHINGLE, PERCENT = 5, 75
@@ -84,7 +84,7 @@ def common_shingles(docs: DataFrame, k: int) -> np.ndarray:
 
 
 def rows_of(docs: DataFrame, k: int, percent: int, common: np.ndarray) -> DataFrame:
-    """(doc_id, fp, n, prefix, sketch, wide): fp identifies the set, sketches have a bit for each shingle."""
+    """(doc_id, key, fp, n, prefix, sketch, wide): fp identifies the set, sketches have a bit for each shingle."""
     shipped = docs.sparkSession.sparkContext.broadcast(common)  # MAX_COMMON numbers at most
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -102,13 +102,18 @@ def rows_of(docs: DataFrame, k: int, percent: int, common: np.ndarray) -> DataFr
                     wides.append(sketch(s, max([w for least, w in WIDE if n > least], default=0)))
                     ns.append(n)
                     fps.append(digest(s))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fps, pa.binary()), pa.array(ns, pa.int64()), lists(prefixes), lists(sketches), lists(wides)], ["doc_id", "fp", "n", "prefix", "sketch", "wide"])
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(fps, pa.binary()), pa.array(ns, pa.int64()), lists(prefixes), lists(sketches), lists(wides)], ["doc_id", "key", "fp", "n", "prefix", "sketch", "wide"])
 
-    return docs.select("doc_id", "text").mapInArrow(work, "doc_id bigint, fp binary, n bigint, prefix array<bigint>, sketch array<bigint>, wide array<bigint>")
+    return docs.select("doc_id", "text", row_key().alias("key")).mapInArrow(work, "doc_id bigint, key bigint, fp binary, n bigint, prefix array<bigint>, sketch array<bigint>, wide array<bigint>")
+
+
+def row_key() -> Column:
+    """A number for a row's doc_id and text: a doc_id may be null, or repeat with other texts."""
+    return F.xxhash64("doc_id", "text")
 
 
 def full_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
-    """(rid, shingles) for wanted rows (rid, doc_id, fp); a doc_id may repeat with other texts, fp tells them apart."""
+    """(rid, shingles) for wanted rows (rid, key, fp); fp tells rows apart that share a key."""
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -117,7 +122,7 @@ def full_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
                 right = [digest(s) == fp for s, fp in zip(sets, part.column(1).to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), lists(sets)], ["rid", "shingles"]).filter(pa.array(right))
 
-    rows = docs.select("doc_id", "text").join(small(wanted), "doc_id").select("rid", "fp", "text")
+    rows = docs.select(row_key().alias("key"), "text").join(small(wanted), "key").select("rid", "fp", "text")
     return rows.mapInArrow(work, "rid bigint, shingles array<bigint>").dropDuplicates(["rid"])
 
 
@@ -144,7 +149,7 @@ def counted(scratch: Scratch, docs: DataFrame, rows: DataFrame, pairs: DataFrame
     pairs = pairs.join(a, "x").join(b, "y").where(still_possible("wx", "wy", percent))
     pairs = scratch.table(pairs.select("x", "y"), "pairs")
     wanted = pairs.select(F.col("x").alias("rid")).unionByName(pairs.select(F.col("y").alias("rid"))).distinct()
-    wanted = scratch.table(wanted.join(rows.select("rid", "doc_id", "fp"), "rid"), "wanted")
+    wanted = scratch.table(wanted.join(rows.select("rid", "key", "fp"), "rid"), "wanted")
     sets = scratch.table(full_sets(docs, wanted, k), "sets")
     both = pairs.join(sets.select(F.col("rid").alias("x"), F.col("shingles").alias("sx")), "x").join(sets.select(F.col("rid").alias("y"), F.col("shingles").alias("sy")), "y")
     return scratch.table(both.where(enough(F.size(F.array_intersect("sx", "sy")), F.size("sx"), F.size("sy"), percent)).select("x", "y"), "links")
@@ -178,6 +183,11 @@ def runs(postings: DataFrame) -> DataFrame:
 
 def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles, component_id: the smallest doc_id that links reach."""
+    return components_of(docs, k, percent).select("doc_id", "n_shingles", "component_id")
+
+
+def components_of(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
+    """The same with each row's key and c, its component's number (null for empty sets)."""
     scratch = Scratch(docs.sparkSession, "jaccard")
     # Stored, so that row numbers given on the way stay what they are.
     rows = scratch.table(rows_of(docs, k, percent, common_shingles(docs, k)).withColumn("rid", F.monotonically_increasing_id()), "rows")
@@ -220,14 +230,18 @@ def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFr
     final = components(scratch, links.unionByName(more), "x", "y")
     named = reps.select("fp", "rid", "least").join(final.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
     lowest = named.groupBy("c").agg(F.min("least").alias("component"))
-    named = scratch.table(named.join(lowest, "c").select("fp", "component"), "components")
-    return rows.join(named, "fp", "left").select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
+    named = scratch.table(named.join(lowest, "c").select("fp", "c", "component"), "components")
+    return rows.join(named, "fp", "left").select("doc_id", "key", "c", F.col("n").alias("n_shingles"), F.coalesce("component", "doc_id").alias("component_id"))
 
 
 def survivors(docs: DataFrame) -> DataFrame:
     """One document of each component (the smallest doc_id), with all its columns."""
-    gone = classes(docs).where("doc_id <> component_id").select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    scratch = Scratch(docs.sparkSession, "jaccard")
+    rows = scratch.table(components_of(docs).groupBy("doc_id", "key", "c").agg(F.count("*").alias("n")), "members")
+    place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")
+    first = rows.where("c is not null").groupBy("c").agg(F.min(place).alias("first"), F.count("*").alias("m")).where("m > 1").drop("m")
+    verdicts = rows.join(first, "c", "left").select("doc_id", "key", F.coalesce(place != F.col("first"), F.lit(False)).alias("gone"), "n")
+    return keepers(docs, row_key(), scratch.table(verdicts.where("gone or n > 1"), "verdicts"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

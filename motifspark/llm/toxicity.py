@@ -30,6 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .arrow_text import slices, small_batches
+from .common import without
 
 MAX_TRAIN, MAX_FEATURES, LEAST_DOCS, ROUNDS = 20_000, 4_000, 3, 300
 SENTENCE = re.compile(r"[.!?\n]+")
@@ -205,8 +206,8 @@ def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def survivors(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The documents that are not rejected, with all their columns."""
-    gone = judge(docs, labels).where("predicted = 1").select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    model = train(docs, labels)
+    return without(docs, lambda d: score(d, model).where("score >= 0.5"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -387,6 +387,34 @@ def test_url_rules_mined(spark, share):
     assert tuple(four) in want and len(got) == len(want) and {tuple(r.rule) for r in got} == want
 
 
+def test_null_and_repeated_ids(spark):
+    """Rows without doc_id are dropped for their text; of rows that repeat doc_id and text one stays; other texts of an id stay."""
+    rng = random.Random(9)
+    a, b, c, d = (wording(rng, 60) for _ in range(4))
+    near = f"{c} end"
+    rows = [(None, a, "s"), (7, a, "s"), (5, a, "s"), (5, a, "s"), (None, b, "s"), (None, b, "s"), (9, a, "s"), (9, d, "s"), (3, None, "s"), (3, None, "s")]
+    kept = lambda df: sorted(((r.doc_id, r.text) for r in df.collect()), key=str)
+    assert kept(exact_dedup.survivors(frame(spark, rows))) == sorted([(5, a), (None, b), (9, d), (3, None)], key=str)
+    got = {(r.doc_id, r.keep_id, r.kept, r.group_size) for r in exact_dedup.classes(frame(spark, rows)).collect() if r.text_sha256 == hashlib.sha256(a.encode()).hexdigest()}
+    assert got == {(None, 5, False, 5), (7, 5, False, 5), (5, 5, True, 5), (9, 5, False, 5)}
+
+    # Null ids stand for their sets and are linked all the same, whichever row comes first.
+    rows = [(None, c, "s"), (None, c, "s"), (8, near, "s"), (8, near, "s"), (8, d, "s"), (None, b, "s"), (None, f"{b} end", "s"), (6, a, "s"), (6, f"{a} end", "s")]
+    got = kept(jaccard_join.survivors(frame(spark, rows)))
+    assert len(got) == 4 and {(8, near), (8, d)} < set(got)
+    assert sorted(i or 0 for i, _ in got) == [0, 6, 8, 8]
+    assert {r.component_id for r in jaccard_join.classes(frame(spark, rows[:4])).collect()} == {8}
+
+    bench = spark.createDataFrame([(1, a), (1, f"{b} {c}"), (None, d)], "item_id bigint, text string")
+    rows = [(None, f"x {a} y", "s"), (None, wording(rng, 60), "s"), (2, d, "s"), (4, a, "s"), (6, "z", "s")]
+    assert {(r.doc_id, r.item_id, r.n_shared, r.n_item) for r in decontaminate.matches(frame(spark, rows), bench).collect()} == {(2, None, 56, 56), (4, 1, 56, 56)}
+    assert kept(decontaminate.survivors(frame(spark, rows), bench)) == sorted([rows[1][:2], (6, "z")], key=str)
+
+    lab = spark.createDataFrame([(k, k % 2) for k in range(80)], "doc_id bigint, toxic int")
+    rows = [(k, f"{wording(rng, 6)} {'vile' if k % 2 else 'mild'}", "s") for k in range(80)] + [(None, "so vile", "s"), (None, "so mild", "s")]
+    assert [r.text for r in toxicity.survivors(frame(spark, rows), lab).where("doc_id is null").collect()] == ["so mild"]
+
+
 def test_language_id_many(spark):
     """Forty languages, most of them with three documents beside thousands: none is left out."""
     def text(lang, n):
