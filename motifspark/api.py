@@ -3,15 +3,15 @@
 from __future__ import annotations
 
 import re
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from . import balance
+from . import balance, heuristic
+from .engines import epochs, sqlgen
 from .engines import slabs as slab_engine
-from .engines import sqlgen
-from .engines.levels import Frontiers, hold
+from .engines.levels import Frontiers, Fused, hold, holding
 from .graph import TemporalGraph
 from .motif import Motif
 from .tree import PrefixTree
@@ -34,7 +34,7 @@ def window(delta: int | str) -> int:
 
 @dataclass(frozen=True)
 class MineSpec:
-    """engine: auto, levels, fused, slabs or sql.  mode: count or enumerate.  ties: strict or sequence.
+    """engine: auto, levels, fused, slabs, hybrid or sql.  mode: count or enumerate.  ties: strict or sequence.
 
     deltas: windows of single motifs; the group is mined at the widest one.
     anchored: a predicate on first edges.  independent: every motif by itself (the baseline).
@@ -49,27 +49,36 @@ class MineSpec:
     deltas: dict[str, int] = field(default_factory=dict)
     anchored: str | None = None
     independent: bool = False
-    bucketed: bool = False
+    bucketed: bool = True
     kernel: str = "special"
     target_edges: int = balance.TARGET_EDGES
     slab_mode: str = "quantile"
     slab_width: int | None = None
     replicas: int = 1
-    split_siblings: bool = False
+    split_siblings: int = 0
+    hot_edges: int | None = None
+    hot_work: int | None = None
+    budget: int = epochs.BUDGET
+    least_work: int = epochs.LEAST_WORK
+    offload: str = "all"
+    layout: tuple[str, int] | None = None
     max_per_motif: int | None = None
     prune: bool = False
+    cut: balance.Slabs | None = None
+    resources: str = "plenty"
+    window_choice: tuple[int, ...] = ()
 
 
-#: Edges a window from which one task can't hold a slab any more.
-EDGES_A_WINDOW = 5_000_000
+#: Edges in a window from which one task can't hold a slab any more; graphs of fewer edges need no cutting.
+EDGES_A_WINDOW, FEW_EDGES = 5_000_000, 20_000
 
 
-def pick_engine(spec: MineSpec) -> str:
-    """Slabs while a window's edges fit a task, else levels; small graphs need no cutting at all."""
-    r = spec.graph.edges.agg(F.count("*").alias("n"), F.min("t").alias("lo"), F.max("t").alias("hi")).collect()[0]
-    if r["n"] <= 20_000:
-        return "levels"
-    return "slabs" if r["n"] * window(spec.delta) / max(1, r["hi"] - r["lo"]) <= EDGES_A_WINDOW else "levels"
+def pick_engine(spec: MineSpec, seen: balance.Histogram | None = None) -> str:
+    """Slabs while the fullest window's edges fit a task, else the fused levels; small graphs need no cutting at all."""
+    h = seen or balance.histogram(spec.graph.edges)
+    if h.n <= FEW_EDGES:
+        return "fused"
+    return "slabs" if h.widest_window(window(spec.delta)) <= EDGES_A_WINDOW else "fused"
 
 
 def with_zeros(counts: DataFrame, tree: PrefixTree) -> DataFrame:
@@ -87,11 +96,24 @@ def with_aliases(matches: DataFrame, tree: PrefixTree) -> DataFrame:
 
 
 def mine(spec: MineSpec) -> DataFrame:
-    """Counts (motif, n) with zeros, or matches (motif, edge_path, t_first, t_last)."""
+    """Counts (motif, n) with zeros, or matches (motif, edge_path, t_first, t_last).
+
+    Frames persisted for the result are its own (``held_frames``); engines.levels.release(result) lets them go.
+    """
+    with holding() as held:
+        out = _result(spec)
+    out.held_frames = held
+    return out
+
+
+def _result(spec: MineSpec) -> DataFrame:
     if spec.deltas:
         return _mixed(spec)
     tree = PrefixTree.build(spec.motifs)
+    if spec.engine == "auto":
+        spec = followed(spec, tree)
     if spec.independent:
+        spec = planned(spec)
         out = None
         seen = set(tree.aliases)
         for m in spec.motifs:
@@ -103,6 +125,42 @@ def mine(spec: MineSpec) -> DataFrame:
     return finished(spec, out, tree)
 
 
+def planned(spec: MineSpec) -> MineSpec:
+    """The spec with its slabs planned, so that motifs mined one by one share a plan."""
+    if spec.engine not in ("slabs", "hybrid") or spec.cut is not None:
+        return spec
+    return replace(spec, cut=slabs_of(spec, source_edges(spec)))
+
+
+def slabs_of(spec: MineSpec, edges: DataFrame) -> balance.Slabs:
+    if spec.cut is not None:
+        return spec.cut
+    delta = window(spec.delta)
+    if spec.slab_width:
+        cut = balance.Slabs(delta, spec.slab_width, (), spec.replicas)
+    else:
+        cut = balance.plan_slabs(edges, delta, spec.target_edges, spec.slab_mode, spec.replicas)
+    if spec.hot_edges:
+        cut = balance.salt_hot_slabs(edges, cut, spec.hot_edges)
+    if spec.hot_work:
+        cut = balance.work_slabs(edges, cut, spec.hot_work)
+    return cut
+
+
+def followed(spec: MineSpec, tree: PrefixTree) -> MineSpec:
+    """The spec as the heuristic and the graph's profile would have it.
+
+    A bipartite graph's tree is pruned and mined together; motifs that share too little are mined by
+    themselves where resources are scarce; of the windows a caller can live with the smallest is taken.
+    """
+    h = balance.histogram(spec.graph.edges)
+    advice = heuristic.advise(bool(spec.graph.sides), tree.similarity(), spec.resources)
+    if spec.window_choice and advice.prefer_smaller_delta:
+        spec = replace(spec, delta=min(map(window, spec.window_choice)))
+    cut = balance.plan_slabs(spec.graph.edges, window(spec.delta), spec.target_edges, spec.slab_mode, spec.replicas, h)
+    return replace(spec, engine=pick_engine(spec, h), independent=spec.independent or not advice.co_mine, prune=spec.prune or bool(spec.graph.sides), cut=spec.cut or cut)
+
+
 def finished(spec: MineSpec, out: DataFrame, tree: PrefixTree) -> DataFrame:
     if spec.mode == "count":
         return with_zeros(out, tree)
@@ -127,15 +185,18 @@ def _mine(spec: MineSpec, tree: PrefixTree) -> DataFrame:
         return spec.graph.edges.sparkSession.createDataFrame([], kind)
     engine = pick_engine(spec) if spec.engine == "auto" else spec.engine
     edges = source_edges(spec)
-    if engine in ("levels", "fused"):
-        f = Frontiers(hold(edges) if len(tree.prefixes()) > 1 else edges, tree, delta, spec.ties, spec.mode != "count", engine == "fused", spec.bucketed, spec.anchored)
-        return f.counts() if spec.mode == "count" else f.matches()
+    enumerate_ = spec.mode != "count"
+    if engine == "levels":
+        f = Frontiers(hold(edges) if len(tree.prefixes()) > 1 else edges, tree, delta, spec.ties, enumerate_, spec.bucketed, spec.anchored)
+        return f.matches() if enumerate_ else f.counts()
+    if engine == "fused":
+        layout = (edges.sparkSession.table(spec.layout[0]), spec.layout[1]) if spec.layout else None
+        f = Fused(edges, tree, delta, spec.ties, enumerate_, spec.anchored, layout)
+        return f.matches() if enumerate_ else f.counts()
     if engine == "slabs":
-        if spec.slab_width:
-            cut = balance.Slabs(delta, spec.slab_width, (), spec.replicas)
-        else:
-            cut = balance.plan_slabs(edges, delta, spec.target_edges, spec.slab_mode, spec.replicas)
-        return slab_engine.run(edges, tree, delta, cut, spec.mode, spec.ties, spec.kernel, spec.split_siblings, spec.anchored)
+        return slab_engine.run(edges, tree, delta, slabs_of(spec, edges), spec.mode, spec.ties, spec.kernel, spec.split_siblings, spec.anchored)
+    if engine == "hybrid":
+        return epochs.run(edges, tree, delta, slabs_of(spec, edges), spec.mode, spec.ties, spec.anchored, spec.budget, spec.least_work, spec.split_siblings > 0, spec.offload).found
     if engine == "sql":
         if spec.anchored:
             raise ValueError("the sql engine has no anchors")
@@ -145,10 +206,8 @@ def _mine(spec: MineSpec, tree: PrefixTree) -> DataFrame:
 
 def _mixed(spec: MineSpec) -> DataFrame:
     """Windows nest: mined at the widest one, each motif's matches are then held to its own."""
-    from dataclasses import replace
-
     widest = max([window(spec.delta), *map(window, spec.deltas.values())])
-    every = mine(replace(spec, delta=widest, mode="enumerate", deltas={}, max_per_motif=None))
+    every = _result(replace(spec, delta=widest, mode="enumerate", deltas={}, max_per_motif=None))
     own = {m.name: window(spec.deltas.get(m.name, spec.delta)) for m in spec.motifs}
     table = every.sparkSession.createDataFrame(list(own.items()), "motif string, own bigint")
     kept = every.join(F.broadcast(table), "motif").where("t_last - t_first <= own").select("motif", "edge_path", "t_first", "t_last")

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .api import MineSpec, mine, window
 from .balance import Slabs
 from .engines import slabs as slab_engine
-from .engines.levels import conjunction
+from .engines.levels import conjunction, hold
 from .motif import Motif
 from .plan import bound
 from .tree import PrefixTree
@@ -37,7 +37,7 @@ def sql_join(edges: DataFrame, motif: Motif, delta: int) -> DataFrame:
 def static_then_filter(edges: DataFrame, motif: Motif, delta: int) -> DataFrame:
     """Matches on distinct (src, dst) pairs first, then their timed edges, then the time conditions: (motif, n)."""
     m = motif.canonical()
-    pairs = edges.select("src", "dst").distinct().persist()
+    pairs = hold(edges.select("src", "dst").distinct())
     found, have = None, 0
     for k, (u, v) in enumerate(m.edges):
         e = pairs.select(F.col("src").alias("g_src"), F.col("dst").alias("g_dst"))
@@ -77,8 +77,6 @@ def scan_sharing(spec: MineSpec) -> DataFrame:
     """Only the scan of the edges is shared: every motif has its own frontiers over one persisted edge table."""
     from dataclasses import replace
 
-    from .engines.levels import hold
-
     shared = replace(spec.graph, edges=hold(spec.graph.edges))
     return mine(replace(spec, graph=shared, independent=True, engine="levels"))
 

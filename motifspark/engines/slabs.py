@@ -2,20 +2,20 @@
 
 A task gets the slab's own edges and those of the following window (the halo).  A match is
 counted where its first edge is owned, and its first edge has one owner only: one slab, one
-replica.  The only shuffle brings edges to slabs.
+replica.  The only shuffle brings edges to slabs.  Matches leave a task block by block.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import kernels
 from ..balance import Slabs
-from ..motif import Edge
-from ..plan import bound, step
 from ..tree import PrefixTree
 
 COUNTS = "motif string, n bigint"
@@ -29,48 +29,53 @@ def predicates(tree: PrefixTree) -> list[str]:
 def prepared(edges: DataFrame, tree: PrefixTree, anchored: str | None = None) -> DataFrame:
     """The columns that kernels read; every predicate of the tree becomes a Boolean column."""
     flags = [F.coalesce(F.expr(w), F.lit(False)).alias(f"p{k}") for k, w in enumerate(predicates(tree))]
-    return edges.select("edge_id", "src", "dst", "t", "tie", *flags, (F.expr(anchored) if anchored else F.lit(True)).alias("may_start"))
+    return edges.select("edge_id", "src", "dst", "t", "tie", *flags, (F.coalesce(F.expr(anchored), F.lit(False)) if anchored else F.lit(True)).alias("may_start"))
+
+
+def adjacency(rows: pa.Table, tree_predicates: list[str], ties: str) -> kernels.Adjacency:
+    column = lambda c: rows.column(c).to_numpy(zero_copy_only=False) if isinstance(rows.column(c), pa.Array) else rows.column(c).to_numpy()
+    passes = {w: column(f"p{k}").astype(bool) for k, w in enumerate(tree_predicates)}
+    return kernels.Adjacency(*(column(c).astype(np.int64) for c in ("edge_id", "src", "dst", "t", "tie")), ties, passes)
 
 
-def adjacency(pdf: pd.DataFrame, tree_predicates: list[str], ties: str) -> kernels.Adjacency:
-    passes = {w: pdf[f"p{k}"].to_numpy(dtype=bool) for k, w in enumerate(tree_predicates)}
-    return kernels.Adjacency(*(pdf[c].to_numpy(dtype=np.int64) for c in ("edge_id", "src", "dst", "t", "tie")), ties, passes)
+def counted(total: dict[str, int]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array(list(total.values()), pa.int64())], ["motif", "n"])
 
 
-def counted(total: dict[str, int]) -> pd.DataFrame:
-    return pd.DataFrame({"motif": pd.Series(list(total), dtype=object), "n": pd.Series(list(total.values()), dtype="int64")})
+def listed(a: kernels.Adjacency, query: str, e: list[np.ndarray]) -> pa.RecordBatch:
+    """One block of matches."""
+    ids = np.stack([a.edge_id[x] for x in e], axis=1)
+    paths = ["-".join(map(str, r)) for r in ids.tolist()]
+    return pa.RecordBatch.from_arrays([pa.array([query] * len(paths)), pa.array(paths, pa.string()), pa.array(a.t[e[0]]), pa.array(a.t[e[-1]])], ["motif", "edge_path", "t_first", "t_last"])
 
 
-def rows(kernel, a: kernels.Adjacency, owned: np.ndarray, delta: int, mode: str) -> pd.DataFrame:
+def rows(kernel, a: kernels.Adjacency, owned: np.ndarray, delta: int, mode: str) -> Iterator[pa.RecordBatch]:
     if mode == "count":
-        return counted(kernels.tally(kernel, a, owned, delta))
-    parts = []
-    for query, e in kernels.found(kernel, a, owned, delta):
-        ids = np.stack([a.edge_id[x] for x in e], axis=1)
-        parts.append(pd.DataFrame({"motif": query, "edge_path": ["-".join(map(str, r)) for r in ids.tolist()], "t_first": a.t[e[0]], "t_last": a.t[e[-1]]}))
-    if not parts:
-        return pd.DataFrame({c: pd.Series([], dtype=k) for c, k in (("motif", object), ("edge_path", object), ("t_first", "int64"), ("t_last", "int64"))})
-    # Plain objects: joined Arrow-backed strings would be chunked, which the way back to Spark refuses.
-    return pd.concat([p.astype({"motif": object, "edge_path": object}) for p in parts], ignore_index=True)
-
-
-def run(edges: DataFrame, tree: PrefixTree, delta: int, slabs: Slabs, mode: str = "count", ties: str = "strict", kernel: str = "special", split_siblings: bool = False, anchored: str | None = None) -> DataFrame:
+        yield counted(kernels.tally(kernel, a, owned, delta))
+    else:
+        for query, e in kernels.found(kernel, a, owned, delta):
+            yield listed(a, query, e)
+
+
+def run(edges: DataFrame, tree: PrefixTree, delta: int, slabs: Slabs, mode: str = "count", ties: str = "strict", kernel: str = "special", split_siblings: int = 0, anchored: str | None = None) -> DataFrame:
     """(motif, n) partial counts summed, or match rows.
 
-    ``split_siblings``: each child of the root's branching is a task of its own; the shared
-    prefix is recomputed there.
+    ``split_siblings``: so many levels of branchings, from the root on, whose children are tasks of their own; the
+    shared prefix is recomputed there.
     """
     wanted = predicates(tree)
     make = {"special": kernels.specialised, "generic": kernels.generic}[kernel]
-    branches = [tree.subtree(k) for k in range(len(tree.root.children))] if split_siblings and len(tree.root.children) > 1 else [tree]
+    branches = tree.split(int(split_siblings))
 
-    def work(pdf: pd.DataFrame) -> pd.DataFrame:
-        order = np.lexsort((pdf["tie"].to_numpy(), pdf["t"].to_numpy()))
-        owned = (pdf["owned"] & pdf["may_start"]).to_numpy(dtype=bool)[order]
-        return rows(make(branches[int(pdf["branch"].iloc[0])]), adjacency(pdf, wanted, ties), owned, delta, mode)
+    def work(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(list(batches))
+        a = adjacency(table, wanted, ties)
+        owned = (table.column("owned").to_numpy() & table.column("may_start").to_numpy()).astype(bool)[a.order]
+        del table
+        yield from rows(make(branches[key[2].as_py()]), a, owned, delta, mode)
 
-    dealt = slabs.assigned(prepared(edges, tree, anchored)).withColumn("branch", F.explode(F.array(*map(F.lit, range(len(branches))))))
-    out = dealt.groupBy("slab", "replica", "branch").applyInPandas(work, COUNTS if mode == "count" else MATCHES)
+    dealt = slabs.assigned(prepared(edges, tree, anchored)).withColumn("branch", F.explode(F.sequence(F.lit(0), F.lit(len(branches) - 1))))
+    out = dealt.groupBy("slab", "replica", "branch").applyInArrow(work, COUNTS if mode == "count" else MATCHES)
     return out.groupBy("motif").agg(F.sum("n").alias("n")) if mode == "count" else out
 
 
@@ -78,51 +83,11 @@ def run_scoped(edges: DataFrame, tree: PrefixTree, delta: int, scope: str, ties:
     """(scope, motif, n): matches whose edges all have the same value in the scope column."""
     wanted, make = predicates(tree), kernels.specialised
 
-    def work(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        out = rows(make(tree), adjacency(pdf, wanted, ties), np.ones(len(pdf), dtype=bool), delta, "count")
-        return out.assign(**{scope: key[0]})[[scope, "motif", "n"]]
+    def work(key: tuple[pa.Scalar, ...], batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        table = pa.Table.from_batches(list(batches))
+        total = kernels.tally(make(tree), adjacency(table, wanted, ties), np.ones(table.num_rows, dtype=bool), delta)
+        yield pa.RecordBatch.from_arrays([pa.array([key[0].as_py()] * len(total), key[0].type), *counted(total).columns], [scope, "motif", "n"])
 
     kind = edges.schema[scope].dataType.simpleString()
     flags = [F.coalesce(F.expr(w), F.lit(False)).alias(f"p{k}") for k, w in enumerate(wanted)]
-    return edges.select(scope, "edge_id", "src", "dst", "t", "tie", *flags).groupBy(scope).applyInPandas(work, f"{scope} {kind}, motif string, n bigint")
-
-
-def finish(frontier: DataFrame, at: tuple[Edge, ...], edges: DataFrame, tree: PrefixTree, delta: int, slabs: Slabs, ties: str = "strict", owners: int = 4) -> DataFrame:
-    """Second phase of the hybrid: partial matches of the prefix ``at``, dealt by slab and owner, are finished in kernels.
-
-    Every partial match has one owner, so nothing below it is explored twice.  Counts only.
-    """
-    wanted = predicates(tree)
-    below = [p for p in tree.prefixes() if p[: len(at)] == at and len(p) > len(at)]
-    queries = tree.query_of()
-    n = bound(at)
-
-    def work(key: tuple, front: pd.DataFrame, pdf: pd.DataFrame) -> pd.DataFrame:
-        if not len(front) or not len(pdf):
-            return counted({})
-        a = adjacency(pdf, wanted, ties)
-        total: dict[str, int] = {}
-
-        def descend(p, v, last, until) -> None:
-            for q in below:
-                if q[:-1] == p:
-                    row, e = kernels.extend(a, q, v, last, until)
-                    if len(e):
-                        if q in queries:
-                            total[queries[q]] = total.get(queries[q], 0) + len(e)
-                        descend(q, [x[row] for x in v] + [(a.s if end == "src" else a.d)[e] for end, _ in step(q).new], a.rank[e], until[row])
-
-        for lo in range(0, len(front), kernels.BLOCK):
-            part = front.iloc[lo : lo + kernels.BLOCK]
-            v = [np.searchsorted(a.ids, part[f"v{k}"].to_numpy()) for k in range(n)]
-            last = a.last_rank(part["t_last"].to_numpy()) if ties == "strict" else np.array([np.flatnonzero((a.t == t) & (a.edge_id == e))[0] for t, e in zip(part["t_last"], part["tie_last"], strict=True)], dtype=np.int64)
-            descend(at, v, last, a.last_rank(part["t_first"].to_numpy() + delta))
-        return counted(total)
-
-    cols = [*(f"v{k}" for k in range(n)), "t_first", "t_last", "tie_last"]
-    f = frontier.select(*cols, slabs.index(F.col("t_first")).alias("slab")).withColumn("owner", F.pmod(F.xxhash64(*cols), F.lit(owners)).cast("int"))
-    e = Slabs(slabs.delta, slabs.width, slabs.borders, owners).assigned(prepared(edges, tree)).withColumnRenamed("replica", "owner")
-    out = f.groupBy("slab", "owner").cogroup(e.groupBy("slab", "owner")).applyInPandas(work, COUNTS)
-    return out.groupBy("motif").agg(F.sum("n").alias("n"))
-
-
+    return edges.select(scope, "edge_id", "src", "dst", "t", "tie", *flags).groupBy(scope).applyInArrow(work, f"{scope} {kind}, motif string, n bigint")

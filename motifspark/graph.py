@@ -46,6 +46,18 @@ class TemporalGraph:
         whole = self.edges.agg(F.count("*").alias("temporal_edges"), F.coalesce(F.sum((F.col("src") == F.col("dst")).cast("long")), F.lit(0)).alias("self_loops"), (F.max("t") - F.min("t")).alias("span_us"))
         return self.vertex_ids().agg(F.count("*").alias("vertices")).crossJoin(self.static_edges().agg(F.count("*").alias("static_edges"))).crossJoin(whole)
 
+    def repeated_ids(self) -> DataFrame:
+        """(edge_id, n) of ids that several edges share; where ids are hashes of rows, there must be none."""
+        return self.edges.groupBy("edge_id").agg(F.count("*").alias("n")).where("n > 1")
+
+    def store_layout(self, table: str, width: int, buckets: int) -> tuple[str, int]:
+        """The adjacency that the fused engine joins with, stored in buckets of its join keys: it is never shuffled again."""
+        from .engines.levels import DST, SRC, adjacency
+
+        keys = ("g_end", "g_key", "g_bucket")
+        adjacency(self.edges, width, {SRC, DST}).write.bucketBy(buckets, *keys).sortBy(*keys).mode("overwrite").saveAsTable(table)
+        return table, int(width)
+
     def compact(self) -> tuple[TemporalGraph, DataFrame]:
         """Dense vertex numbers and times from the minimum; and the dictionary (vid, dense)."""
         from pyspark.sql import Window as W
@@ -115,13 +127,27 @@ class TemporalGraph:
             label = new.select("v", "root", "side")
             if new.where("moved").isEmpty():
                 break
+        else:
+            raise RuntimeError(f"the colouring has not settled after {max_rounds} rounds")
         clash = both.join(label.toDF("src", "r1", "s1"), "src").join(label.toDF("dst", "r2", "s2"), "dst").where("r1 = r2 and s1 = s2")
         return clash.isEmpty()
 
 
-def from_edge_list(df: DataFrame, src: str = "src", dst: str = "dst", t: str = "t", edge_id: str | None = None, attrs: tuple[str, ...] = ()) -> TemporalGraph:
-    """A graph from any table; without an id column the edge's hash is its id (edges that repeat whole then share it)."""
-    eid = F.col(edge_id) if edge_id else F.xxhash64(src, dst, t, *attrs)
+def from_edge_list(df: DataFrame, src: str = "src", dst: str = "dst", t: str = "t", edge_id: str | None = None, attrs: tuple[str, ...] = (), repeats: bool = True) -> TemporalGraph:
+    """A graph from any table.
+
+    Without an id column an edge's id is a hash of its row and, of rows that repeat whole, its number among them
+    (one shuffle; ``repeats=False`` says that none do and spares it).
+    """
+    if edge_id:
+        eid = F.col(edge_id)
+    elif repeats:
+        from pyspark.sql import Window as W
+
+        df = df.select(src, dst, t, *attrs).withColumn("_copy", F.row_number().over(W.partitionBy(src, dst, t, *attrs).orderBy(F.lit(0))))
+        eid = F.xxhash64(src, dst, t, *attrs, "_copy")
+    else:
+        eid = F.xxhash64(src, dst, t, *attrs)
     return TemporalGraph(df.select(eid.cast("long").alias("edge_id"), F.col(src).cast("long").alias("src"), F.col(dst).cast("long").alias("dst"), F.col(t).cast("long").alias("t"), eid.cast("long").alias("tie"), *attrs))
 
 

@@ -22,18 +22,22 @@ BLOCK = 1 << 16
 
 
 class Adjacency:
-    """Edges of a slab in arrays, ordered by (t, tie); ranks stand for times."""
+    """Edges of a slab in arrays, ordered by (t, tie, id); ranks stand for times."""
 
     def __init__(self, edge_id, src, dst, t, tie, ties: str = "strict", passes: dict[str, np.ndarray] | None = None):
-        order = np.lexsort((tie, t))
-        self.edge_id, self.src, self.dst, self.t = (np.asarray(x)[order] for x in (edge_id, src, dst, t))
+        order = np.lexsort((edge_id, tie, t))
+        self.order = order
+        self.edge_id, self.src, self.dst, self.t, self.tie = (np.asarray(x)[order] for x in (edge_id, src, dst, t, tie))
         self.passes = {k: v[order] for k, v in (passes or {}).items()}
         n = len(order)
         ids, dense = np.unique(np.concatenate((self.src, self.dst)), return_inverse=True)
         self.s, self.d = dense[:n].astype(np.int64), dense[n:].astype(np.int64)
         self.vertices, self.ids = len(ids), ids
-        # With strict order equal times share a rank, else each edge has its own.
-        self.rank = np.unique(self.t, return_inverse=True)[1].astype(np.int64) if ties == "strict" else np.arange(n)
+        # With strict order equal times share a rank, else equal (t, tie).
+        later = self.t[1:] != self.t[:-1]
+        if ties != "strict":
+            later |= self.tie[1:] != self.tie[:-1]
+        self.rank = np.concatenate((np.zeros(min(n, 1), dtype=np.int64), np.cumsum(later)))
         self.span = n + 1
         self.by: dict[str, tuple[np.ndarray, np.ndarray]] = {}
         for name, key in (("src", self.s), ("dst", self.d), ("pair", self.s * self.vertices + self.d), ("all", np.zeros(n, dtype=np.int64))):
@@ -46,28 +50,63 @@ class Adjacency:
         at = np.searchsorted(self.t, until, "right") - 1
         return np.where(at >= 0, self.rank[np.maximum(at, 0)], -1)
 
-    def candidates(self, which: str, key: np.ndarray, after: np.ndarray, until: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(row, edge) pairs: edges with the key whose rank lies in (after, until]."""
-        composite, at = self.by[which]
+    def place_of(self, t: np.ndarray, tie: np.ndarray) -> np.ndarray:
+        """The first edge with the time and the tie, which must be there: a binary search for all at once."""
+        lo, hi = np.searchsorted(self.t, t, "left"), np.searchsorted(self.t, t, "right")
+        while (lo < hi).any():
+            mid = (lo + hi) // 2
+            less = (lo < hi) & (self.tie[np.minimum(mid, len(self.t) - 1)] < tie)
+            lo, hi = np.where(less, mid + 1, lo), np.where((lo < hi) & ~less, mid, hi)
+        return np.minimum(lo, len(self.t) - 1)
+
+    def spans(self, which: str, key: np.ndarray, after: np.ndarray, until: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For each row where its candidates begin, and how many there are: edges with the key whose rank lies in (after, until]."""
+        composite, _ = self.by[which]
         lo = np.searchsorted(composite, key * self.span + after, "right")
-        hi = np.searchsorted(composite, key * self.span + until, "right")
-        size = np.maximum(hi - lo, 0)
-        row = np.repeat(np.arange(len(key)), size)
-        ends = np.cumsum(size)
-        return row, at[np.repeat(lo - (ends - size), size) + np.arange(len(row))]
+        return lo, np.maximum(np.searchsorted(composite, key * self.span + until, "right") - lo, 0)
 
+    def candidates(self, which: str, key: np.ndarray, after: np.ndarray, until: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(row, edge) pairs, in pieces of BLOCK at most: a row with many candidates is cut too."""
+        lo, size = self.spans(which, key, after, until)
+        for r0, r1, begin, n in cuts(size, BLOCK):
+            yield piece(self.by[which][1], lo, r0, r1, begin, n)
 
-def extend(a: Adjacency, p: tuple[Edge, ...], v: list[np.ndarray], last: np.ndarray, until: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(row, edge) pairs that take partial matches to the prefix p."""
-    s, n = step(p), bound(p[:-1])
+
+def cuts(size: np.ndarray, most: int) -> Iterator[tuple[int, int, int, np.ndarray]]:
+    """Rows r0 to r1 whose candidates make a piece of ``most`` at most, how many of the first row's are left out, and their numbers."""
+    cum = np.cumsum(size)
+    for start in range(0, int(cum[-1]) if len(cum) else 0, most):
+        stop = min(start + most, int(cum[-1]))
+        r0, r1 = int(np.searchsorted(cum, start, "right")), int(np.searchsorted(cum, stop, "left")) + 1
+        n = size[r0:r1].copy()
+        begin = start - int(cum[r0] - size[r0])
+        n[0] -= begin
+        n[-1] -= int(cum[r1 - 1]) - stop
+        yield r0, r1, begin, n
+
+
+def piece(at: np.ndarray, lo: np.ndarray, r0: int, r1: int, begin: int, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    start = lo[r0:r1].copy()
+    start[0] += begin
+    ends = np.cumsum(n)
+    return np.repeat(np.arange(r0, r1), n), at[np.repeat(start - (ends - n), n) + np.arange(int(ends[-1]))]
+
+
+def lookup(a: Adjacency, p: tuple[Edge, ...], v: list[np.ndarray], rows: int) -> tuple[str, np.ndarray]:
+    """Which adjacency the step to p asks, and its keys."""
+    s = step(p)
     if s.kind == "out":
-        row, e = a.candidates("src", v[s.u], last, until)
-    elif s.kind == "in":
-        row, e = a.candidates("dst", v[s.v], last, until)
-    elif s.anchors:
-        row, e = a.candidates("pair", v[s.u] * a.vertices + v[s.v], last, until)
-    else:
-        row, e = a.candidates("all", np.zeros(len(last), dtype=np.int64), last, until)
+        return "src", v[s.u]
+    if s.kind == "in":
+        return "dst", v[s.v]
+    if s.anchors:
+        return "pair", v[s.u] * a.vertices + v[s.v]
+    return "all", np.zeros(rows, dtype=np.int64)
+
+
+def admitted(a: Adjacency, p: tuple[Edge, ...], v: list[np.ndarray], row: np.ndarray, e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Those candidates that the step to p takes: new vertices are new, loops are loops, predicates hold."""
+    s, n = step(p), bound(p[:-1])
     ok = np.ones(len(e), dtype=bool)
     for end, _ in s.new:
         x = (a.s if end == "src" else a.d)[e]
@@ -82,49 +121,66 @@ def extend(a: Adjacency, p: tuple[Edge, ...], v: list[np.ndarray], last: np.ndar
     return row[ok], e[ok]
 
 
+def extend(a: Adjacency, p: tuple[Edge, ...], v: list[np.ndarray], last: np.ndarray, until: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(row, edge) pairs that take partial matches to the prefix p, piece by piece."""
+    for row, e in a.candidates(*lookup(a, p, v, len(last)), last, until):
+        yield admitted(a, p, v, row, e)
+
+
 def roots(a: Adjacency, p: tuple[Edge, ...], owned: np.ndarray) -> np.ndarray:
     s = step(p)
     ok = owned & ((a.s == a.d) if s.u == s.v else (a.s != a.d))
     return np.flatnonzero(ok & a.passes[s.where] if s.where else ok)
 
 
-def generic(tree: PrefixTree) -> Callable:
-    """kernel(adjacency, owned, delta, emit): emit(query, edges) for every block of matches; edges is a list of arrays."""
-    following: dict[tuple[Edge, ...], list[tuple[Edge, ...]]] = {p: [] for p in [(), *tree.prefixes()]}
+def children(tree: PrefixTree) -> dict[tuple[Edge, ...], list[tuple[Edge, ...]]]:
+    out: dict[tuple[Edge, ...], list[tuple[Edge, ...]]] = {p: [] for p in [(), *tree.prefixes()]}
     for p in tree.prefixes():
-        following[p[:-1]].append(p)
-    queries = tree.query_of()
+        out[p[:-1]].append(p)
+    return out
+
+
+def summed(q: tuple[Edge, ...], following: dict) -> bool:
+    """A last edge between two bound vertices, without predicate: its candidates are its matches, a difference of ranks."""
+    s = step(q)
+    return not following[q] and s.kind == "closed" and not s.where
+
 
-    def descend(a, p, v, e, last, until, emit, keep) -> None:
+def generic(tree: PrefixTree) -> Callable:
+    """kernel(adjacency, owned, delta, keep): an iterator of (query, edges, matches), block by block; edges is a list of arrays."""
+    following, queries = children(tree), tree.query_of()
+
+    def descend(a, p, v, e, last, until, keep):
         if p in queries:
-            emit(queries[p], e, len(last))
+            yield queries[p], e, len(last)
         for q in following[p]:
+            if not keep and summed(q, following):
+                if n := int(a.spans(*lookup(a, q, v, len(last)), last, until)[1].sum()):
+                    yield queries[q], [], n
+                continue
             for at in range(0, len(last), BLOCK):
                 part = slice(at, at + BLOCK)
                 pv = [x[part] for x in v]
-                row, edge = extend(a, q, pv, last[part], until[part])
-                if len(edge):
-                    grown = [x[row] for x in pv] + [(a.s if end == "src" else a.d)[edge] for end, _ in step(q).new]
-                    descend(a, q, grown, [x[part][row] for x in e] + [edge] if keep else e, a.rank[edge], until[part][row], emit, keep)
+                for row, edge in extend(a, q, pv, last[part], until[part]):
+                    if len(edge):
+                        grown = [x[row] for x in pv] + [(a.s if end == "src" else a.d)[edge] for end, _ in step(q).new]
+                        yield from descend(a, q, grown, [x[part][row] for x in e] + [edge] if keep else e, a.rank[edge], until[part][row], keep)
 
-    def kernel(a: Adjacency, owned: np.ndarray, delta: int, emit, keep: bool = False) -> None:
+    def kernel(a: Adjacency, owned: np.ndarray, delta: int, keep: bool = False):
         for p in following[()]:
             every = roots(a, p, owned)
             for at in range(0, len(every), BLOCK):
                 r = every[at : at + BLOCK]
                 v = [a.s[r]] if p[0][0] == p[0][1] else [a.s[r], a.d[r]]
-                descend(a, p, v, [r] if keep else [], a.rank[r], a.last_rank(a.t[r] + delta), emit, keep)
+                yield from descend(a, p, v, [r] if keep else [], a.rank[r], a.last_rank(a.t[r] + delta), keep)
 
     return kernel
 
 
 def source(tree: PrefixTree) -> str:
     """Straight-line Python for the tree: one nested loop a prefix, labels and checks written out."""
-    following: dict[tuple[Edge, ...], list[tuple[Edge, ...]]] = {p: [] for p in [(), *tree.prefixes()]}
-    for p in tree.prefixes():
-        following[p[:-1]].append(p)
-    queries = tree.query_of()
-    out = ["def kernel(a, owned, delta, emit, keep=False):", "    S, D, R = a.s, a.d, a.rank"]
+    following, queries = children(tree), tree.query_of()
+    out = ["def kernel(a, owned, delta, keep=False):", "    S, D, R = a.s, a.d, a.rank"]
 
     def put(depth: int, text: str) -> None:
         out.append("    " * depth + text)
@@ -133,7 +189,7 @@ def source(tree: PrefixTree) -> str:
         """Inside the loop where frontier k = len(p) lives in variables of that level."""
         k, s, n = len(p), step(p), bound(p)
         if p in queries:
-            put(d, f"emit({queries[p]!r}, e{k} if keep else [], len(l{k}))")
+            put(d, f"yield {queries[p]!r}, e{k} if keep else [], len(l{k})")
         for q in following[p]:
             t, m = step(q), n
             put(d, f"for i{k} in range(0, len(l{k}), BLOCK):")
@@ -148,20 +204,28 @@ def source(tree: PrefixTree) -> str:
                 which, key = "pair", f"p{k}_{t.u} * a.vertices + p{k}_{t.v}"
             else:
                 which, key = "all", f"p{k}_0 * 0"
-            put(d + 1, f"r, c = a.candidates({which!r}, {key}, l{k}[w{k}], u{k}[w{k}])")
+            if summed(q, following):
+                put(d + 1, "if not keep:")
+                put(d + 2, f"n = int(a.spans({which!r}, {key}, l{k}[w{k}], u{k}[w{k}])[1].sum())")
+                put(d + 2, f"if n: yield {queries[q]!r}, [], n")
+                put(d + 2, "continue")
+            put(d + 1, f"for r, c in a.candidates({which!r}, {key}, l{k}[w{k}], u{k}[w{k}]):")
             checks = [f"({'S' if end == 'src' else 'D'}[c] != p{k}_{x}[r])" for end, _ in t.new for x in range(m)]
             checks += ["(S[c] != D[c])"] * (len(t.new) == 2) + ["(S[c] == D[c])"] * (t.kind == "loop") + [f"a.passes[{t.where!r}][c]"] * bool(t.where)
             if checks:
-                put(d + 1, f"o = {' & '.join(checks)}")
-                put(d + 1, "r, c = r[o], c[o]")
-            put(d + 1, "if len(c):")
+                put(d + 2, f"o = {' & '.join(checks)}")
+                put(d + 2, "r, c = r[o], c[o]")
+            if not following[q]:  # a last edge: its matches are told where they are found
+                put(d + 2, f"if len(c): yield {queries[q]!r}, [x[w{k}][r] for x in e{k}] + [c] if keep else [], len(c)")
+                continue
+            put(d + 2, "if len(c):")
             for x in range(m):
-                put(d + 2, f"v{k + 1}_{x} = p{k}_{x}[r]")
+                put(d + 3, f"v{k + 1}_{x} = p{k}_{x}[r]")
             for end, x in t.new:
-                put(d + 2, f"v{k + 1}_{x} = {'S' if end == 'src' else 'D'}[c]")
-            put(d + 2, f"l{k + 1}, u{k + 1} = R[c], u{k}[w{k}][r]")
-            put(d + 2, f"e{k + 1} = [x[w{k}][r] for x in e{k}] + [c] if keep else []")
-            level(q, d + 2)
+                put(d + 3, f"v{k + 1}_{x} = {'S' if end == 'src' else 'D'}[c]")
+            put(d + 3, f"l{k + 1}, u{k + 1} = R[c], u{k}[w{k}][r]")
+            put(d + 3, f"e{k + 1} = [x[w{k}][r] for x in e{k}] + [c] if keep else []")
+            level(q, d + 3)
 
     for p in following[()]:
         put(1, f"every = roots(a, {p!r}, owned)")
@@ -187,15 +251,97 @@ def specialised(tree: PrefixTree) -> Callable:
 
 def tally(kernel: Callable, a: Adjacency, owned: np.ndarray, delta: int) -> dict[str, int]:
     out: dict[str, int] = {}
-
-    def emit(query: str, _, n: int) -> None:
+    for query, _, n in kernel(a, owned, delta):
         out[query] = out.get(query, 0) + n
-
-    kernel(a, owned, delta, emit)
     return out
 
 
 def found(kernel: Callable, a: Adjacency, owned: np.ndarray, delta: int) -> Iterator[tuple[str, list[np.ndarray]]]:
-    got: list[tuple[str, list[np.ndarray]]] = []
-    kernel(a, owned, delta, lambda query, e, n: got.append((query, e)), True)
-    yield from got
+    """Matches as they are found: none are held."""
+    for query, e, _ in kernel(a, owned, delta, True):
+        yield query, e
+
+
+class Search:
+    """Depth-first search with a stack of contexts, which can stop after some work and be taken up elsewhere.
+
+    A context is a block of partial matches and one child of their prefix: siblings are contexts of
+    their own, and contexts of all levels lie on the stack.  Each row of a context has a run of
+    candidates (where it begins, how many are left); runs are worked off in pieces.  When the budget of
+    candidates is used up, what lies on the stack can be handed over: rows with their runs, the longest
+    ones cut.
+    """
+
+    def __init__(self, a: Adjacency, tree: PrefixTree, delta: int, keep: bool = False):
+        self.a, self.delta, self.keep = a, delta, keep
+        self.following, self.queries = children(tree), tree.query_of()
+        self.number = {p: k for k, p in enumerate(tree.prefixes())}
+        self.stack: list[tuple] = []
+        self.work = 0
+
+    def start(self, owned: np.ndarray) -> Iterator[tuple[str, list[np.ndarray], int]]:
+        for p in self.following[()]:
+            r = roots(self.a, p, owned)
+            v = [self.a.s[r]] if p[0][0] == p[0][1] else [self.a.s[r], self.a.d[r]]
+            if len(r):
+                yield from self.arrived(p, v, [r] if self.keep else [], r, r)
+
+    def arrived(self, p, v, e, first, last) -> Iterator[tuple[str, list[np.ndarray], int]]:
+        """Partial matches of the prefix p: counted if it is a query; its children become contexts."""
+        if p in self.queries:
+            yield self.queries[p], e, len(last)
+        for q in reversed(self.following[p]):
+            which, key = lookup(self.a, q, v, len(last))
+            lo, size = self.a.spans(which, key, self.a.rank[last], self.a.last_rank(self.a.t[first] + self.delta))
+            self.push(q, v, e, first, last, lo, lo, size)
+
+    def push(self, q, v, e, first, last, lo0, lo, size) -> None:
+        some = size > 0
+        if some.any():
+            pick = (lambda x: x) if some.all() else (lambda x: x[some])
+            self.stack.append((q, [pick(x) for x in v], [pick(x) for x in e], pick(first), pick(last), pick(lo0), pick(lo), pick(size)))
+
+    def run(self, budget: float = float("inf")) -> Iterator[tuple[str, list[np.ndarray], int]]:
+        most = BLOCK if budget >= BLOCK else max(1, int(budget))
+        while self.stack and self.work < budget:
+            q, v, e, first, last, lo0, lo, size = self.stack.pop()
+            which, _ = lookup(self.a, q, v, len(last))
+            r0, r1, begin, n = next(cuts(size, most))
+            row, edge = piece(self.a.by[which][1], lo, r0, r1, begin, n)
+            self.work += len(edge)
+            done = np.zeros(len(size), dtype=np.int64)
+            done[r0:r1] = n
+            if r1 < len(size) or (done < size).any():
+                rest = slice(r1 - 1, None)  # rows before are done
+                self.push(q, [x[rest] for x in v], [x[rest] for x in e], first[rest], last[rest], lo0[rest], (lo + done)[rest], (size - done)[rest])
+            row, edge = admitted(self.a, q, v, row, edge)
+            if len(edge):
+                grown = [x[row] for x in v] + [(self.a.s if end == "src" else self.a.d)[edge] for end, _ in step(q).new]
+                yield from self.arrived(q, grown, [x[row] for x in e] + [edge] if self.keep else [], first[row], edge)
+
+    def left(self, most: int) -> Iterator[dict[str, np.ndarray]]:
+        """The contexts on the stack as columns: node (the child's number), v0.., e0.., t_first, t_last, tie_last, skip, take; runs longer than ``most`` are cut."""
+        a = self.a
+        for q, v, e, first, last, lo0, lo, size in self.stack:
+            parts = -(-size // most)
+            row = np.repeat(np.arange(len(size)), parts)
+            part = np.arange(len(row)) - np.repeat(np.cumsum(parts) - parts, parts)
+            out = {f"v{k}": a.ids[x[row]] for k, x in enumerate(v)} | {f"e{k}": a.edge_id[x[row]] for k, x in enumerate(e)}
+            skip = (lo - lo0)[row] + part * most
+            take = np.minimum(size[row] - part * most, most)
+            yield out | {"node": np.full(len(row), self.number[q]), "t_first": a.t[first[row]], "t_last": a.t[last[row]], "tie_last": a.tie[last[row]], "skip": skip, "take": take}
+
+    def resume(self, node: int, rows: dict[str, np.ndarray]) -> None:
+        """Contexts of one child, handed over by another search on the same edges."""
+        a = self.a
+        q = next(p for p, k in self.number.items() if k == node)
+        v = [np.searchsorted(a.ids, rows[f"v{k}"]) for k in range(bound(q[:-1]))]
+        which, key = lookup(a, q, v, len(rows["skip"]))
+        place = a.place_of(rows["t_last"], rows["tie_last"])
+        lo0, _ = a.spans(which, key, a.rank[place], a.last_rank(rows["t_first"] + self.delta))
+        at = {x: k for k, x in enumerate(a.edge_id.tolist())} if self.keep else {}
+        e = [np.array([at[x] for x in rows[f"e{k}"].tolist()], dtype=np.int64) for k in range(len(q) - 1)] if self.keep else []
+        # The edges themselves are known by their times only, which is all that the search reads of them.
+        first = np.searchsorted(a.t, rows["t_first"], "left")
+        last = e[-1] if self.keep else place
+        self.push(q, v, e, e[0] if self.keep else first, last, lo0, lo0 + rows["skip"], rows["take"])

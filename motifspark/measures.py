@@ -9,15 +9,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .api import MineSpec, mine, source_edges, window
-from .engines.levels import Frontiers, hold
+from .engines.levels import Fused, hold
 from .motif import pattern_text
 from .tree import PrefixTree, similarity_by_prefix
 
 
 def work(spec: MineSpec, group: str = "group") -> DataFrame:
     """(group_name, prefix, partials): partial matches of every distinct prefix, the engines' common unit of work."""
-    f = Frontiers(hold(source_edges(spec)), PrefixTree.build(spec.motifs), window(spec.delta), spec.ties)
-    tree = f.tree
+    tree = PrefixTree.build(spec.motifs)
+    f = Fused(hold(source_edges(spec)), tree, window(spec.delta), spec.ties)
     names = mineable(spec, [(pattern_text(p),) for p in tree.prefixes()])
     return names.join(F.broadcast(f.work()), "prefix", "left").select(F.lit(group).alias("group_name"), "prefix", F.coalesce("partials", F.lit(0)).cast("long").alias("partials"))
 

@@ -48,7 +48,7 @@ class SlabMiner(StatefulProcessor):
         yield pd.DataFrame({"slab": pd.Series([], dtype="int64"), "motif": pd.Series([], dtype=object), "n": pd.Series([], dtype="int64")})
 
     def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:
-        rows = sorted(set(self.edges.get()), key=lambda r: (r[3], r[4]))
+        rows = sorted(self.edges.get(), key=lambda r: (r[3], r[4]))
         counts: dict[str, int] = {}
         if rows:
             a = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5)))

@@ -85,7 +85,8 @@ class PrefixTree:
         """Without the subtrees whose pattern fails ``keep``; their queries stay named (they count 0)."""
 
         def cut(node: Node) -> Node:
-            return Node(node.pattern, node.query, [cut(c) for c in node.children if keep(c.pattern)])
+            left = [cut(c) for c in node.children if keep(c.pattern)]
+            return Node(node.pattern, node.query, [c for c in left if c.query or c.children])
 
         root = cut(self.root) if keep(self.root.pattern) else Node(())
         return PrefixTree(root, self.queries, self.aliases)
@@ -94,9 +95,22 @@ class PrefixTree:
         """Patterns with an odd cycle can't lie in a bipartite graph."""
         return self.pruned(two_colourable)
 
-    def subtree(self, k: int) -> PrefixTree:
-        """The root with its k-th child only; the root's own query stays with the first."""
-        return PrefixTree(Node(self.root.pattern, self.root.query if k == 0 else None, self.root.children[k : k + 1]), self.queries, self.aliases)
+    def split(self, levels: int) -> list[PrefixTree]:
+        """Trees that have one child each at the first ``levels`` branchings on every way down; together they are this one.
+
+        A node that stands in several keeps its query in the first of them only.
+        """
+
+        def parts(node: Node, left: int) -> list[Node]:
+            if not node.children:
+                return [node]
+            branching = len(node.children) > 1
+            if branching and left <= 0:
+                return [node]
+            below = [p for c in node.children for p in parts(c, left - branching)]
+            return [Node(node.pattern, node.query if k == 0 else None, [p]) for k, p in enumerate(below)]
+
+        return [PrefixTree(r, self.queries, self.aliases) for r in parts(self.root, levels)]
 
     def rows(self) -> list[tuple[str, str | None, int, str | None]]:
         return [(n.text, p.text if p else None, len(n.pattern), n.query) for n, p in self.nodes()]

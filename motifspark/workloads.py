@@ -11,7 +11,7 @@ from . import balance, baselines, heuristic, kernels, measures, oracles
 from .api import MineSpec, mine, with_zeros
 from .catalog import EXPERIMENT, GROUPS, MOTIFS, group
 from .engines import slabs as slab_engine
-from .engines.levels import Frontiers, hold, release, tallied
+from .engines.levels import holding, release, tallied
 from .graph import DAY, from_tables
 from .motif import Motif
 from .tree import PrefixTree
@@ -22,10 +22,19 @@ SQL: dict[str, str] = {}
 DELTA = {"msg": DAY, "msg_hub": DAY // 2, "msg_day": DAY, "trade": 7 * DAY, "nation": 3 * DAY, "chat": 4}
 
 
+#: The result whose frames are still persisted.
+_LAST: list[DataFrame] = []
+
+
 def add(name: str, query: Query, sql: str | None = None) -> None:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        release()  # what earlier queries persisted
-        return query(spark, sf_dir)
+        release(*_LAST)  # what the query before persisted
+        with holding() as held:
+            out = query(spark, sf_dir)
+        held += getattr(out, "held_frames", [])
+        out.held_frames = held
+        _LAST[:] = [out]
+        return out
 
     QUERIES[name] = run
     if sql is not None:
@@ -185,45 +194,24 @@ HUB = {"engine": "slabs", "target_edges": 3_000}
 mining("slab_quantile", "msg_hub", group("F2"), **HUB)
 mining("slab_width", "msg_hub", group("F2"), slab_mode="width", **HUB)
 mining("slab_salted", "msg_hub", group("F2"), replicas=3, **HUB)
-mining("sibling_split", "msg_hub", group("F2"), split_siblings=True, **HUB)
+mining("sibling_split", "msg_hub", group("F2"), split_siblings=1, **HUB)
 mining("kernel_generic", "msg", group("C3"), engine="slabs", kernel="generic", target_edges=2_000)
 mining("kernel_special", "msg", group("C3"), engine="slabs", kernel="special", target_edges=2_000)
 
 
-def salted_by_plan(s: SparkSession, d: str) -> DataFrame:
-    g = from_tables(s, d, "msg_hub")
-    cut = balance.salt_hot_slabs(g.edges, balance.plan_slabs(g.edges, DELTA["msg_hub"], 5_000), 2_000)
-    t = PrefixTree.build(group("F2"))
-    return with_zeros(slab_engine.run(g.edges, t, DELTA["msg_hub"], cut), t)
-
-
-add("slab_salted_planned", salted_by_plan, oracles.counts("msg_hub", group("F2"), DELTA["msg_hub"]))
-
-
-def hybrid(s: SparkSession, d: str, depth: int = 2) -> DataFrame:
-    """Levels to the depth, then the frontier is dealt evenly and finished in kernels."""
-    g, t = from_tables(s, d, "msg_hub"), PrefixTree.build(group("F3"))
-    f = Frontiers(hold(g.edges), t, DELTA["msg_hub"])
-    at = next(p for p in t.prefixes() if len(p) == depth)
-    cut = balance.plan_slabs(g.edges, DELTA["msg_hub"], 3_000)
-    return with_zeros(slab_engine.finish(f.frames[at], at, g.edges, t, DELTA["msg_hub"], cut), t)
+mining("slab_salted_planned", "msg_hub", group("F2"), engine="slabs", target_edges=5_000, hot_edges=2_000)
 
 
-add("hybrid_d2", hybrid, oracles.counts("msg_hub", group("F3"), DELTA["msg_hub"]))
-
-
-def offloaded(s: SparkSession, d: str) -> DataFrame:
-    """Every child of the root is a plan of its own below the one shared frontier; all run in one job."""
-    g, t = from_tables(s, d, "msg_hub"), PrefixTree.build(group("F2"))
-    e = hold(g.edges)
-    parts = [Frontiers(e, t.subtree(k), DELTA["msg_hub"]).counts() for k in range(len(t.root.children))]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return with_zeros(out, t)
-
-
-add("multi_offload", offloaded, oracles.counts("msg_hub", group("F2"), DELTA["msg_hub"]))
+# Every group on the even and on the skewed graph: epochs, siblings apart, contexts of all levels apart
+for g in EXPERIMENT:
+    for graph, tag in (("msg", ""), ("msg_hub", "_hub")):
+        small = {"engine": "hybrid", "target_edges": 3_000, "budget": 4_000, "least_work": 2_000}
+        mining(f"hybrid_{g}{tag}", graph, group(g), offload="one", **small)
+        mining(f"multi_offload_{g}{tag}", graph, group(g), offload="all", split_siblings=1, **small)
+        mining(f"sibling_split_{g}{tag}", graph, group(g), engine="slabs", target_edges=3_000, split_siblings=9)
+add("enum_hybrid", lambda s, d: mine(spec(s, d, "msg", group("F3"), mode="enumerate", engine="hybrid", target_edges=3_000, budget=4_000, least_work=2_000, split_siblings=1)), oracles.matches("msg", group("F3"), DAY))
+mining("hybrid_ties_sequence", "msg_day", group("F3") + [MOTIFS["burst2"]], engine="hybrid", ties="sequence", delta=DAY // 2, target_edges=2_000, budget=1_000, least_work=100, split_siblings=1)
+mining("slab_work_balanced", "msg_hub", group("F3"), engine="slabs", target_edges=5_000, hot_work=20_000)
 
 
 def arrays(s: SparkSession, d: str) -> DataFrame:

@@ -10,9 +10,8 @@ from pyspark.sql import functions as F
 from motifspark import balance, baselines, kernels, measures
 from motifspark.api import MineSpec, mine, window
 from motifspark.catalog import GROUPS, MOTIFS, group
-from motifspark.engines import brute
-from motifspark.engines import slabs as slab_engine
-from motifspark.engines.levels import Frontiers, release
+from motifspark.engines import brute, epochs
+from motifspark.engines.levels import Frontiers, Fused, release
 from motifspark.graph import DAY, EDGES, TemporalGraph, from_tables
 from motifspark.motif import Motif
 from motifspark.sources import readers
@@ -86,7 +85,7 @@ def test_random_graphs_in_kernels(seed):
         assert kernel_counts(rows, motifs, delta, ties, kernels.generic) == want
 
 
-ENGINES = [dict(engine="levels"), dict(engine="levels", bucketed=True), dict(engine="fused"), dict(engine="sql"), dict(engine="slabs", slab_width=3), dict(engine="slabs", slab_width=4, replicas=2, kernel="generic"), dict(engine="slabs", slab_width=100, split_siblings=True), dict(engine="levels", independent=True)]
+ENGINES = [dict(engine="levels"), dict(engine="levels", bucketed=False), dict(engine="fused"), dict(engine="sql"), dict(engine="slabs", slab_width=3), dict(engine="slabs", slab_width=4, replicas=2, kernel="generic"), dict(engine="slabs", slab_width=100, split_siblings=1), dict(engine="slabs", slab_width=7, split_siblings=9, kernel="generic"), dict(engine="slabs", target_edges=5, hot_edges=2), dict(engine="hybrid", slab_width=5, budget=7, least_work=3), dict(engine="hybrid", target_edges=9, budget=5, least_work=0, split_siblings=1), dict(engine="hybrid", slab_width=100, budget=4, least_work=0, offload="one"), dict(engine="levels", independent=True)]
 
 
 @pytest.mark.parametrize("options", ENGINES, ids=str)
@@ -180,17 +179,130 @@ def test_labels_windows_and_scopes(spark):
         mine(MineSpec(g, m, 10, engine="none"))
 
 
-def test_hybrid_with_ties(spark):
-    rng = random.Random(4)
-    rows = [(k, rng.randrange(4), rng.randrange(4), rng.randrange(10), k) for k in range(40)]
-    g, t = graph(spark, rows), PrefixTree.build(group("F3"))
-    for ties in ("strict", "sequence"):
-        at = next(p for p in t.prefixes() if len(p) == 2)
-        f = Frontiers(g.edges, t, 4, ties, enumerate_=True)
-        front = f.frames[at].drop("tie_last").withColumn("tie_last", F.col("e1"))
-        got = counts(slab_engine.finish(front, at, g.edges, t, 4, balance.Slabs(4, 3), ties))
-        want = {m.name: len(brute.matches(rows, m, 4, ties)) for m in group("F3")}
-        assert got == {k: v for k, v in want.items() if v}
+def test_epochs_deal_out_what_is_left(spark):
+    """A hub: one receiver in one slab; the work is handed over, cut, and done by others, once."""
+    rows = [(k, k % 7 + 1, 0, k, k) for k in range(60)] + [(100 + k, 0, k % 7 + 1, 60 + k, 100 + k) for k in range(60)]
+    g, motifs = graph(spark, rows), group("C1")
+    tree = PrefixTree.build(motifs)
+    want = {m.name: len(brute.matches(rows, m, 40)) for m in motifs}
+    for options in (dict(split_siblings=True), dict(split_siblings=False), dict(offload="one")):
+        r = epochs.run(g.edges, tree, 40, balance.Slabs(40, 1000), budget=500, least_work=100, **options)
+        assert {x.motif: x.n for x in r.found.collect()} == {k: v for k, v in want.items() if v}
+        assert len(r.costs) > 2 and r.costs[0][1] > 1 and r.costs[0][3] > 1 and r.costs[-1][1] == 0
+
+
+def test_pieces_bound_a_hub():
+    """A receiver with 8,000 in-edges in one window: 32 million candidate pairs, a bounded block at a time."""
+    import tracemalloc
+
+    n = 8_000
+    z = np.zeros(n, dtype=np.int64)
+    a = kernels.Adjacency(np.arange(n), np.arange(1, n + 1), z, np.arange(n), np.arange(n))
+    tree = PrefixTree.build([Motif.parse("in2", "AB CB")])
+    for make in (kernels.generic, kernels.specialised):
+        tracemalloc.start()
+        assert kernels.tally(make(tree), a, np.ones(n, dtype=bool), n) == {"in2": n * (n - 1) // 2}
+        assert tracemalloc.get_traced_memory()[1] < 200e6
+        tracemalloc.stop()
+
+
+def test_last_edges_are_counted_by_rank():
+    """A closed last edge is no list when only counts are asked for."""
+    assert "spans" in kernels.source(PrefixTree.build(group("F1")))
+    rows = read(FIXTURES["F6"][0])
+    for make in (kernels.generic, kernels.specialised):
+        a = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5)))
+        t, owned = PrefixTree.build(list(MOTIFS.values())), np.ones(len(rows), dtype=bool)
+        listed: dict[str, int] = {}
+        for q, e in kernels.found(make(t), a, owned, 10):
+            listed[q] = listed.get(q, 0) + len(e[0])
+        assert listed == kernels.tally(make(t), a, owned, 10)
+
+
+def test_split_trees_are_the_tree():
+    for g in GROUPS:
+        t = PrefixTree.build(group(g))
+        for levels in (0, 1, 2, 9):
+            parts = t.split(levels)
+            names = [q for p in parts for q in p.query_of().values()]
+            assert sorted(names) == sorted(t.query_of().values())
+            assert {x for p in parts for x in p.prefixes()} == set(t.prefixes())
+        assert all(len(n.children) < 2 for p in parts for n, _ in p.nodes())
+
+
+def test_planned_slabs(spark):
+    """Borders follow the edges, bursts are cut, hot slabs alone are copied; the index is a lookup."""
+    rows = [(k, k % 9, (k + 1) % 9, k * 10, k) for k in range(500)] + [(1000 + k, k % 9, (k + 2) % 9, 6000 + k // 40, 1000 + k) for k in range(2000)] + [(5000, 1, 2, 900_000, 5000)]
+    g = graph(spark, rows)
+    h = balance.histogram(g.edges)
+    assert h.n == 2501 and h.widest_window(50) >= 2000
+    cut = balance.plan_slabs(g.edges, 10, 200)
+    owned = {r.slab: r.n for r in cut.assigned(g.edges).where("owned").groupBy("slab").count().withColumnRenamed("count", "n").collect()}
+    assert len(owned) > 6 and sum(owned.values()) == 2501 and max(n for s, n in owned.items()) <= 2000
+    hot = balance.salt_hot_slabs(g.edges, cut, 150)
+    dealt = hot.assigned(g.edges).where("owned").groupBy("slab", "replica").count()
+    assert dealt.agg({"count": "sum"}).first()[0] == 2501
+    many = dict(hot.hot)
+    assert many and all((n > 150) == (s in many) for s, n in owned.items())
+    want = counts(mine(MineSpec(g, group("F2"), 10, engine="levels")))
+    assert counts(mine(MineSpec(g, group("F2"), 10, engine="slabs", target_edges=200, hot_edges=150))) == want
+    assert counts(mine(MineSpec(g, group("F2"), 10, engine="slabs", target_edges=200, hot_work=500))) == want
+    borders = tuple(range(0, 900_001, 220))
+    assert len(borders) > 4_000
+    got = g.edges.select("t", balance.Slabs(10, None, borders).index(F.col("t")).alias("s")).collect()
+    assert all(r.s == sum(b <= r.t for b in borders) for r in got[::50])
+
+
+def test_parallel_edges_have_ids_of_their_own(spark):
+    df = spark.createDataFrame([(1, 2, 5), (1, 2, 5), (2, 3, 6), (2, 3, 6), (2, 3, 7)], "a int, b int, at int")
+    from motifspark.graph import from_edge_list
+
+    g = from_edge_list(df, "a", "b", "at")
+    assert g.repeated_ids().count() == 0
+    found = mine(MineSpec(g, [MOTIFS["path2"]], 10, mode="enumerate", engine="fused")).collect()
+    assert len({r.edge_path for r in found}) == len(found) == 6
+    assert from_edge_list(df, "a", "b", "at", repeats=False).repeated_ids().count() == 2
+
+
+def test_stored_layout(spark, sf_dir):
+    """A bucketed adjacency: the fused engine reads it and does not shuffle the edges."""
+    g = from_tables(spark, sf_dir, "msg")
+    spark.sql("drop table if exists layout_msg")
+    layout = g.store_layout("layout_msg", DAY, 4)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        spec = MineSpec(g, group("F1"), DAY, engine="fused")
+        stored = mine(replace(spec, layout=layout))
+        assert counts(stored) == counts(mine(spec))
+        assert measures.exchanges(stored) < measures.exchanges(mine(spec))
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.sql("drop table layout_msg")
+
+
+def test_auto_follows_the_heuristic(spark, sf_dir):
+    from motifspark.api import followed, pick_engine
+
+    trade = MineSpec(from_tables(spark, sf_dir, "trade"), group("F1"), 7 * DAY)
+    got = followed(trade, PrefixTree.build(trade.motifs))
+    assert got.prune and not got.independent
+    msg = MineSpec(from_tables(spark, sf_dir, "msg"), group("C1"), DAY, resources="constrained")
+    assert followed(msg, PrefixTree.build(msg.motifs)).independent
+    free = replace(msg, resources="plenty", window_choice=(DAY, DAY // 2))
+    assert window(followed(free, PrefixTree.build(free.motifs)).delta) == DAY // 2
+    assert pick_engine(msg) == "fused"
+    assert counts(mine(msg)) == counts(mine(replace(msg, engine="levels")))
+    burst = balance.Histogram(0, 10**12, 10**7, np.array([10_000_000, *[1] * 99_999]))
+    assert pick_engine(msg, burst) == "fused" and pick_engine(msg, replace(burst, counts=np.full(100_000, 100))) == "slabs"
+
+
+def test_results_own_their_frames(spark):
+    g = graph(spark, read(FIXTURES["F6"][0]))
+    a, b = (mine(MineSpec(g, group("D2"), 10, engine="levels")) for _ in range(2))
+    assert a.held_frames and b.held_frames
+    release(a)
+    assert not a.held_frames and b.held_frames[0].is_cached
+    release(b)
 
 
 def test_bipartite(spark):
@@ -210,10 +322,15 @@ def test_plans(spark, sf_dir):
         shared = mine(spec)
         text = shared._jdf.queryExecution().executedPlan().toString()
         assert "CartesianProduct" not in text and "NestedLoopJoin" not in text and "InMemoryTableScan" in text
-        release()
+        release(shared)
         alone = mine(replace(spec, independent=True))
         assert "CartesianProduct" not in alone._jdf.queryExecution().executedPlan().toString()
         shared = mine(spec)
+        few = Fused(g.edges, PrefixTree.build(spec.motifs), DAY)
+        assert len(few.frames) == 4
+        text = few.counts()._jdf.queryExecution().executedPlan().toString()
+        assert "CartesianProduct" not in text and "NestedLoopJoin" not in text
+        assert measures.exchanges(mine(replace(spec, engine="fused"))) < measures.exchanges(alone)
         assert len(Frontiers(g.edges, PrefixTree.build(spec.motifs), DAY).frames) == 7 < sum(map(len, spec.motifs)) == 17
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
@@ -232,6 +349,5 @@ def test_subsample_and_halo(spark):
     g = graph(spark, rows)
     assert g.subsample(0.5).edges.count() == 50 and 30 < g.subsample(0.5, "edges").edges.count() < 70
     assert balance.halo_factor(g.edges, balance.Slabs(5, 10)).collect()[0].copies == 150
-    assert balance.hybrid_depth([10, 100, 5000], 1000) == 3
     hot = balance.salt_hot_slabs(g.edges, balance.Slabs(5, 50), 20)
-    assert hot.replicas == 3
+    assert hot.replicas == 1 and dict(hot.hot) == {0: 3, 1: 3}
