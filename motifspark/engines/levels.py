@@ -126,11 +126,12 @@ def asked(delta: int, width: int) -> Column:
     return F.sequence(bucket(F.col("t_last"), width), bucket(F.col("t_first") + F.lit(int(delta)).cast("long"), width))
 
 
-def expand(frontier: DataFrame, edges: DataFrame, prefix: tuple[Edge, ...], delta: int, ties: str, enumerate_: bool, bucketed: bool = True, hint: str | None = None) -> DataFrame:
+def expand(frontier: DataFrame, edges: DataFrame, prefix: tuple[Edge, ...], delta: int, ties: str, enumerate_: bool, bucketed: bool = True, hint: str | None = None, loose: bool = False) -> DataFrame:
     """The frontier of the prefix from that of the prefix before it.
 
     ``bucketed`` adds a time bucket of the window's width to the join keys: the frontier row
     asks two buckets at most, so a hub's whole history is never its candidate list.
+    ``loose`` leaves out that new vertices must be new: all candidates that are looked at.
     """
     s, n, depth = step(prefix), bound(prefix[:-1]), len(prefix) - 1
     e = edge_rows(edges, s.where)
@@ -141,7 +142,7 @@ def expand(frontier: DataFrame, edges: DataFrame, prefix: tuple[Edge, ...], delt
         on.append(F.col("g_bucket") == F.col("bucket"))
     if hint:
         e = e.hint(hint)
-    return frontier.join(e, conjunction([*on, after(ties), within(delta), *unbound(s, n)])).select(_columns(depth, n, s, enumerate_))
+    return frontier.join(e, conjunction([*on, after(ties), within(delta), *([] if loose else unbound(s, n))])).select(_columns(depth, n, s, enumerate_))
 
 
 class Frontiers:

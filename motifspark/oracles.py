@@ -25,7 +25,7 @@ GRAPHS = {
 }
 
 
-def chain(motif: Motif, delta: int, ties: str = "strict", tag: str = "", anchored: str | None = None, scope: str | None = None) -> list[str]:
+def chain(motif: Motif, delta: int, ties: str = "strict", tag: str = "", anchored: str | None = None, scope: str | None = None, loose: bool = False) -> list[str]:
     """One materialised expression an edge position, named {tag}{position}."""
     out, bound = [], []
     for k, (u, v) in enumerate(motif.canonical().edges):
@@ -42,7 +42,7 @@ def chain(motif: Motif, delta: int, ties: str = "strict", tag: str = "", anchore
             if x in bound:
                 on.append(f"g.{end} = f.v{x}")
             elif not (end == "dst" and u == v):
-                on += [f"g.{end} <> f.v{y}" for y in bound]
+                on += [f"g.{end} <> f.v{y}" for y in bound if not (loose and k == len(motif) - 1)]
                 new.append((end, x))
         if u == v and u not in bound:
             on.append("g.src = g.dst")
@@ -107,6 +107,19 @@ def work(graph: str, group: str, motifs: list[Motif], delta: int, independent: b
     return _whole(graph, parts, "\nUNION ALL ".join(ends))
 
 
+def probes(graph: str, group: str, motifs: list[Motif], delta: int) -> str:
+    """Candidate edges looked at for each distinct prefix after the first edge."""
+    parts, seen = [], {}
+    for m in motifs:
+        for k in range(2, len(m) + 1):
+            p = Motif("p", m.canonical().edges[:k])
+            if p.text not in seen:
+                seen[p.text] = f"w{len(seen)}_"
+                parts += chain(p, delta, "strict", seen[p.text], loose=True)
+    ends = [f"SELECT '{group}' AS group_name, '{t}' AS prefix, count(*) AS probes FROM {tag}{len(t.split()) - 1}" for t, tag in seen.items()]
+    return _whole(graph, parts, "\nUNION ALL ".join(ends))
+
+
 def with_edges(graph: str, rest: str) -> str:
     """``rest`` continues a WITH list or is a SELECT over the table edges."""
     return "WITH edges AS MATERIALIZED (" + GRAPHS[graph] + ")" + (", " if rest.lstrip().startswith("(") or " AS (" in rest.split("SELECT")[0] else "\n") + rest

@@ -58,7 +58,7 @@ for g in ("msg", "msg_hub", "trade", "nation"):
         lambda s, d, g=g: from_tables(s, d, g).profile(),
         oracles.with_edges(g, "SELECT (SELECT count(*) FROM (SELECT src FROM edges UNION SELECT dst FROM edges)) AS vertices, (SELECT count(*) FROM (SELECT DISTINCT src, dst FROM edges)) AS static_edges, count(*) AS temporal_edges, count(*) FILTER (WHERE src = dst) AS self_loops, max(t) - min(t) AS span_us FROM edges"),
     )
-add("bipartite_trade", lambda s, d: s.createDataFrame([("trade", from_tables(s, d, "trade").is_bipartite())], "graph string, bipartite boolean"), "SELECT 'trade' AS graph, true AS bipartite")
+add("bipartite_trade", lambda s, d: s.createDataFrame([("trade", from_tables(s, d, "trade").is_bipartite())], "graph string, bipartite boolean"), oracles.with_edges("trade", "SELECT 'trade' AS graph, count(*) FILTER (WHERE (src < 0) = (dst < 0)) = 0 AS bipartite FROM edges"))
 
 
 def tested_bipartite(s: SparkSession, d: str, kind: str) -> DataFrame:
@@ -232,10 +232,27 @@ add(
 )
 add(
     "counter_modes",
-    lambda s, d: tallied([mine(spec(s, d, "msg", group("F1"), engine="slabs", mode="enumerate", target_edges=2_000)).select("motif")]),
-    oracles.counts("msg", group("F1"), DAY),
+    lambda s, d: measures.listed_and_counted(spec(s, d, "msg", group("F1"), engine="slabs", target_edges=2_000)),
+    f"SELECT motif, n AS listed, n AS counted FROM ({oracles.counts('msg', group('F1'), DAY)})",
+)
+for g in ("D2", "F3", "C3"):
+    add(f"probes_{g}", lambda s, d, g=g: measures.probes(spec(s, d, "msg", group(g)), g), oracles.probes("msg", g, group(g), DAY))
+_OWN = f"1 + t // {3 * DAY} - (t - {DAY}) // {3 * DAY}"
+add(
+    "cost_balance",
+    lambda s, d: measures.copies(
+        from_tables(s, d, "msg").edges,
+        {"slabs": (balance.Slabs(DAY, 3 * DAY), 1), "replicas": (balance.Slabs(DAY, 3 * DAY, (), 3), 1), "siblings": (balance.Slabs(DAY, 3 * DAY), len(PrefixTree.build(group("C3")).split(9)))},
+    ),
+    oracles.with_edges("msg", f"SELECT unnest(['slabs', 'replicas', 'siblings']) AS plan, count(*) AS edges, unnest([CAST(sum({_OWN}) AS BIGINT), CAST(3 * sum({_OWN}) AS BIGINT), CAST(6 * sum({_OWN}) AS BIGINT)]) AS copies FROM edges"),
+)
+for g in ("trade", "nation"):
+    add(f"unique_ids_{g}", lambda s, d, g=g: from_tables(s, d, g).edges.agg(F.count("*").alias("edges"), F.countDistinct("edge_id").alias("ids")), oracles.with_edges(g, "SELECT count(*) AS edges, count(*) AS ids FROM edges"))
+add(
+    "distinct_forms",
+    lambda s, d: (lambda e: e.crossJoin(F.broadcast(e.groupBy("src").agg(F.count("*").alias("k")).orderBy(F.desc("k"), "src").limit(1).select(F.col("src").alias("hub")))).agg(F.sum((~(F.col("src") == F.col("hub")) | (F.col("dst") != F.col("hub"))).cast("long")).alias("fused"), F.sum(F.when(F.col("src") == F.col("hub"), F.col("dst") != F.col("hub")).otherwise(True).cast("long")).alias("implied")))(from_tables(s, d, "msg").edges),
+    oracles.with_edges("msg", "SELECT count(*) FILTER (WHERE NOT src = hub OR dst <> hub) AS fused, count(*) FILTER (WHERE CASE WHEN src = hub THEN dst <> hub ELSE true END) AS implied FROM edges, (SELECT src AS hub FROM edges GROUP BY src ORDER BY count(*) DESC, src LIMIT 1)"),
 )
-add("distinct_forms", lambda s, d: from_tables(s, d, "msg").edges.agg(F.sum((~(F.col("src") == 3) | (F.col("dst") != 3)).cast("long")).alias("fused"), F.sum(F.when(F.col("src") == 3, F.col("dst") != 3).otherwise(True).cast("long")).alias("implied")), oracles.with_edges("msg", "SELECT count(*) FILTER (WHERE NOT src = 3 OR dst <> 3) AS fused, count(*) FILTER (WHERE CASE WHEN src = 3 THEN dst <> 3 ELSE true END) AS implied FROM edges"))
 add("prune_trade", lambda s, d: mine(spec(s, d, "trade", group("C3"), engine="levels", prune=True)), oracles.counts("trade", group("C3"), DELTA["trade"]))
 
 # Baselines
@@ -267,9 +284,21 @@ add(
     advice,
     f"SELECT graph, group_name, backend, graph = 'trade' OR backend = 'plenty' OR similarity >= 0.44 AS co_mine, CASE WHEN graph = 'trade' THEN 'bipartite' WHEN backend = 'constrained' AND similarity < 0.44 THEN 'similarity below threshold' ELSE 'shared prefixes' END AS reason FROM ({values(SIMILARITY[1:], 'group_name, similarity')}), (SELECT unnest(['msg', 'nation', 'trade']) AS graph), (SELECT unnest(['plenty', 'constrained']) AS backend)",
 )
-RUNS = [("msg", "D2", 2.0, 4.0), ("msg", "F3", 4.0, 1.0), ("trade", "D2", 8.0, 1.0)]
-add("speedup_geomean", lambda s, d: measures.geomean(s.createDataFrame(RUNS, "graph string, q string, speedup double, sec double"), "speedup", ["graph"]), f"SELECT graph, round(exp(avg(ln(speedup))), 6) AS geomean FROM ({values(RUNS, 'graph, q, speedup, sec')}) GROUP BY graph")
-add("time_weighted", lambda s, d: measures.time_weighted(s.createDataFrame(RUNS, "graph string, q string, metric double, sec double"), "sec", "metric", ["graph"]), f"SELECT graph, round(CAST(sum(sec * metric) / sum(sec) AS DOUBLE), 6) AS metric FROM ({values(RUNS, 'graph, q, metric, sec')}) GROUP BY graph")
+
+
+def gains(s: SparkSession, d: str) -> DataFrame:
+    """A row a graph and group: how much less work mining together is, and the work it takes."""
+    out = None
+    for graph in ("msg", "trade"):
+        for g in ("D2", "F3", "C3"):
+            row = measures.work_ratio(spec(s, d, graph, group(g)), g).select(F.lit(graph).alias("graph"), "group_name", (F.col("independent") / F.col("shared")).alias("gain"), F.col("shared").cast("double").alias("shared"))
+            out = row if out is None else out.unionByName(row)
+    return out
+
+
+_GAINS = " UNION ALL ".join(f"SELECT '{graph}' AS graph, independent / shared AS gain, CAST(shared AS DOUBLE) AS shared FROM ({oracles.work(graph, g, group(g), DELTA[graph], True)})" for graph in ("msg", "trade") for g in ("D2", "F3", "C3"))
+add("speedup_geomean", lambda s, d: measures.geomean(gains(s, d), "gain", ["graph"]), f"SELECT graph, round(exp(avg(ln(gain))), 6) AS geomean FROM ({_GAINS}) GROUP BY graph")
+add("time_weighted", lambda s, d: measures.time_weighted(gains(s, d), "shared", "gain", ["graph"]), f"SELECT graph, round(sum(shared * gain) / sum(shared), 6) AS gain FROM ({_GAINS}) GROUP BY graph")
 add(
     "kernel_source",
     lambda s, d: s.createDataFrame([(g, PrefixTree.build(group(g)).digest(), kernels.source(PrefixTree.build(group(g))).count("a.candidates")) for g in EXPERIMENT], "group_name string, digest string, joins int").select("group_name", "joins"),
