@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import sys
 import types
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 #: Bytes of text that a worker looks at together; a longer text is a slice of its own.
 SLICE_BYTES = 1 << 20
@@ -17,12 +20,46 @@ SLICE_BYTES = 1 << 20
 BATCH_ROWS = 1_000
 
 
-def small_batches(df: DataFrame) -> DataFrame:
-    """df, after the session's Arrow batches were held to BATCH_ROWS (a run-time setting; smaller ones stay)."""
+@contextmanager
+def settings(spark: SparkSession, wanted: dict[str, str]):
+    """Run-time settings for a block, put back afterwards."""
+    before = {k: spark.conf.get(k, None) for k in wanted}
+    try:
+        for k, v in wanted.items():
+            spark.conf.set(k, v)
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.unset(k) if v is None else spark.conf.set(k, v)
+
+
+def small_batches(spark: SparkSession):
+    """For a block that writes what Python workers make: Arrow batches of BATCH_ROWS rows at most."""
     name = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(df.sparkSession.conf.get(name)) <= BATCH_ROWS:
-        df.sparkSession.conf.set(name, str(BATCH_ROWS))
-    return df
+    now = int(spark.conf.get(name))
+    return settings(spark, {name: str(min(now, BATCH_ROWS) if now > 0 else BATCH_ROWS)})
+
+
+def give_back() -> None:
+    """Memory that a worker has freed goes back to the system: the worker lives on and serves other operators."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
+def map_arrow(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
+    """df.mapInArrow(work, schema), giving memory back at the end of each task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from work(batches)
+        finally:
+            give_back()
+
+    return df.mapInArrow(run, schema)
 
 
 def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:

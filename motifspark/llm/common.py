@@ -6,28 +6,57 @@ read them again after another one is lost.
 
 from __future__ import annotations
 
+import json
 import tempfile
 import uuid
 from collections.abc import Callable
+from contextlib import contextmanager
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Rows that may be broadcast: narrow rows (tens of bytes), so tens of MB at most.
 BROADCAST_ROWS = 500_000
+#: Bytes that wide rows may have together to be broadcast.
+BROADCAST_BYTES = 64 << 20
 
 #: ASCII white space, the separators that most contracts here name.
 ASCII_SPACE = r"[\x20\x09-\x0D]+"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder; a temporary one only where none is set (tests)."""
-    found = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
+    """The cluster's shared folder.  Where none is set, a temporary one in local mode (tests); elsewhere that is an error."""
+    conf = spark.sparkContext.getConf()
+    found = conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
     if not found:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         found = "file://" + tempfile.gettempdir() + "/motifspark-scratch"
     return found.rstrip("/")
 
 
+def delete(spark: SparkSession, path: str) -> None:
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+
+
+#: Folders of the operators that run inside scratch_scope().
+_SCOPES: list[list[str]] = []
+
+
+@contextmanager
+def scratch_scope(spark: SparkSession):
+    """Deletes at its end what operators inside wrote to the shared folder: their results must be stored or used up by then."""
+    _SCOPES.append([])
+    try:
+        yield
+    finally:
+        for root in _SCOPES.pop():
+            delete(spark, root)
+
+
 class Scratch:
     """Tables written to the shared folder and read again: a cut of lineage that survives lost executors."""
 
@@ -35,6 +64,8 @@ class Scratch:
         self.spark = spark
         self.root = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex[:12]}"
         self.n = 0
+        if _SCOPES:
+            _SCOPES[-1].append(self.root)
 
     def path(self, name: str) -> str:
         self.n += 1
@@ -48,26 +79,71 @@ class Scratch:
             into.append(path)
         return self.spark.read.schema(df.schema).parquet(path)
 
-    def drop(self, path: str) -> None:
-        jvm = self.spark.sparkContext._jvm
-        p = jvm.org.apache.hadoop.fs.Path(path)
-        p.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
+    def drop(self, *paths: str) -> None:
+        for path in paths:
+            delete(self.spark, path)
 
 
-def small(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """df marked for broadcast if it has at most ``limit`` rows, else as it is (a shuffled join then)."""
+def local_rows(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """A small table that the driver made, as a relation of the JVM: no Python worker reads it."""
+    names = [f.name for f in T._parse_datatype_string(schema).fields]
+    jvm = spark.sparkContext._jvm
+    held = jvm.java.util.ArrayList()
+    held.add(json.dumps([dict(zip(names, r, strict=True)) for r in rows]))
+    text = DataFrame(spark._jsparkSession.createDataset(held, jvm.org.apache.spark.sql.Encoders.STRING()).toDF(), spark)
+    fields = ", ".join(f"{f.name}: {f.dataType.simpleString()}" for f in T._parse_datatype_string(schema).fields)
+    return text.select(F.inline(F.from_json("value", f"array<struct<{fields}>>")))
+
+
+def small(df: DataFrame, rows: int | None = None, limit: int = BROADCAST_ROWS, width: Column | None = None) -> DataFrame:
+    """df marked for broadcast if it has at most ``limit`` rows, else as it is (a shuffled join then).
+
+    ``width``: bytes of a row that is not narrow; these together must stay under BROADCAST_BYTES too.
+    """
+    if width is not None:
+        r = df.agg(F.count("*").alias("n"), F.coalesce(F.sum(width), F.lit(0)).alias("b")).first()
+        return F.broadcast(df) if r["n"] <= limit and r["b"] <= BROADCAST_BYTES else df
     n = df.count() if rows is None else rows
     return F.broadcast(df) if n <= limit else df
 
 
+def joined_hot(rows: DataFrame, unique: DataFrame, key: str, how: str = "inner", salts: int = 16) -> DataFrame:
+    """rows joined with a table that has one row a key.
+
+    A small table is broadcast.  Else rows of a key are dealt to ``salts`` tasks and the table's rows are
+    copied as often, so that a key that holds a third of all rows is no single task.
+    """
+    n = unique.count()
+    if n <= BROADCAST_ROWS:
+        return rows.join(F.broadcast(unique), key, how)
+    copies = unique.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    dealt = rows.withColumn("_salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts)).cast("int"))
+    return dealt.join(copies, [key, "_salt"], how).drop("_salt")
+
+
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that df has not."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def row_key() -> Column:
+    """A number for a row's doc_id and text: a doc_id may be null, or repeat with other texts."""
+    return F.xxhash64("doc_id", "text")
+
+
 def without(docs: DataFrame, rejected: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """The rows of docs that ``rejected`` (docs -> rows with doc_id) does not name; those without doc_id are judged under a hash of their text."""
-    left = docs.join(rejected(docs).select("doc_id").distinct(), "doc_id", "left_anti").select(*docs.columns)
-    nameless = docs.where("doc_id is null").withColumn("_text", F.xxhash64("text"))
-    if nameless.isEmpty():
-        return left
-    gone = rejected(nameless.withColumn("doc_id", F.col("_text"))).select(F.col("doc_id").alias("_text")).distinct()
-    return left.where("doc_id is not null").unionByName(nameless.join(gone, "_text", "left_anti").select(*docs.columns))
+    """The rows of docs that ``rejected`` does not name.
+
+    It is given rows (doc_id, text) whose doc_id is the row's key, and returns rows with such a doc_id: a row is judged by
+    its own id and text, whichever other row has the same id, or none.
+    """
+    name = fresh(docs, "_row")
+    gone = rejected(docs.select(row_key().alias("doc_id"), "text")).select(F.col("doc_id").alias(name)).distinct()
+    gone = Scratch(docs.sparkSession, "rejected").table(gone, "rows")
+    return docs.withColumn(name, row_key()).join(small(gone), name, "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))
 
 
 def keepers(docs: DataFrame, key: Column, verdicts: DataFrame) -> DataFrame:
@@ -76,14 +152,17 @@ def keepers(docs: DataFrame, key: Column, verdicts: DataFrame) -> DataFrame:
     ``key`` is a hash of a row's text; verdicts has rows (doc_id, key, gone, n), n how many rows share both.
     Only rows that repeat are shuffled to lose their copies.
     """
-    d = docs.withColumn("_key", key)
-    v = verdicts.select(F.col("doc_id").alias("_id"), F.col("key").alias("_of"), "gone", "n")
-    same = F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_key") == F.col("_of"))
-    left = d.join(v.where("gone or n > 1"), same, "left_anti").select(*docs.columns)
-    again = v.where("not gone and n > 1")
+    name = fresh(docs, "_key")
+    d = docs.withColumn(name, key).alias("d")
+    v = verdicts.select(F.col("doc_id").alias("id"), F.col("key").alias("of"), "gone", "n")
+    same = F.col("d.doc_id").eqNullSafe(F.col("v.id")) & (F.col(f"d.{name}") == F.col("v.of"))
+    own = [F.col(f"d.`{c}`") for c in docs.columns]
+    left = d.join(small(v.where("gone or n > 1").select("id", "of")).alias("v"), same, "left_anti").select(*own)
+    again = v.where("not gone and n > 1").select("id", "of")
     if again.isEmpty():
         return left
-    return left.unionByName(d.join(again, same, "left_semi").dropDuplicates(["doc_id", "_key"]).select(*docs.columns))
+    one = d.join(small(again).alias("v"), same, "left_semi").dropDuplicates(["doc_id", name])
+    return left.unionByName(one.select(*(F.col(f"`{c}`") for c in docs.columns)))
 
 
 def text_or_empty(c: str = "text") -> Column:

@@ -32,8 +32,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, small_batches, utf8
-from .common import Scratch, components, keepers, small
+from .arrow_text import map_arrow, slices, small_batches, utf8
+from .common import Scratch, components, keepers, row_key, small
 from .shingles import shingle_set, word_hashes
 
 SHINGLE, PERCENT = 5, 75
@@ -49,7 +49,7 @@ HEAD, ROUNDS = 4, 3
 
 def sets_of(part: pa.RecordBatch, k: int) -> Iterator[np.ndarray]:
     buf, off = utf8(part.column(part.schema.get_field_index("text")))
-    hashes, _, _, first = word_hashes(buf, off)
+    hashes, first = word_hashes(buf, off)
     for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
         yield shingle_set(hashes[a:b], k)
 
@@ -71,16 +71,16 @@ def lists(values: list[np.ndarray]) -> pa.ListArray:
 
 
 def common_shingles(docs: DataFrame, k: int) -> np.ndarray:
-    """Sorted hashes of the shingles that are common in the sample (chosen by a hash of doc_id); the most common MAX_COMMON at most."""
+    """Sorted hashes of the shingles that are common in the sample (chosen by a hash of the row); the most common MAX_COMMON at most."""
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, "text"):
                 seen, n = np.unique(np.concatenate([*sets_of(part, k), np.zeros(0, dtype=np.int64)]), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(n.astype(np.int64))], ["shingle", "n"])
 
-    counted = small_batches(docs).where(F.pmod(F.xxhash64("doc_id"), F.lit(SAMPLE_ONE_IN)) == 0).select("text").mapInArrow(work, "shingle bigint, n bigint")
-    rows = counted.groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON).orderBy(F.desc("n"), "shingle").limit(MAX_COMMON).select("shingle").collect()
-    return np.sort(np.array([r[0] for r in rows], dtype=np.int64))
+    sample = docs.where(F.pmod(F.xxhash64("doc_id", "text"), F.lit(SAMPLE_ONE_IN)) == 0).select("text")
+    rows = map_arrow(sample, work, "shingle bigint, n bigint").groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") >= COMMON).orderBy(F.desc("n"), "shingle").limit(MAX_COMMON).select("shingle")
+    return np.sort(rows.toArrow().column(0).to_numpy())
 
 
 def rows_of(docs: DataFrame, k: int, percent: int, common: np.ndarray) -> DataFrame:
@@ -104,12 +104,7 @@ def rows_of(docs: DataFrame, k: int, percent: int, common: np.ndarray) -> DataFr
                     fps.append(digest(s))
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(fps, pa.binary()), pa.array(ns, pa.int64()), lists(prefixes), lists(sketches), lists(wides)], ["doc_id", "key", "fp", "n", "prefix", "sketch", "wide"])
 
-    return docs.select("doc_id", "text", row_key().alias("key")).mapInArrow(work, "doc_id bigint, key bigint, fp binary, n bigint, prefix array<bigint>, sketch array<bigint>, wide array<bigint>")
-
-
-def row_key() -> Column:
-    """A number for a row's doc_id and text: a doc_id may be null, or repeat with other texts."""
-    return F.xxhash64("doc_id", "text")
+    return map_arrow(docs.select("doc_id", "text", row_key().alias("key")), work, "doc_id bigint, key bigint, fp binary, n bigint, prefix array<bigint>, sketch array<bigint>, wide array<bigint>")
 
 
 def full_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -123,7 +118,7 @@ def full_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column(0), lists(sets)], ["rid", "shingles"]).filter(pa.array(right))
 
     rows = docs.select(row_key().alias("key"), "text").join(small(wanted), "key").select("rid", "fp", "text")
-    return rows.mapInArrow(work, "rid bigint, shingles array<bigint>").dropDuplicates(["rid"])
+    return map_arrow(rows, work, "rid bigint, shingles array<bigint>").dropDuplicates(["rid"])
 
 
 def possible(percent: int) -> Column:
@@ -178,7 +173,7 @@ def runs(postings: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(t[send]), pa.array(r[send]), pa.array(pivot[send])], ["token", "rid", "pivot"])
             held = (t[-1], r[-1], pivot[-1], bool(send[-1]) or (len(t) == 1 and held is not None and held[3]))
 
-    return postings.repartition("token").sortWithinPartitions("token", "rid").mapInArrow(work, "token bigint, rid bigint, pivot bigint")
+    return map_arrow(postings.repartition("token").sortWithinPartitions("token", "rid"), work, "token bigint, rid bigint, pivot bigint")
 
 
 def classes(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) -> DataFrame:
@@ -190,7 +185,8 @@ def components_of(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) ->
     """The same with each row's key and c, its component's number (null for empty sets)."""
     scratch = Scratch(docs.sparkSession, "jaccard")
     # Stored, so that row numbers given on the way stay what they are.
-    rows = scratch.table(rows_of(docs, k, percent, common_shingles(docs, k)).withColumn("rid", F.monotonically_increasing_id()), "rows")
+    with small_batches(docs.sparkSession):
+        rows = scratch.table(rows_of(docs, k, percent, common_shingles(docs, k)).withColumn("rid", F.monotonically_increasing_id()), "rows")
     reps = rows.where("n > 0").groupBy("fp").agg(F.min(F.struct("rid", "doc_id")).alias("r"), F.min("doc_id").alias("least"))
     reps = scratch.table(reps.select("fp", F.col("r.rid").alias("rid"), F.col("r.doc_id").alias("doc_id"), "least"), "reps")
     # Rows that are not their class's: few as a rule, so that the others need not be shuffled to lose them.

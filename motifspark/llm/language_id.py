@@ -29,16 +29,62 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, small_batches
-from .common import Scratch, small
+from .arrow_text import map_arrow, slices, small_batches
+from .common import Scratch, joined_hot, small
 
 DOCS_A_LANGUAGE, BUCKETS, EFFECTIVE, STRENGTH = 1_000, 1 << 15, 60, 5.0
-GONE = re.compile(r"<!--.*?-->|<(script|style|head)\b.*?</\1\s*>|<[^>]*>", re.DOTALL | re.IGNORECASE)
-DECLARED = re.compile(r"<html\b[^>]*?\blang\s*=\s*[\"']?([A-Za-z]+)", re.IGNORECASE)
+OPENING, HTML = re.compile(r"<(script|style|head)\b", re.IGNORECASE), re.compile(r"<html\b", re.IGNORECASE)
+CLOSING = {t: re.compile(rf"</{t}\s*>", re.IGNORECASE) for t in ("script", "style", "head")}
+LANG = re.compile(r"\blang\s*=\s*[\"']?([A-Za-z]+)", re.IGNORECASE)
 
 
 def visible(markup: str | None) -> str:
-    return entities.unescape(GONE.sub(" ", markup or ""))
+    """The text outside tags, comments, scripts, styles and the head, entities resolved.
+
+    One pass: of each kind of end the next place is remembered, so that openings that nothing closes
+    (they are taken as plain tags, or as text without a ``>``) are not searched for again and again.
+    """
+    text, out, at = markup or "", [], 0
+    ends: dict[str, tuple[int, int]] = {}
+
+    def end_of(kind: str, after: int) -> int:
+        """Place behind the next end of the kind from there on; -1 if there is none."""
+        where, behind = ends.get(kind, (-2, -2))
+        if where == -1 or where >= after:
+            return behind
+        if kind in CLOSING:
+            m = CLOSING[kind].search(text, after)
+            ends[kind] = (m.start(), m.end()) if m else (-1, -1)
+        else:
+            k = text.find(kind, after)
+            ends[kind] = (k, k + len(kind)) if k >= 0 else (-1, -1)
+        return ends[kind][1]
+
+    while (open_ := text.find("<", at)) >= 0:
+        out.append(text[at:open_])
+        stop = end_of("-->", open_ + 4) if text.startswith("<!--", open_) else -1
+        if stop < 0 and (m := OPENING.match(text, open_)):
+            stop = end_of(m[1].lower(), m.end())
+        if stop < 0:
+            stop = end_of(">", open_ + 1)
+        if stop < 0:
+            at = open_
+            break
+        out.append(" ")
+        at = stop
+    return entities.unescape("".join(out) + text[at:])
+
+
+def declared_in(markup: str | None) -> str:
+    """The language that an ``<html`` tag declares, in lower case; "" if none does."""
+    text, at = markup or "", 0
+    while m := HTML.search(text, at):
+        end = text.find(">", m.end())
+        end = len(text) if end < 0 else end
+        if found := LANG.search(text, m.end(), end):
+            return found[1].lower()
+        at = end
+    return ""
 
 
 def trigrams(text: str) -> np.ndarray:
@@ -66,7 +112,7 @@ def train(docs: DataFrame) -> tuple[list[str], np.ndarray]:
                 at = np.flatnonzero(n)
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(at), pa.string()), pa.array(at.astype(np.int32)), pa.array(n[at])], ["lang", "bucket", "n"])
 
-    rows = taught.mapInArrow(work, "lang string, bucket int, n bigint").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
+    rows = map_arrow(taught, work, "lang string, bucket int, n bigint").groupBy("lang", "bucket").agg(F.sum("n").alias("n"))
     got = {}
     for r in rows.groupBy("lang").agg(F.collect_list("bucket").alias("at"), F.collect_list("n").alias("n")).toLocalIterator():  # a row a language, BUCKETS numbers at most
         n = np.full(BUCKETS, 0.5)
@@ -88,18 +134,17 @@ def evidence(pages: DataFrame, langs: list[str], table: np.ndarray) -> DataFrame
                 for url, markup in zip(part.column(1).to_pylist(), part.column(2).to_pylist(), strict=True):
                     host = re.split(r"[/?#]", (url or "").partition("://")[2], maxsplit=1)[0].lower()
                     labels = host.split(".")
-                    declared = DECLARED.search(markup or "")
                     at = trigrams(visible(markup))
                     ll = logs[:, at].sum(axis=1) * min(1.0, EFFECTIVE / max(1, len(at)))
                     hosts.append(host)
                     parents.append(".".join(labels[-2:]))
                     suffixes.append(labels[-1])
-                    said.append(declared[1].lower() if declared else "")
+                    said.append(declared_in(markup))
                     lls.append((ll - ll.max()).tolist())
                     best.append(int(ll.argmax()))
                 yield pa.RecordBatch.from_arrays([part.column(0), *(pa.array(c, pa.string()) for c in (hosts, parents, suffixes, said)), pa.array(lls, pa.list_(pa.float64())), pa.array(best, pa.int32())], ["page_id", "host", "parent", "suffix", "declared", "ll", "best"])
 
-    return small_batches(pages).select("page_id", "url", "html").mapInArrow(work, "page_id bigint, host string, parent string, suffix string, declared string, ll array<double>, best int")
+    return map_arrow(pages.select("page_id", "url", "html"), work, "page_id bigint, host string, parent string, suffix string, declared string, ll array<double>, best int")
 
 
 def tally(rows: DataFrame, by: list[str], n: int, out: str) -> DataFrame:
@@ -126,13 +171,14 @@ def identify(pages: DataFrame, docs: DataFrame) -> DataFrame:
     if not langs:
         return pages.select("page_id", F.lit(None).cast("string").alias("lang"), F.lit(None).cast("double").alias("confidence"), F.lit(None).cast("string").alias("text_lang"), F.lit(None).cast("string").alias("declared"), F.lit(None).cast("string").alias("host"))
     n = len(langs)
-    rows = Scratch(spark, "language").table(evidence(pages, langs, table), "evidence")
+    with small_batches(spark):
+        rows = Scratch(spark, "language").table(evidence(pages, langs, table), "evidence")
     whole = tally(rows, [], n, "c").collect()[0]["c"]  # one row
     whole = [x or 0.0 for x in whole]
     everywhere = F.array(*(F.lit((x + 1) / (sum(whole) + n)) for x in whole))
     parents = tally(rows, ["parent"], n, "pc").select("parent", shares(F.col("pc"), everywhere).alias("pp"))
     hosts = tally(rows, ["host", "parent"], n, "hc").join(parents, "parent").select("host", F.transform(shares(F.col("hc"), F.col("pp")), lambda x: F.log(x)).alias("l_host"))
-    fused = rows.join(hosts, "host")
+    fused = joined_hot(rows, Scratch(spark, "language").table(hosts, "hosts"), "host")  # a host may hold a third of all pages
     for by in ("declared", "suffix"):
         fused = fused.join(small(likelihoods(rows, by, whole, n)), by)
     total = F.col("ll")

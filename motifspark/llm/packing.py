@@ -13,19 +13,21 @@ and ranks are dealt to the copies of the patterns by arithmetic, so the assignme
 join with a small table.
 
 Token ids of a text are those of its white-space separated words, one after the other
-(the tokenizer never joins across ASCII white space); a worker keeps a bounded cache of
-words' ids.
+(the tokenizer never joins across ASCII white space); a worker keeps a table of words' ids
+of fixed size, in which words are compared byte by byte.
 
 Defined results.  Null and empty texts are the end id alone.  Repeated rows are packed
-one by one.  An empty table gives no rows.  Extra columns are ignored.
+one by one, also under one doc_id or none.  A text of any length is cut.  An empty table
+gives no rows.  Extra columns are ignored.
 """
 
 from __future__ import annotations
 
+import json
 import os
 import zlib
 from collections.abc import Iterator
-from itertools import chain, repeat
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -33,16 +35,22 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .arrow_text import per_process, slices, small_batches, utf8
-from .common import Scratch, ranked
-from .shingles import word_hashes
+from .arrow_text import map_arrow, per_process, slices, small_batches, utf8
+from .common import Scratch, local_rows, ranked
+from .shingles import LOWER, span_hashes, word_spans
 
 LENGTH, GRAIN, END = 4096, 16, 2
 LAST = END.to_bytes(4, "little")
-CACHE_WORDS, LONG_WORD, LINE = 600_000, 48, 200
+#: Places of the table of known words, room for their ids and for their bytes; longer words aren't kept.
+PLACES, ROOM, LONG_WORD, LINE = 1 << 20, 4 << 20, 48, 200
 #: Bytes of text and new words that a worker encodes together; both bound its memory.
 ENCODE_BYTES, ENCODE_WORDS = 2 << 20, 4_000
 RANK_ROWS = 50_000
+MARK, ALNUM = np.zeros(256, dtype=bool), np.zeros(256, dtype=bool)
+MARK[list(b".,;:!?")] = True
+ALNUM[list(b"0123456789abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ")] = True
+#: Fixed value, as it stands in a tokenizer's JSON: letters, single figures and runs of marks are parted.
+PARTED = json.dumps(r"[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")[1:-1]
 
 
 def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
@@ -51,18 +59,33 @@ def tokenizer_path(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
-def ragged(flat: np.ndarray, start: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The runs flat[start[i]:start[i+1]] for i in which, one after the other, and their sizes."""
-    sizes = start[which + 1] - start[which]
+def spread(start: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The indices of the runs start[i] .. start[i] + sizes[i], one after the other."""
     ends = np.cumsum(sizes)
-    return flat[np.repeat(start[which] - (ends - sizes), sizes) + np.arange(sizes.sum())], sizes
+    return np.repeat(start - (ends - sizes), sizes) + np.arange(int(sizes.sum()))
+
+
+def same_bytes(a: np.ndarray, a_at: np.ndarray, a_size: np.ndarray, b: np.ndarray, b_at: np.ndarray, b_size: np.ndarray, most: int = 1 << 18) -> np.ndarray:
+    """Whether the runs of bytes are equal, pair by pair; some pairs at a time."""
+    out = a_size == b_size
+    todo = np.flatnonzero(out & ((a_at != b_at) | (a is not b)) & (a_size > 0))
+    heads, lo = np.concatenate(([0], np.cumsum(a_size[todo]))), 0
+    while lo < len(todo):
+        hi = max(lo + 1, int(np.searchsorted(heads, heads[lo] + most, "right")) - 1)
+        k = todo[lo:hi]
+        equal = a[spread(a_at[k], a_size[k])] == b[spread(b_at[k], a_size[k])]
+        if not equal.all():
+            out[k] = np.logical_and.reduceat(equal, heads[lo:hi] - heads[lo])
+        lo = hi
+    return out
 
 
 class Encoder:
-    """Token ids of many texts, word by word.
+    """Token ids of many texts, word by word, with a table of known words whose size is fixed.
 
-    Words are told apart by 64-bit hashes.  The cache has two generations: when the young one is full it becomes the old one, and
-    words found in the old one move over, so frequent words are never encoded again.
+    A word's 64-bit hash names its place in the table; a hit counts only if the word's bytes are those
+    kept there, so words that share a hash are told apart.  A word enters when it is met in a second batch
+    and its place is free; when the room for ids or bytes is used up the table starts anew.
     """
 
     def __init__(self, path: str):
@@ -72,22 +95,26 @@ class Encoder:
         self.t = Tokenizer.from_file(path)
         self.ends = np.zeros(self.t.get_vocab_size(), dtype=bool)
         self.ends[[i for token, i in self.t.get_vocab().items() if token.endswith("</w>")]] = True
-        self.old: tuple[dict[int, int], np.ndarray, np.ndarray] = ({}, np.zeros(0, dtype="<u4"), np.zeros(1, dtype=np.int64))
+        said = json.loads(self.t.to_str())
+        self.folds = '"Lowercase"' in json.dumps(said.get("normalizer"))
+        self.splits = PARTED in json.dumps(said.get("pre_tokenizer"), ensure_ascii=False)
+        self.size, self.bytes = np.zeros(PLACES, dtype=np.uint8), np.zeros(PLACES, dtype=np.uint8)
+        self.at, self.byte_at = np.zeros(PLACES, dtype=np.int32), np.zeros(PLACES, dtype=np.int32)
+        self.ids, self.letters = np.zeros(ROOM, dtype="<u4"), np.zeros(ROOM, dtype=np.uint8)
+        self.seen = np.zeros(1 << 22, dtype=bool)
         self.renew()
 
     def renew(self) -> None:
-        self.at: dict[int, int] = {}
-        self.ids, self.start = np.zeros(0, dtype="<u4"), np.zeros(1, dtype=np.int64)
-
-    def _append(self, flat: np.ndarray, sizes: np.ndarray) -> None:
-        self.ids, self.start = np.concatenate((self.ids, flat)), np.concatenate((self.start, self.start[-1] + np.cumsum(sizes)))
+        self.bytes[:] = 0  # no word has no bytes
+        self.used = self.byte_used = 0
 
-    def _learn(self, words: list[bytes]) -> None:
-        """Appends the ids of new words.
+    def _learn(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of new words, and how many each has.
 
         Letters, with one mark after them or none, are one or two tokens of the pre-tokeniser, so such
         words are encoded in long lines and cut where a word's last id stands; others go one by one.
         """
+        flats, counts = [np.zeros(0, dtype="<u4")], [np.zeros(0, dtype=np.int64)]
         for k in range(0, len(words), ENCODE_WORDS):
             said = [w.decode() for w in words[k : k + ENCODE_WORDS]]
             runs = np.array([1 if w.isalpha() else 2 if w[-1] in ".,;:!?" and w[:-1].isalpha() else 0 for w in said])
@@ -113,37 +140,74 @@ class Encoder:
                 start[plain], start[rest] = cut[:-1], len(ids) + np.concatenate(([0], np.cumsum(sizes[rest])))[:-1]
                 ends = np.cumsum(sizes)
                 other = pool[np.repeat(start - (ends - sizes), sizes) + np.arange(sizes.sum())]
-            self._append(other, sizes)
+            flats.append(other)
+            counts.append(sizes)
+        return np.concatenate(flats), np.concatenate(counts)
+
+    def _keep(self, keys: np.ndarray, buf: np.ndarray, begin: np.ndarray, end: np.ndarray, flat: np.ndarray, sizes: np.ndarray) -> None:
+        """New words go into the table when they are met anew, but for very long ones."""
+        mark = (keys >> np.uint64(42)).astype(np.int64)
+        place = (keys & np.uint64(PLACES - 1)).astype(np.int64)
+        fits = (end - begin <= LONG_WORD) & (sizes < 256) & self.seen[mark] & (self.bytes[place] == 0)
+        self.seen[mark] = True
+        ends = np.cumsum(sizes)
+        own, n, length = (ends - sizes)[fits], sizes[fits], (end - begin)[fits]
+        if not len(n) or n.sum() > ROOM or length.sum() > ROOM:
+            return
+        if self.used + n.sum() > ROOM or self.byte_used + length.sum() > ROOM:
+            self.renew()
+        at, byte_at = self.used + np.cumsum(n) - n, self.byte_used + np.cumsum(length) - length
+        self.ids[self.used : self.used + n.sum()] = flat[spread(own, n)]
+        self.letters[self.byte_used : self.byte_used + length.sum()] = buf[spread(begin[fits], length)]
+        self.used, self.byte_used = self.used + int(n.sum()), self.byte_used + int(length.sum())
+        place = place[fits]
+        for column, values in ((self.size, n), (self.bytes, length), (self.at, at), (self.byte_at, byte_at)):
+            column[place] = values  # of two words with one place the last stays, in every column
+
+    def parts(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The bytes, and the spans that are encoded by themselves: words, and a mark that ends one.
+
+        If the tokenizer takes capitals as small letters, they become small here (but in words that may
+        hold one of its special tokens).  If it parts letters, figures and marks, one mark after an ASCII
+        letter or figure is a part of its own.  Either makes fewer parts to learn.
+        """
+        begin, end = word_spans(buf, off)
+        if self.folds:
+            low = LOWER[buf]
+            for k in np.unique(np.searchsorted(begin, np.flatnonzero(buf == ord("<")), "right") - 1).tolist():
+                low[begin[k] : end[k]] = buf[begin[k] : end[k]]
+            buf = low
+        if self.splits and len(begin):
+            cut = (end - begin > 1) & MARK[buf[end - 1]] & ALNUM[buf[end - 2]]
+            begin, end = np.sort(np.concatenate((begin, end[cut] - 1))), np.sort(np.concatenate((end, end[cut] - 1)))
+        return buf, begin, end
 
     def encode(self, buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All ids of the texts in buf, and one offset more than there are texts."""
-        if len(self.at) > CACHE_WORDS:
-            self.old = (self.at, self.ids, self.start)
-            self.renew()
-        hashes, begin, end, first = word_hashes(buf, off, fold=False)
-        distinct, example, which = np.unique(hashes, return_index=True, return_inverse=True)
-        distinct = distinct.tolist()
-        idx = np.fromiter(map(self.at.get, distinct, repeat(-1)), dtype=np.int64, count=len(distinct))
-        kept, many = len(self.start), False
-        if len(new := np.flatnonzero(idx < 0)):
-            was = np.fromiter(map(self.old[0].get, (distinct[k] for k in new.tolist()), repeat(-1)), dtype=np.int64, count=len(new))
-            moved, unknown = new[was >= 0], new[was < 0]
-            size = (end - begin)[example[unknown]]
-            short, long = unknown[size <= LONG_WORD], unknown[size > LONG_WORD]
+        buf, begin, end = self.parts(buf, off)
+        hashes, first = span_hashes(buf, begin, end), np.searchsorted(begin, off)
+        keys, example, which = np.unique(hashes, return_index=True, return_inverse=True)
+        alike = same_bytes(buf, begin, end - begin, buf, begin[example][which], (end - begin)[example][which])
+        if not alike.all():  # other words with the hash of an example: each occurrence is a word of its own, and not kept
+            odd = np.flatnonzero(~alike)
+            which[odd] = len(keys) + np.arange(len(odd))
+            example, keys = np.concatenate((example, odd)), np.concatenate((keys, hashes[odd]))
+        begin, end = begin[example], end[example]
+        place = (keys & np.uint64(PLACES - 1)).astype(np.int64)
+        known = same_bytes(buf, begin, end - begin, self.letters, self.byte_at[place].astype(np.int64), self.bytes[place].astype(np.int64))
+        old, new = np.flatnonzero(known), np.flatnonzero(~known)
+        sizes, start = np.zeros(len(keys), dtype=np.int64), np.zeros(len(keys), dtype=np.int64)
+        sizes[old], start[old] = self.size[place[old]], self.at[place[old]]
+        pool = self.ids[spread(start[old], sizes[old])]
+        start[old] = np.cumsum(sizes[old]) - sizes[old]
+        if len(new):
             data = memoryview(buf)
-            words = lambda at: [bytes(data[a:b]) for a, b in zip(begin[example[at]].tolist(), end[example[at]].tolist(), strict=True)]
-            self._append(*ragged(*self.old[1:], was[was >= 0]))
-            self._learn(words(short))
-            kept, many = len(self.start), bool(len(long))
-            self._learn(words(long))
-            order = np.concatenate((moved, short, long))
-            idx[order] = np.arange(kept - 1 - len(moved) - len(short), kept - 1 + len(long))
-            self.at.update((distinct[k], i) for k, i in zip(order[: len(moved) + len(short)].tolist(), idx[order].tolist(), strict=False))
-        ids, sizes = ragged(self.ids, self.start, idx[which])
-        offsets = np.concatenate(([0], np.cumsum(sizes)))[first]
-        if many:  # very long words are not kept
-            self.ids, self.start = self.ids[: self.start[kept - 1]], self.start[:kept]
-        return ids, offsets
+            flat, n = self._learn([bytes(data[a:b]) for a, b in zip(begin[new].tolist(), end[new].tolist(), strict=True)])
+            sizes[new], start[new] = n, len(pool) + np.cumsum(n) - n
+            pool = np.concatenate((pool, flat))
+            self._keep(keys[new], buf, begin[new], end[new], flat, n)
+        ids = pool[spread(start[which], sizes[which])]
+        return ids, np.concatenate(([0], np.cumsum(sizes[which])))[first]
 
 
 PIECES = "doc_id bigint, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint"
@@ -163,7 +227,7 @@ def pieces(docs: DataFrame, path: str, length: int = LENGTH) -> DataFrame:
                     rows += [(doc, s, min(length, n - s), zlib.crc32(own[4 * s : 4 * (s + length)]), n) for s in range(0, n, length)]
                 yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*rows, strict=True)], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
 
-    return small_batches(docs).select("doc_id", "text").mapInArrow(work, PIECES)
+    return map_arrow(docs.select("doc_id", "text"), work, PIECES)
 
 
 def knapsack(values: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:
@@ -254,11 +318,13 @@ def plan(demand: np.ndarray) -> list[tuple[int, int, int, int, int]]:
 def pack(docs: DataFrame, path: str | None = None, length: int = LENGTH, grain: int = GRAIN) -> DataFrame:
     spark = docs.sparkSession
     scratch = Scratch(spark, "packing")
-    cut = scratch.table(pieces(docs, path or tokenizer_path(), length), "pieces").withColumn("class", F.ceil(F.col("length") / grain).cast("int"))
+    with small_batches(spark):
+        cut = scratch.table(pieces(docs, path or tokenizer_path(), length), "pieces")
+    cut = cut.withColumn("class", F.ceil(F.col("length") / grain).cast("int"))
     demand = np.zeros(length // grain, dtype=np.int64)
     for r in cut.groupBy("class").count().collect():  # length / grain rows at most
         demand[r["class"] - 1] = r["count"]
-    table = spark.createDataFrame(plan(demand), "class int, lo bigint, hi bigint, first bigint, copies bigint")
+    table = local_rows(spark, plan(demand), "class int, lo bigint, hi bigint, first bigint, copies bigint")
     buckets = int(max(8, demand.sum() // RANK_ROWS))
     placed = ranked(cut, ["class"], [F.col("doc_id"), F.col("start")], buckets, F.xxhash64("doc_id", "start"), "rank")
     placed = placed.join(F.broadcast(table), "class").where("rank >= lo and rank < hi")  # a few rows a class: bounded by the classes

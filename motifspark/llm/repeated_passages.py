@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, small_batches, utf8
+from .arrow_text import map_arrow, slices, small_batches, utf8
 from .common import Scratch
 from .shingles import grams, mix, word_hashes
 
@@ -115,7 +115,7 @@ def settled(rows: DataFrame) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(c) for c in stream.push(*(batch.column(i).to_numpy() for i in range(4)))], ["doc_id", "name"])
 
-    return rows.repartition("key").sortWithinPartitions("key", F.desc("kind"), "doc_id").mapInArrow(work, "doc_id bigint, name bigint")
+    return map_arrow(rows.repartition("key").sortWithinPartitions("key", F.desc("kind"), "doc_id"), work, "doc_id bigint, name bigint")
 
 
 def anchors(docs: DataFrame, least: int, head: int) -> DataFrame:
@@ -125,7 +125,7 @@ def anchors(docs: DataFrame, least: int, head: int) -> DataFrame:
         for batch in batches:
             for part in slices(batch, "text"):
                 buf, off = utf8(part.column(1))
-                hashes, _, _, first = word_hashes(buf, off)
+                hashes, first = word_hashes(buf, off)
                 keys, docs_ = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)]
                 for d, a, b in zip(part.column(0).to_pylist(), first[:-1].tolist(), first[1:].tolist(), strict=True):
                     if b - a >= least:
@@ -134,7 +134,7 @@ def anchors(docs: DataFrame, least: int, head: int) -> DataFrame:
                 key = np.concatenate(keys)
                 yield combined(key, np.concatenate(docs_), key)
 
-    return small_batches(docs).where("doc_id is not null").select("doc_id", "text").mapInArrow(work, ROWS)
+    return map_arrow(docs.where("doc_id is not null").select("doc_id", "text"), work, ROWS)
 
 
 def stretches(docs: DataFrame, least: int, head: int) -> DataFrame:
@@ -144,7 +144,7 @@ def stretches(docs: DataFrame, least: int, head: int) -> DataFrame:
         for batch in batches:
             for part in slices(batch, "text"):
                 buf, off = utf8(part.column(1))
-                hashes, _, _, first = word_hashes(buf, off)
+                hashes, first = word_hashes(buf, off)
                 keys, docs_, starts = [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)], [np.zeros(0, dtype=np.int64)]
                 wanted = part.column(2)
                 for d, (doc, a, b) in enumerate(zip(part.column(0).to_pylist(), first[:-1].tolist(), first[1:].tolist(), strict=True)):
@@ -155,7 +155,7 @@ def stretches(docs: DataFrame, least: int, head: int) -> DataFrame:
                         starts.append(at)
                 yield combined(np.concatenate(keys), np.concatenate(docs_), np.concatenate(starts))
 
-    return docs.select("doc_id", "text", "keys").mapInArrow(work, ROWS)
+    return map_arrow(docs.select("doc_id", "text", "keys"), work, ROWS)
 
 
 def joined(marks: DataFrame, least: int) -> DataFrame:
@@ -179,7 +179,8 @@ def joined(marks: DataFrame, least: int) -> DataFrame:
 def passages(docs: DataFrame, least: int = LEAST, head: int = HEAD) -> DataFrame:
     """Documents with repeated passages: doc_id, n_passages, n_words in them, passages as start:end in words, comma-joined."""
     scratch = Scratch(docs.sparkSession, "passages")
-    keys = scratch.table(settled(anchors(docs, least, head)).groupBy("doc_id").agg(F.collect_set("name").alias("keys")), "suffixes")
+    with small_batches(docs.sparkSession):
+        keys = scratch.table(settled(anchors(docs, least, head)).groupBy("doc_id").agg(F.collect_set("name").alias("keys")), "suffixes")
     near = docs.select("doc_id", "text").join(keys, "doc_id")
     return joined(settled(stretches(near, least, head)), least)
 
@@ -198,11 +199,14 @@ def without(docs: DataFrame, found: DataFrame) -> DataFrame:
                 texts.append(b" ".join(words).decode())
             yield pa.RecordBatch.from_arrays([pa.array(texts, pa.string()), batch.column(2)], ["text", "_row"])
 
+    # The other columns travel as one struct: no name of the caller's meets one of ours.
     others = [c for c in docs.columns if c != "text"]
-    hit = docs.join(found.select("doc_id", "passages"), "doc_id").select("text", "passages", F.struct(*others).alias("_row"))
-    kind = docs.select(F.struct(*others).alias("_row")).schema["_row"].dataType.simpleString()
-    cut = hit.mapInArrow(work, f"text string, _row {kind}").select("text", "_row.*")
-    return docs.join(found.select("doc_id"), "doc_id", "left_anti").select(*docs.columns).unionByName(cut.select(*docs.columns))
+    rows = docs.select("doc_id", "text", F.struct(*(F.col(f"`{c}`") for c in others)).alias("_row"))
+    hit = rows.join(found.select("doc_id", "passages"), "doc_id").select("text", "passages", "_row")
+    cut = map_arrow(hit, work, f"text string, _row {rows.schema['_row'].dataType.simpleString()}")
+    own = [F.col("text") if c == "text" else F.col(f"_row.`{c}`") for c in docs.columns]
+    left = rows.join(found.select("doc_id"), "doc_id", "left_anti")
+    return left.select(*own).unionByName(cut.select(*own))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,12 +1,15 @@
 """Word and shingle hashes of many texts at once, in numpy.
 
 Words are runs of bytes without ASCII white space, A-Z in lower case.  A word's hash is a
-polynomial over its bytes modulo 2**64 with a final mix; a shingle's is a mix of the
-hashes of its words in order.
+polynomial over its bytes modulo 2**64 with a final mix, a long word's a cryptographic
+digest; a shingle's is a mix of the hashes of its words in order.  Shingles are compared by
+these 64 bits: two that differ agree with a chance of one in 2**64.
 """
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 
 U = np.uint64
@@ -17,6 +20,7 @@ BASE = U(0x9E3779B97F4A7C15)
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 CHUNK = 1 << 18  # bytes hashed together
+LONG = 64  # bytes of a word that the polynomial takes
 SPACE = np.zeros(256, dtype=bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
 
@@ -33,33 +37,46 @@ def powers(n: int) -> np.ndarray:
     return np.cumprod(out, dtype=np.uint64)
 
 
-def word_hashes(buf: np.ndarray, off: np.ndarray, fold: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Hash, first byte and end byte of every word, and per text the number of its first word (one more at the end).
-
-    ``fold``: A-Z hash as a-z.
-    """
+def word_spans(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First byte and end byte of every word."""
     solid = ~SPACE[buf]
     edge = np.zeros(len(buf) + 1, dtype=bool)
     edge[off] = True
     before = np.concatenate(([False], solid[:-1])) if len(buf) else solid
-    start = np.flatnonzero(solid & (~before | edge[:-1]))
     after = np.concatenate((solid[1:], [False])) if len(buf) else solid
-    end = np.flatnonzero(solid & (~after | edge[1:])) + 1
-    first = np.searchsorted(start, off)
+    return np.flatnonzero(solid & (~before | edge[:-1])), np.flatnonzero(solid & (~after | edge[1:])) + 1
+
+
+def span_hashes(buf: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each span of bytes.
+
+    Up to LONG bytes a polynomial modulo 2**64 with random coefficients and a final mix; long ones, of
+    which polynomials modulo a power of two can be led to agree, by a cryptographic digest.
+    """
     if not len(start):
-        return np.zeros(0, dtype=np.uint64), start, end, first
+        return np.zeros(0, dtype=np.uint64)
     size = end - start
-    heads = np.concatenate(([0], np.cumsum(size)))
-    power, out = powers(int(size.max())), np.empty(len(start), dtype=np.uint64)
+    short = np.minimum(size, LONG)
+    heads = np.concatenate(([0], np.cumsum(short)))
+    power, out = powers(LONG), np.empty(len(start), dtype=np.uint64)
     a = 0
     while a < len(start):  # some words at a time: the intermediates take many bytes a byte
         b = max(a + 1, int(np.searchsorted(heads, heads[a] + CHUNK, "right")) - 1)
         own = heads[a:b] - heads[a]
-        local = np.arange(heads[b] - heads[a]) - np.repeat(own, size[a:b])
-        letters = buf[np.repeat(start[a:b], size[a:b]) + local]
-        out[a:b] = np.add.reduceat(LETTER[LOWER[letters] if fold else letters] * power[local], own)
+        local = np.arange(heads[b] - heads[a]) - np.repeat(own, short[a:b])
+        letters = buf[np.repeat(start[a:b], short[a:b]) + local]
+        out[a:b] = np.add.reduceat(LETTER[letters] * power[local], own)
         a = b
-    return mix(out ^ (size.astype(np.uint64) * FACTOR[63])), start, end, first
+    out = mix(out ^ (size.astype(np.uint64) * FACTOR[63]))
+    for k in np.flatnonzero(size > LONG).tolist():
+        out[k] = int.from_bytes(hashlib.blake2b(buf[start[k] : end[k]].tobytes(), digest_size=8).digest(), "little")
+    return out
+
+
+def word_hashes(buf: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hash of every word, A-Z as a-z, and per text the number of its first word (one more at the end)."""
+    start, end = word_spans(buf, off)
+    return span_hashes(LOWER[buf], start, end), np.searchsorted(start, off)
 
 
 def grams(words: np.ndarray, k: int) -> np.ndarray:

@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .arrow_text import slices, small_batches
+from .arrow_text import map_arrow, slices, small_batches
 from .common import without
 
 MAX_TRAIN, MAX_FEATURES, LEAST_DOCS, ROUNDS = 20_000, 4_000, 3, 300
@@ -79,7 +79,7 @@ def counts(taught: DataFrame) -> DataFrame:
                 if out:
                     yield pa.RecordBatch.from_arrays([pa.array([f for f, _ in out]), pa.array([y for _, y in out], pa.int32()), pa.array(list(out.values()), pa.int64())], ["feature", "y", "n"])
 
-    return taught.select("text", "y").mapInArrow(work, "feature string, y int, n bigint").groupBy("feature").agg(F.sum(F.when(F.col("y") == 1, F.col("n")).otherwise(0)).alias("n1"), F.sum(F.when(F.col("y") == 1, 0).otherwise(F.col("n"))).alias("n0"))
+    return map_arrow(taught.select("text", "y"), work, "feature string, y int, n bigint").groupBy("feature").agg(F.sum(F.when(F.col("y") == 1, F.col("n")).otherwise(0)).alias("n1"), F.sum(F.when(F.col("y") == 1, 0).otherwise(F.col("n"))).alias("n0"))
 
 
 def chosen(table: DataFrame, docs1: int, docs0: int) -> list[str]:
@@ -107,7 +107,7 @@ def encoded(taught: DataFrame, index: dict[str, int]) -> DataFrame:
                     bags.append(bag)
                 yield pa.RecordBatch.from_arrays([pa.array(ys, pa.int32()), pa.array(ns, pa.int64()), pa.array(bags, pa.list_(pa.int32()))], ["y", "n", "bags"])
 
-    return taught.select("text", "y").mapInArrow(work, "y int, n bigint, bags array<int>")
+    return map_arrow(taught.select("text", "y"), work, "y int, n bigint, bags array<int>")
 
 
 def fit(rows: list[tuple[int, int, list[int]]], n_features: int, rounds: int = ROUNDS, penalty: float = 1e-3) -> tuple[np.ndarray, float]:
@@ -141,7 +141,7 @@ def fit(rows: list[tuple[int, int, list[int]]], n_features: int, rounds: int = R
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Model:
-    taught = small_batches(docs).select("doc_id", "text").join(F.broadcast(training_rows(labels)), "doc_id").select("text", "y")
+    taught = docs.select("doc_id", "text").join(F.broadcast(training_rows(labels)), "doc_id").select("text", "y")
     n = {r["y"]: r["n"] for r in taught.groupBy("y").agg(F.count("*").alias("n")).collect()}
     pos, neg = n.get(1, 0), n.get(0, 0)
     if not pos or not neg:
@@ -196,18 +196,21 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
                 rows = [scorer.document(t) for t in part.column(1).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r[0] for r in rows], pa.float64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.list_(pa.int32()))], ["doc_id", "score", "n_sentences", "offending"])
 
-    return small_batches(docs).select("doc_id", "text").mapInArrow(work, "doc_id bigint, score double, n_sentences bigint, offending array<int>")
+    return map_arrow(docs.select("doc_id", "text"), work, "doc_id bigint, score double, n_sentences bigint, offending array<int>")
 
 
 def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    out = score(docs, train(docs, labels))
+    with small_batches(docs.sparkSession):
+        model = train(docs, labels)
+    out = score(docs, model)
     return out.select("doc_id", is_held_out().alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_sentences", "offending")
 
 
 def survivors(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The documents that are not rejected, with all their columns."""
-    model = train(docs, labels)
-    return without(docs, lambda d: score(d, model).where("score >= 0.5"))
+    with small_batches(docs.sparkSession):
+        model = train(docs, labels)
+        return without(docs, lambda d: score(d, model).where("score >= 0.5"))
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
