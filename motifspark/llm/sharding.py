@@ -14,7 +14,9 @@ a task that runs twice makes the same choice.
 
 Defined results.  Null text has size 8 and the checksum of the empty text.  Repeated rows
 are placed one by one.  An empty table gives no rows.  Extra columns pass through
-``shard``; columns named like its results (shard, slot) are replaced.
+``shard`` whatever their names (inside, a row travels as one struct); columns named like its
+results (shard, slot) are replaced.  Null keys are keys like others.  The key should tell
+rows apart: rows alike in it share a partition and a cell.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import text_or_empty
+from .common import local_rows, text_or_empty
 
 MAX_PARTITIONS = 8192
 ROWS_A_PARTITION = 20_000
@@ -74,31 +76,33 @@ def hypergeometric(rng: np.random.Generator, good: int, bad: int, sample: int) -
 def shard(df: DataFrame, shards: int, key: list, seed: int = 0, partitions: int | None = None) -> DataFrame:
     """df with ``shard`` (int) and ``slot`` (long, gapless from 0 inside the shard)."""
     spark = df.sparkSession
-    df = df.drop("shard", "slot")
+    # The row is one struct, and what is needed of its key another: no name of the caller's meets one of ours.
+    kept = [c for c in df.columns if c not in ("shard", "slot")]
+    rows = df.select(F.struct(*(F.col(f"`{c}`") for c in kept)).alias("row"), F.struct(*(k.alias(f"k{i}") for i, k in enumerate(key))).alias("key"))
     if partitions is None:
         partitions = int(min(MAX_PARTITIONS, max(8, df.count() // ROWS_A_PARTITION)))
-    rows = df.withColumn("_p", F.pmod(F.xxhash64(F.lit(seed), F.lit("partition"), *key), F.lit(partitions)).cast("int"))
+    draw = lambda what: F.xxhash64(F.lit(seed), F.lit(what), "key")
+    rows = rows.withColumn("p", F.pmod(draw("partition"), F.lit(partitions)).cast("int"))
     sizes = np.zeros(partitions, dtype=np.int64)
-    for r in rows.groupBy("_p").count().collect():  # at most MAX_PARTITIONS rows
-        sizes[r["_p"]] = r["count"]
+    for r in rows.groupBy("p").agg(F.count("*").alias("n")).collect():  # at most MAX_PARTITIONS rows
+        sizes[r["p"]] = r["n"]
     ends = communication_matrix(sizes, shards, seed).cumsum(axis=1)
-    matrix = spark.createDataFrame([(p, [int(x) for x in ends[p]]) for p in range(partitions)], "_p int, _ends array<bigint>")
-    local = W.partitionBy("_p").orderBy(F.xxhash64(F.lit(seed), F.lit("local"), *key), *key)
-    sent = rows.withColumn("_rank", F.row_number().over(local)).join(F.broadcast(matrix), "_p")
-    sent = sent.withColumn("shard", F.size(F.filter("_ends", lambda e: e < F.col("_rank"))).cast("int"))
+    matrix = local_rows(spark, [(p, ends[p].tolist()) for p in range(partitions)], "p int, ends array<bigint>")
+    sent = rows.withColumn("rank", F.row_number().over(W.partitionBy("p").orderBy(draw("local"), "key")))
+    sent = sent.join(F.broadcast(matrix), "p").withColumn("shard", F.size(F.filter("ends", lambda e: e < F.col("rank"))).cast("int")).drop("ends", "rank", "p")
     # The shard's own permutation, by cells: a random cell, then a random order inside it.
-    sent = sent.withColumn("_cell", F.pmod(F.xxhash64(F.lit(seed), F.lit("cell"), *key), F.lit(partitions)).cast("int"))
-    cells = sent.groupBy("shard", "_cell").agg(F.count("*").alias("_n"))
-    starts = cells.select("shard", "_cell", (F.sum("_n").over(W.partitionBy("shard").orderBy("_cell")) - F.col("_n")).alias("_start"))
-    order = W.partitionBy("shard", "_cell").orderBy(F.xxhash64(F.lit(seed), F.lit("again"), *key), *key)
-    out = sent.withColumn("_again", F.row_number().over(order)).join(starts, ["shard", "_cell"])
-    return out.withColumn("slot", (F.col("_start") + F.col("_again") - 1).cast("long")).select(*df.columns, "shard", "slot")
+    sent = sent.withColumn("cell", F.pmod(draw("cell"), F.lit(partitions)).cast("int"))
+    cells = sent.groupBy("shard", "cell").agg(F.count("*").alias("n"))
+    starts = cells.select("shard", "cell", (F.sum("n").over(W.partitionBy("shard").orderBy("cell")) - F.col("n")).alias("start"))  # a row a shard and cell
+    again = sent.withColumn("again", F.row_number().over(W.partitionBy("shard", "cell").orderBy(draw("again"), "key")))
+    out = again.join(starts, ["shard", "cell"])
+    return out.select(*(F.col(f"row.`{c}`") for c in kept), "shard", (F.col("start") + F.col("again") - 1).cast("long").alias("slot"))
 
 
 def write_shards(df: DataFrame, path: str, shards: int, key: list, seed: int = 0) -> None:
-    """One folder a shard, rows in slot order inside each file."""
+    """One folder a shard, its files in slot order one after the other."""
     out = shard(df, shards, key, seed)
-    out.repartition("shard", F.floor(F.col("slot") / ROWS_A_PARTITION)).sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    out.repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
