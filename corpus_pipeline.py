@@ -1,6 +1,12 @@
 """The corpus pipeline: five stages over ``documents``, each written as Parquet and read again.
 
 Counted as part of the llm subpackage: it needs it and goes with it.
+
+Defined results, of every stage: each row is judged by its own doc_id and text, so that rows
+without an id, or with one that repeats, lose nothing to another row's fate; a null text is an
+empty one; texts of any length are read whole; extra columns come through, whatever their
+names (packing returns its own); of rows that repeat id and text the dedup stages keep one;
+an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -8,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from motifspark.llm import decontaminate, exact_dedup, jaccard_join, packing, toxicity
-from motifspark.llm.common import Scratch
+from motifspark.llm.common import Scratch, scratch_scope
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -49,7 +55,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs, scratch = spark.read.parquet(f"{sf_dir}/documents.parquet"), Scratch(spark, "pipeline")
+    docs, scratch, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), Scratch(spark, "pipeline"), []
     for name, stage in STAGES:
-        docs = scratch.table(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        at: list[str] = []
+        with scratch_scope(spark):  # what a stage's operator wrote goes when the stage is written
+            docs = scratch.table(stage(spark, docs, sf_dir), name.replace(" ", "-"), at)
+        scratch.drop(*before)
+        before = at
     return docs

@@ -13,7 +13,7 @@ of that length too).
 
 Defined results.  Empty and null items match nothing, empty and null documents hold
 nothing.  Rows of one doc_id count as one document if any of them matches; rows without
-doc_id are not reported, but ``survivors`` drops those that hold an item.  Items that repeat
+doc_id are not reported.  ``survivors`` judges each row by its own text, whatever its doc_id.  Items that repeat
 are searched once an item_id; of texts that share one, each is an item of its own.  Empty tables
 give no rows; extra columns are ignored by ``matches`` and kept by ``survivors``.
 """
@@ -77,7 +77,7 @@ def matches(docs: DataFrame, benchmark: DataFrame, percent: int = PERCENT) -> Da
     # explode_outer and the late filter below: a filter pushed under the split into words would split again for every shingle.
     found = hashed.select("doc_id", F.explode_outer("hs").alias("h")).join(small(sketch), "h").select("doc_id", "item").distinct()
     found = scratch.table(found, "candidates")
-    checked = docs.select("doc_id", "text").join(small(found), "doc_id").select("doc_id", "item", words().alias("w")).join(small(items.drop("hashes")), "item")
+    checked = docs.select("doc_id", "text").join(small(found), "doc_id").select("doc_id", "item", words().alias("w")).join(small(items.drop("hashes"), width=F.aggregate("texts", F.lit(0).cast("long"), lambda n, t: n + F.octet_length(t) + 16)), "item")
     held = by_size("w", "size", True)
     checked = checked.select("doc_id", "item_id", F.size(F.array_intersect("texts", held)).alias("n_shared"), F.col("n").alias("n_item"))
     checked = checked.where(100 * F.col("n_shared") >= percent * F.col("n_item"))

@@ -23,7 +23,7 @@ from pyspark.ml.fpm import FPGrowth
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, small
+from .common import Scratch, joined_hot, small
 
 #: Verdict, host and the start of the path.
 RULES = [
@@ -119,7 +119,7 @@ def judge(pages: DataFrame, labels: DataFrame, rules=RULES) -> DataFrame:
         frequency = d.select(F.explode("items").alias("t")).groupBy("t").agg(F.count("*").alias("n"))
         urls = d.select(F.col("url").alias("key"), "items").distinct()
         hit = matched(urls, found, frequency).select(F.col("key").alias("url"), F.lit(True).alias("mined"))
-        d = d.join(hit, "url", "left").withColumn("mined", F.coalesce("mined", F.lit(False)))
+        d = joined_hot(d, scratch.table(hit, "hits"), "url", "left").withColumn("mined", F.coalesce("mined", F.lit(False)))  # many pages may have one url, or none
     rule, verdict = by_hand(F.col("host"), F.col("path"), rules)
     return d.select("page_id", "host", "path", rule.alias("rule"), F.coalesce(verdict, F.when(F.col("mined"), "block").otherwise("allow")).alias("verdict"), "mined")
 

@@ -81,13 +81,45 @@ def test_exact_dedup(spark, corpus):
     assert kept.columns == ["doc_id", "text", "source"] and {r[0] for r in kept.collect()} == {min(v) for v in same.values()}
 
 
+def by_text(rows):
+    same = defaultdict(list)
+    for i, t, _ in rows:
+        same[re.sub(r"[\x20\x09-\x0d]+", " ", t or "")].append(i)
+    return same
+
+
 def test_exact_dedup_over_several_batches(spark, corpus, tmp_path):
-    scratch = Scratch(spark, "batches")
-    at = []
-    rows = scratch.table(exact_dedup.digested(frame(spark, corpus)).repartition(5), "in", at)
-    state = exact_dedup.run_state(spark, scratch, at[0], rows.schema, files_per_trigger=2)
-    want = rows.groupBy("digest").agg(F.min("id").alias("id"), F.count("*").alias("n"))
-    assert sorted((bytes(r[0]), r[1].id, r[2]) for r in state.collect()) == sorted((bytes(r[0]), r[1], r[2]) for r in want.collect())
+    """Files arrive in several micro-batches; the result is that of one."""
+    path = f"file://{tmp_path}/docs"
+    frame(spark, corpus).repartition(5).write.parquet(path)
+    got = exact_dedup.classes(spark.read.parquet(path), files_per_trigger=1)
+    same = by_text(corpus)
+    assert sorted((r.doc_id, r.keep_id, r.group_size) for r in got.collect()) == sorted((i, min(v), len(v)) for v in same.values() for i in v)
+
+
+@pytest.mark.parametrize("stored", [True, False])
+def test_exact_dedup_goes_on_from_call_to_call(spark, corpus, tmp_path, stored):
+    """A caller's state finds copies of earlier calls' rows, and reads them again where their locators point."""
+    state, sofar = f"file://{tmp_path}/state", []
+    for k, part in enumerate((corpus[:30], corpus[30:], [], [(1000, corpus[0][1], "late"), (1001, "new words", "late"), (-1, corpus[1][1], "late")])):
+        df = spark.createDataFrame(part, DOCS)
+        if stored:
+            df.write.parquet(f"file://{tmp_path}/call{k}")
+            df = spark.read.parquet(f"file://{tmp_path}/call{k}")
+        got = exact_dedup.classes(df, state=state).collect()
+        sofar += part
+        same = by_text(sofar)
+        norm = {i: re.sub(r"[\x20\x09-\x0d]+", " ", t or "") for i, t, _ in part}
+        assert sorted((r.doc_id, r.keep_id, r.group_size, r.kept) for r in got) == sorted((i, min(same[norm[i]]), len(same[norm[i]]), i == min(same[norm[i]])) for i, _, _ in part)
+    assert {r.doc_id: r.keep_id for r in got} == {1000: 0, 1001: 1001, -1: -1}
+
+
+def test_exact_dedup_tells_texts_of_one_digest_apart(spark, corpus, monkeypatch):
+    """With a digest of two bits nearly all texts are hits; their bytes decide."""
+    whole = exact_dedup.digested
+    monkeypatch.setattr(exact_dedup, "digested", lambda rows: whole(rows).withColumn("digest", F.unhex(F.hex(F.pmod(F.xxhash64("digest"), F.lit(4))))))
+    same = by_text(corpus)
+    assert sorted((r.doc_id, r.keep_id, r.group_size) for r in exact_dedup.classes(frame(spark, corpus)).collect()) == sorted((i, min(v), len(v)) for v in same.values() for i in v)
 
 
 def test_jaccard_join(spark, corpus):
@@ -483,19 +515,47 @@ def test_column_generation_is_near_the_bound():
         assert sum(k for _, k in made) <= 1.01 * bound + 2
 
 
-def test_encoder_keeps_words_over_generations(monkeypatch, corpus):
+@pytest.mark.parametrize(("places", "room"), [(1 << 20, 4 << 20), (16, 4 << 20), (1 << 10, 200)])
+def test_encoder_with_a_small_table(monkeypatch, corpus, places, room):
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    from motifspark.llm.arrow_text import utf8
+
+    monkeypatch.setattr(packing, "PLACES", places)
+    monkeypatch.setattr(packing, "ROOM", room)
+    e, t = packing.Encoder(packing.tokenizer_path()), Tokenizer.from_file(packing.tokenizer_path())
+    texts = [x or "" for _, x, _ in corpus[:60]] + ["İstanbul ok. a.b x! 12 <|endoftext|> <|ENDOFTEXT|> don't the. The, THE! é. …. ?! x\u0301. don't. <b>Bold. 's. 7."] * 2
+    for _ in range(3):
+        for k in range(0, len(texts), 7):
+            ids, at = e.encode(*utf8(pa.array(texts[k : k + 7])))
+            for j, x in enumerate(texts[k : k + 7]):
+                assert ids[at[j] : at[j + 1]].tolist() == t.encode(x, add_special_tokens=False).ids
+
+
+def test_encoder_tells_words_of_one_hash_apart(monkeypatch):
+    """All words share a hash; the ids are still their own."""
     import pyarrow as pa
     from tokenizers import Tokenizer
 
     from motifspark.llm.arrow_text import utf8
 
-    monkeypatch.setattr(packing, "CACHE_WORDS", 50)
+    monkeypatch.setattr(packing, "span_hashes", lambda buf, start, end: np.full(len(start), 7, dtype=np.uint64))
     e, t = packing.Encoder(packing.tokenizer_path()), Tokenizer.from_file(packing.tokenizer_path())
-    texts = [x or "" for _, x, _ in corpus[:60]] + ["İstanbul ok. a.b x! 12 <|endoftext|> don't"]
-    for k in range(0, len(texts), 7):
-        ids, at = e.encode(*utf8(pa.array(texts[k : k + 7])))
-        for j, x in enumerate(texts[k : k + 7]):
-            assert ids[at[j] : at[j + 1]].tolist() == t.encode(x, add_special_tokens=False).ids
+    for text in ("some words of one hash some words", "other words some", "words " * 5):
+        assert e.encode(*utf8(pa.array([text])))[0].tolist() == t.encode(text, add_special_tokens=False).ids
+
+
+def test_long_words_have_hashes_of_their_own():
+    """Two words of 2,048 letters that a polynomial modulo 2**64 can't tell apart."""
+    from motifspark.llm.shingles import word_hashes
+
+    flip = lambda k: "a" if bin(k).count("1") % 2 else "b"
+    one = "".join(map(flip, range(2048)))
+    two = one.translate(str.maketrans("ab", "ba"))
+    buf = np.frombuffer(f"{one} {two}".encode(), dtype=np.uint8)
+    hashes, first = word_hashes(buf, np.array([0, len(buf)]))
+    assert len(hashes) == 2 and hashes[0] != hashes[1] and first.tolist() == [0, 2]
 
 
 def test_registry_names_every_operator():
