@@ -39,7 +39,7 @@ class SlabMiner(StatefulProcessor):
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         new = []
         for pdf in rows:
-            real = pdf[pdf["edge_id"] >= 0]
+            real = pdf[pdf["real"]]
             new += [tuple(r) for r in zip(*(real[c].tolist() for c in ("edge_id", "src", "dst", "t", "tie", "owned")), strict=True)]
         if new:
             self.edges.appendList(new)
@@ -63,10 +63,13 @@ class SlabMiner(StatefulProcessor):
 def mine_stream(edges: DataFrame, motifs: list[Motif], delta: int, slab_width: int, lateness: str = "1 hour") -> DataFrame:
     """(slab, motif, n) of finished slabs, append mode.  edges: a stream (edge_id, src, dst, t, tie); later than ``lateness``: dropped.
 
+    A row without ends is no edge; it only says that time has come so far.
+
     Needs the RocksDB state store provider; one row of state is one edge.
     """
     timed = edges.withColumn("at", F.timestamp_micros("t")).withWatermark("at", lateness)
-    dealt = Slabs(delta, slab_width).assigned(timed).select("slab", "edge_id", "src", "dst", "t", "tie", "owned", "at")
+    dealt = Slabs(delta, slab_width).assigned(timed)
+    dealt = dealt.select("slab", "edge_id", *(F.coalesce(c, F.lit(0)).alias(c) for c in ("src", "dst")), "t", "tie", "owned", (F.col("src").isNotNull() & F.col("dst").isNotNull()).alias("real"), "at")
     return dealt.groupBy("slab").transformWithStateInPandas(SlabMiner(motifs, delta, slab_width), outputStructType=RESULT, outputMode="append", timeMode="EventTime")
 
 

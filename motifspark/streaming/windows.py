@@ -28,3 +28,11 @@ def sessions(events: DataFrame, gap: str = "2 hours") -> DataFrame:
 def flat(counts: DataFrame, key: str = "event_type") -> DataFrame:
     """The window's start in microseconds instead of the struct."""
     return counts.select(F.unix_micros("w.start").alias("w_start"), key, "n")
+
+
+def counted_late(query) -> int:
+    """Rows that a finished streaming query dropped because their window was closed, over all its batches.
+
+    The state operator counts what reaches it after partial aggregation: rows of one window and key in one batch count once.
+    """
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])

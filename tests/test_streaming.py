@@ -1,5 +1,6 @@
 """Streams against batch."""
 
+import os
 import uuid
 
 import pytest
@@ -45,7 +46,7 @@ def test_stateful_mining_equals_batch(rocks, sf_dir, tmp_path):
     g = from_tables(rocks, sf_dir, "msg")
     last = g.edges.agg(F.max("t")).collect()[0][0]
     path = str(tmp_path / "edges")
-    staged(rocks, g.edges, path, 3, [(-1, 0, 0, last + 60 * DAY, -1), (-2, 0, 0, last + 61 * DAY, -2)])
+    staged(rocks, g.edges, path, 3, [(-1, None, None, last + 60 * DAY, -1), (-2, None, None, last + 61 * DAY, -2)])
     stream = rocks.readStream.schema(EDGES).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(path)
     n = name()
     finish(mining.mine_stream(stream, group("F2"), DAY, 4 * DAY), n)
@@ -74,6 +75,49 @@ def test_windows_on_a_stream(spark, sf_dir, tmp_path):
         assert sorted(map(tuple, windows.flat(spark.table(n), key).collect())) == sorted(map(tuple, windows.flat(make(windows.timed(events)), key).collect()))
 
 
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    """A row behind the watermark changes nothing and is counted; one within the lateness is taken."""
+    path, day = str(tmp_path / "in"), 86_400_000_000
+    kind = "at timestamp, event_type string"
+    for k, times in enumerate([[1 * day, 2 * day], [20 * day], [21 * day], [1 * day + 5, 20 * day + 5], [40 * day]]):
+        rows = spark.createDataFrame([(t,) for t in times], "t bigint").select(F.timestamp_micros("t").alias("at"), F.lit("x").alias("event_type"))
+        rows.coalesce(1).write.mode("append").parquet(path)
+        os.utime(next(f for f in sorted((tmp_path / "in").glob("*.parquet"), key=os.path.getmtime, reverse=True)), (1_000_000 + k, 1_000_000 + k))
+    stream = spark.readStream.schema(kind).option("maxFilesPerTrigger", 1).parquet(path).withWatermark("at", "3 days")
+    n = name()
+    q = windows.tumbling(stream).writeStream.outputMode("append").format("memory").queryName(n).trigger(availableNow=True).start()
+    q.awaitTermination()
+    got = {r.w_start // day: r.n for r in windows.flat(spark.table(n)).collect()}
+    assert got == {1: 1, 2: 1, 20: 2, 21: 1}
+    assert windows.counted_late(q) == 1
+
+
+def test_a_restarted_stream_goes_on(spark, tmp_path):
+    """Update mode: a query stopped after some files and started again from its checkpoint counts each row once."""
+    path, out, day = str(tmp_path / "in"), str(tmp_path / "out"), 86_400_000_000
+    for part in range(3):
+        spark.range(10).select(F.timestamp_micros(F.col("id") * day + part).alias("at"), F.lit("x").alias("event_type")).coalesce(1).write.mode("append").parquet(path)
+        stream = spark.readStream.schema("at timestamp, event_type string").parquet(path).withWatermark("at", "60 days")
+        q = windows.tumbling(stream).writeStream.outputMode("update").foreachBatch(mining.append_once(out)).option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+        q.awaitTermination()
+    latest = spark.read.parquet(out).groupBy("w").agg(F.max_by("n", "batch").alias("n"))
+    assert sorted(r.n for r in latest.collect()) == [3] * 10
+    assert spark.read.parquet(out).select("batch").distinct().count() == 3
+
+
+def test_parallel_edges_stream_in_whole(rocks, tmp_path):
+    """Edges that repeat whole, with ids of their own, are all counted."""
+    from motifspark.graph import TemporalGraph, from_edge_list
+
+    rows = rocks.createDataFrame([(1, 2, 10 * DAY), (1, 2, 10 * DAY), (2, 3, 10 * DAY + 5), (2, 3, 10 * DAY + 5)], "src bigint, dst bigint, t bigint")
+    g = TemporalGraph(from_edge_list(rows).edges)
+    path = str(tmp_path / "edges")
+    staged(rocks, g.edges, path, 1, [(-1, None, None, 90 * DAY, -1), (-2, None, None, 91 * DAY, -2)])
+    n = name()
+    finish(mining.mine_stream(rocks.readStream.schema(EDGES).option("maxFilesPerTrigger", 1).parquet(path), [MOTIFS["path2"]], DAY, 4 * DAY), n)
+    assert {r.motif: r.n for r in rocks.table(n).groupBy("motif").agg(F.sum("n").alias("n")).collect()} == {"path2": 4}
+
+
 def test_batches_are_written_once(spark, tmp_path):
     write, out = mining.append_once(str(tmp_path / "out")), str(tmp_path / "out")
     for _ in range(2):  # the second time is a replay
