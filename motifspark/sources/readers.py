@@ -34,8 +34,13 @@ def write_edge_list(edges: DataFrame, path: str, format_: str = "text") -> None:
 
 
 def scratch_path(spark: SparkSession) -> str:
-    """A new folder in the cluster's shared one; a temporary one only where none is set."""
-    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/motifspark-scratch"
+    """A new folder in the cluster's shared one.  Where none is set, a temporary one in local mode (tests); elsewhere that is an error."""
+    shared = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
+    if not shared:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        shared = f"file://{tempfile.gettempdir()}/motifspark-scratch"
     return f"{shared.rstrip('/')}/edges-{uuid.uuid4().hex[:12]}"
 
 

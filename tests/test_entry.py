@@ -28,7 +28,7 @@ sys.path.insert(0, {str(ROOT)!r})
 class Gone:
     def find_spec(self, name, path=None, target=None):
         if name.startswith("motifspark.llm") or name == "corpus_pipeline":
-            raise ImportError(name)
+            raise ModuleNotFoundError(name, name=name)
 sys.meta_path.insert(0, Gone())
 import __spark_entry__ as e
 assert not [k for k in e.queries() if k.startswith("op")] and "comine_C3_msg" in e.queries() and e.oracle_sql()
