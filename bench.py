@@ -17,7 +17,7 @@ import time
 
 from pyspark.sql import SparkSession
 
-CAP, TOTAL, REPEATS = float(os.environ.get("BENCH_CAP", "25")), float(os.environ.get("BENCH_TOTAL", "600")), int(os.environ.get("BENCH_REPEATS", "3"))
+CAP, TOTAL, REPEATS = float(os.environ.get("BENCH_CAP", "25")), float(os.environ.get("BENCH_TOTAL", "720")), int(os.environ.get("BENCH_REPEATS", "3"))
 
 
 def main() -> None:
