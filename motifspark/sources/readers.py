@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
+import functools
+import shutil
 import tempfile
 import uuid
 
@@ -33,6 +36,14 @@ def write_edge_list(edges: DataFrame, path: str, format_: str = "text") -> None:
         rows.write.format(format_).save(path)
 
 
+@functools.cache
+def local_scratch() -> str:
+    """This process's temporary folder, which goes with it."""
+    folder = tempfile.mkdtemp(prefix="motifspark-")
+    atexit.register(shutil.rmtree, folder, True)
+    return folder
+
+
 def scratch_path(spark: SparkSession) -> str:
     """A new folder in the cluster's shared one.  Where none is set, a temporary one in local mode (tests); elsewhere that is an error."""
     shared = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or spark.conf.get("spark.checkpoint.dir", None)
@@ -40,7 +51,7 @@ def scratch_path(spark: SparkSession) -> str:
         master = spark.sparkContext.master
         if not master.startswith("local") or master.startswith("local-cluster"):
             raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-        shared = f"file://{tempfile.gettempdir()}/motifspark-scratch"
+        shared = f"file://{local_scratch()}"
     return f"{shared.rstrip('/')}/edges-{uuid.uuid4().hex[:12]}"
 
 
