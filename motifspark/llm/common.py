@@ -6,7 +6,10 @@ read them again after another one is lost.
 
 from __future__ import annotations
 
+import atexit
+import functools
 import json
+import shutil
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -25,6 +28,14 @@ BROADCAST_BYTES = 64 << 20
 ASCII_SPACE = r"[\x20\x09-\x0D]+"
 
 
+@functools.cache
+def local_scratch() -> str:
+    """This process's temporary folder, which goes with it."""
+    folder = tempfile.mkdtemp(prefix="motifspark-")
+    atexit.register(shutil.rmtree, folder, True)
+    return folder
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The cluster's shared folder.  Where none is set, a temporary one in local mode (tests); elsewhere that is an error."""
     conf = spark.sparkContext.getConf()
@@ -33,7 +44,7 @@ def shared_dir(spark: SparkSession) -> str:
         master = spark.sparkContext.master
         if not master.startswith("local") or master.startswith("local-cluster"):
             raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-        found = "file://" + tempfile.gettempdir() + "/motifspark-scratch"
+        found = "file://" + local_scratch()
     return found.rstrip("/")
 
 
