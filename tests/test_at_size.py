@@ -1,11 +1,15 @@
 """Work that grew faster than its input: copies of edges, frontiers, equal edges."""
 
+from dataclasses import replace
+
 import numpy as np
 
-from motifspark import balance, kernels
+from motifspark import api, balance, kernels
+from motifspark.api import MineSpec, mine
 from motifspark.catalog import MOTIFS, group
 from motifspark.engines import brute, epochs
 from motifspark.graph import TemporalGraph
+from motifspark.motif import Motif
 from motifspark.tree import PrefixTree
 
 EDGE = "edge_id bigint, src bigint, dst bigint, t bigint, tie bigint"
@@ -51,3 +55,22 @@ def test_last_edges_to_new_vertices_are_counted_by_rank():
         for q, _, n in source:
             total[q] = total.get(q, 0) + n
     assert total == {k: n for k, n in want.items() if n} and search.work < want["in_star3"] + want["out_star3"]
+
+
+def test_large_frontiers_are_not_made(spark, monkeypatch):
+    """Where frontiers are expected to be too large, levels and sql search slabs; equal edges, loops, predicates and anchors count as before."""
+    rows = [(k, a, b, t // 40, k) for k, a, b, t, _ in drawn(500, 5, 800, 11)]  # days: many equal edges
+    g = graph(spark, rows)
+    motifs = [MOTIFS[m] for m in ("in_star3", "bifan", "tri_cycle", "path2")] + [Motif("odd", MOTIFS["path2"].edges, ("src % 2 = 1", None))]
+    whole = MineSpec(g, motifs, 3, engine="levels")
+    counts = lambda s: {r.motif: r.n for r in mine(s).collect()}
+    want = counts(replace(whole, engine="fused"))
+    anchored = counts(replace(whole, engine="fused", anchored="dst < 3"))
+    listed = {tuple(r) for r in mine(replace(whole, motifs=motifs[2:4], engine="fused", mode="enumerate")).collect()}
+    monkeypatch.setattr(api, "FRONTIER_ROWS", 100)
+    monkeypatch.setattr(api, "Frontiers", None)
+    monkeypatch.setattr(balance, "TASK_WORK", 2_000)
+    assert counts(whole) == want and min(want.values()) > 0
+    assert counts(replace(whole, engine="sql")) == want
+    assert counts(replace(whole, anchored="dst < 3")) == anchored != want
+    assert {tuple(r) for r in mine(replace(whole, motifs=motifs[2:4], mode="enumerate")).collect()} == listed
