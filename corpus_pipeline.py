@@ -14,31 +14,36 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from motifspark.llm import decontaminate, exact_dedup, jaccard_join, packing, toxicity
-from motifspark.llm.common import Scratch, scratch_scope
+from motifspark.llm.common import Scratch, relieve, scratch_scope
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity model rejects go."""
+    relieve(spark)
     return toxicity.survivors(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the smallest doc_id stays."""
+    relieve(spark)
     return exact_dedup.survivors(docs)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents that similarity links connect the smallest doc_id stays."""
+    relieve(spark)
     return jaccard_join.survivors(docs)
 
 
 def drop_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a benchmark item go."""
+    relieve(spark)
     return decontaminate.survivors(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """What is left, tokenised and packed into sequences."""
+    relieve(spark)
     return packing.pack(docs)
 
 

@@ -12,13 +12,20 @@ import json
 import shutil
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from contextlib import contextmanager
 
+import numpy as np
+import pyarrow as pa
+from py4j.protocol import Py4JError
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .arrow_text import give_back, map_arrow
+
+#: Edges whose components one task finds by itself (16 bytes each).
+TASK_EDGES = 50_000
 #: Rows that may be broadcast: narrow rows (tens of bytes), so tens of MB at most.
 BROADCAST_ROWS = 500_000
 #: Bytes that wide rows may have together to be broadcast.
@@ -95,6 +102,22 @@ class Scratch:
             delete(self.spark, path)
 
 
+def relieve(spark: SparkSession) -> None:
+    """Memory that the driver has freed goes back to the system: its Python's, its JVM's heap, and what the C library keeps after plans were compiled."""
+    give_back()
+    jvm, array = spark.sparkContext._jvm, spark.sparkContext._gateway.new_array
+    jvm.System.gc()
+    try:  # the bean's own class is not exported: called by the interface's method
+        named = jvm.java.lang.Class.forName
+        kinds, given = array(jvm.java.lang.Class, 4), array(jvm.java.lang.Object, 4)
+        for k, kind in enumerate(("javax.management.ObjectName", "java.lang.String", "[Ljava.lang.Object;", "[Ljava.lang.String;")):
+            kinds[k] = named(kind)
+        given[0], given[1] = jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap"
+        named("javax.management.MBeanServer").getMethod("invoke", kinds).invoke(jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer(), given)
+    except Py4JError:  # a JVM that has no such command
+        pass
+
+
 def local_rows(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     """A small table that the driver made, as a relation of the JVM: no Python worker reads it."""
     names = [f.name for f in T._parse_datatype_string(schema).fields]
@@ -180,15 +203,44 @@ def text_or_empty(c: str = "text") -> Column:
     return F.coalesce(F.col(c), F.lit(""))
 
 
+def least_reachable(v: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Vertices and the smallest vertex that each reaches: labels hang below smaller ones, paths are shortened to their ends."""
+    ids, at = np.unique(np.concatenate((v, w)), return_inverse=True)
+    x, y, c = at[: len(v)], at[len(v) :], np.arange(len(ids))
+    while (c[x] != c[y]).any():
+        least = np.minimum(c[x], c[y])
+        new = c.copy()
+        np.minimum.at(new, c[x], least)
+        np.minimum.at(new, c[y], least)
+        while ((c := new[new]) != new).any():
+            new = c
+    return ids, ids[c]
+
+
+def united(edges: DataFrame) -> DataFrame:
+    """(v, c) of at most TASK_EDGES edges (v, w), in one task."""
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if held := [b for b in batches if b.num_rows]:
+            table = pa.Table.from_batches(held)
+            v, c = least_reachable(table.column(0).to_numpy(), table.column(1).to_numpy())
+            yield pa.RecordBatch.from_arrays([pa.array(v), pa.array(c)], ["v", "c"])
+
+    return map_arrow(edges.select(F.col("v").cast("bigint"), F.col("w").cast("bigint")).repartition(1), work, "v bigint, c bigint")
+
+
 def components(scratch: Scratch, edges: DataFrame, a: str, b: str) -> DataFrame:
     """Connected components of an edge list: rows (v, c), c the smallest vertex reachable.
 
-    Each round takes the smallest label among the neighbours and then the label of that
+    Up to TASK_EDGES edges are one task's work: rounds of joins would make the driver compile dozens
+    of plans and hold a broadcast table for each join.  Beyond that, each round takes the smallest label among the neighbours and then the label of that
     label (pointer jumping), so that long chains take a logarithmic number of rounds.
     Grouping is by partial aggregates; no task collects a vertex's neighbours.
     An empty edge list gives no rows.
     """
     both = edges.select(F.col(a).alias("v"), F.col(b).alias("w")).where("v <> w")
+    if edges.count() <= TASK_EDGES:
+        return scratch.table(united(both), "labels")
     both = scratch.table(both.unionByName(both.select(F.col("w").alias("v"), F.col("v").alias("w"))).distinct(), "edges")
     label = scratch.table(both.groupBy("v").agg(F.least(F.min("w"), F.col("v")).alias("c")), "labels")
     while True:

@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .arrow_text import map_arrow, slices, small_batches, utf8
-from .common import Scratch, components, keepers, row_key, small
+from .common import Scratch, components, keepers, relieve, row_key, small
 from .shingles import shingle_set, word_hashes
 
 SHINGLE, PERCENT = 5, 75
@@ -200,6 +200,7 @@ def components_of(docs: DataFrame, k: int = SHINGLE, percent: int = PERCENT) ->
     links = counted(scratch, docs, rows, star, k, percent)
 
     for again in range(1, ROUNDS + 1):
+        relieve(docs.sparkSession)
         found = components(scratch, links, "x", "y")
         known = own.select("rid", "n").join(found.withColumnRenamed("v", "rid"), "rid", "left").withColumn("c", F.coalesce("c", "rid"))
         labelled = scratch.table(columns.select("token", "rid").join(known, "rid"), "labelled", at := [])

@@ -14,7 +14,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from motifspark.llm import decontaminate, exact_dedup, jaccard_join, language_id, packing, repeated_passages, secret_scan, sharding, toxicity, url_rules
+from motifspark.llm import common, decontaminate, exact_dedup, jaccard_join, language_id, packing, repeated_passages, secret_scan, sharding, toxicity, url_rules
 from motifspark.llm.common import Scratch, components, ranked
 
 DOCS = "doc_id bigint, text string, source string"
@@ -153,6 +153,34 @@ def test_components_of_a_long_chain(spark):
     assert got == {**dict.fromkeys(range(61), 0), 90: 90, 100: 90}
 
 
+def test_components_of_few_edges_are_one_task_s_work(spark, monkeypatch):
+    """Rounds of joins on few edges left the driver with a plan and a broadcast table each; more edges go in rounds as before."""
+    rng = random.Random(11)
+    pairs = [(rng.randrange(-(1 << 62), 1 << 62), rng.randrange(300)) for _ in range(60)] + [(rng.randrange(300), rng.randrange(300)) for _ in range(150)] + [(k, k - 1) for k in range(900, 1000)] + [(7, 7), (2_000, 2_000)]
+    edges = spark.createDataFrame([*pairs, (None, 5), (6, None)], "a bigint, b bigint")
+    spark.sparkContext.setJobGroup("few edges", "")
+    try:
+        got = {r.v: r.c for r in components(Scratch(spark, "few"), edges, "a", "b").collect()}
+        assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("few edges")) <= 6
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    monkeypatch.setattr(common, "TASK_EDGES", 100)
+    assert got == {r.v: r.c for r in components(Scratch(spark, "many"), edges, "a", "b").collect()}
+    links = [(a, b) for a, b in pairs if a != b]
+    assert got == grouped(links, {x for e in links for x in e})
+    assert components(Scratch(spark, "none"), edges.limit(0), "a", "b").count() == 0
+
+
+def test_memory_is_given_back_between_stages(spark, sf_dir, monkeypatch):
+    corpus_pipeline = pytest.importorskip("corpus_pipeline")
+    seen = []
+    monkeypatch.setattr(corpus_pipeline, "relieve", lambda s: seen.append(common.relieve(s)))
+    empty = spark.read.parquet(f"{sf_dir}/documents.parquet").limit(0)
+    for _, stage in corpus_pipeline.STAGES:
+        stage(spark, empty, sf_dir)
+    assert len(seen) == len(corpus_pipeline.STAGES)
+
+
 def test_ranks_have_no_gaps(spark):
     d = spark.range(500).withColumn("g", F.col("id") % 3)
     out = ranked(d, ["g"], [F.col("id")], 7, F.xxhash64("id"), "r").collect()
