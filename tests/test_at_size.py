@@ -87,3 +87,35 @@ def test_ratios_of_groups_from_one_search(spark):
     for name, motifs in groups.items():
         r = measures.work_ratio(MineSpec(g, motifs, 60), name).first()
         assert got[name] == (r.independent, r.shared) and r.shared > 400
+
+
+def test_places_known_from_edges_are_not_searched(monkeypatch):
+    """Candidates whose key is an end of the first or the last edge, and pairs without a later edge, need no search; loops, parallel edges and equal times too."""
+    rows = [(k, a, b, t // 3, k) for k, a, b, t, _ in drawn(900, 6, 900, 21)]
+    tree = PrefixTree.build(list(MOTIFS.values()) + [Motif.parse("loop_out", "AA AB BC"), Motif.parse("in_loop", "AB BB BC")])
+    for ties in ("strict", "sequence"):
+        a = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5)), ties)
+        search, composite, asked = kernels.Search(a, tree, 40), {k: v[0] for k, v in a.by.items()}, set()
+        inner = search.spans
+
+        def compared(p, q, which, key, first, last, a=a, inner=inner, composite=composite, asked=asked):
+            lo, size = inner(p, q, which, key, first, last)
+            want = np.searchsorted(composite[which], key * a.span + a.rank[last], "right")
+            many = np.maximum(np.searchsorted(composite[which], key * a.span + a.last_rank(a.t[first] + 40), "right") - want, 0)
+            assert (size == many).all() and (lo[size > 0] == want[size > 0]).all()
+            asked.add((which, len(p)))
+            return lo, size
+
+        search.spans, total = compared, {}
+        for source in (search.start(np.ones(len(rows), dtype=bool)), search.run()):
+            for q, _, n in source:
+                total[q] = total.get(q, 0) + n
+        assert total == kernels.tally(kernels.generic(tree), a, np.ones(len(rows), dtype=bool), 40) and len(asked) > 6
+    rows = drawn(3_000, 150, 3_000, 4)
+    rows = [(k, 1_000 + a, b % 20, t, k) for k, a, b, t, _ in rows]  # senders receive nothing
+    a, searched, plain = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5))), [], np.searchsorted
+    search = kernels.Search(a, PrefixTree.build(group("C1")), 1_000)
+    monkeypatch.setattr(np, "searchsorted", lambda x, v, *more: searched.append(np.size(v)) or plain(x, v, *more))
+    for source in (search.start(np.ones(len(rows), dtype=bool)), search.run()):
+        list(source)
+    assert search.work > 100_000 and sum(searched) < 2 * search.work
