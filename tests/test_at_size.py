@@ -89,6 +89,35 @@ def test_ratios_of_groups_from_one_search(spark):
         assert got[name] == (r.independent, r.shared) and r.shared > 400
 
 
+def test_budgets_grow_before_copies_outweigh_the_search(spark):
+    """Eight edges for each candidate of the budget: owners by that budget would copy eight edges to look at one."""
+    rows, delta = drawn(4_000, 300, 4_000), 400
+    g, tree = graph(spark, rows), PrefixTree.build(group("D2"))
+    a = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5)))
+    want = kernels.tally(kernels.generic(tree), a, np.ones(len(rows), dtype=bool), delta)
+    r = epochs.run(g.edges, tree, delta, balance.Slabs(delta, 10_000), budget=500, least_work=10, offload="one")
+    assert {x.motif: x.n for x in r.found.collect()} == {k: n for k, n in want.items() if n}
+    assert sum(c[3] for c in r.costs) <= 4 and len(r.costs) <= 4
+
+
+def test_epochs_let_go_of_what_they_shuffled(spark, monkeypatch):
+    """A hub and a small budget, many epochs: each lets its shuffle files go, and few are there at the end."""
+    import time
+
+    rows = [(k, k % 7 + 1, 0, k, k) for k in range(60)] + [(100 + k, 0, k % 7 + 1, 60 + k, 100 + k) for k in range(60)]
+    tracked, called, let_go = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().mapOutputTracker().shuffleStatuses, [], epochs.let_go
+    before = tracked().size()
+    monkeypatch.setattr(epochs, "let_go", lambda s: (called.append(s), let_go(s)))
+    r = epochs.run(graph(spark, rows).edges, PrefixTree.build(group("C1")), 40, balance.Slabs(40, 1000), budget=100, least_work=0)
+    assert len(r.costs) > 3 and len(called) == len(r.costs)
+    for _ in range(20):
+        let_go(spark)
+        time.sleep(0.5)
+        if tracked().size() <= before + 3:
+            break
+    assert tracked().size() <= before + 3
+
+
 def test_places_known_from_edges_are_not_searched(monkeypatch):
     """Candidates whose key is an end of the first or the last edge, and pairs without a later edge, need no search; loops, parallel edges and equal times too."""
     rows = [(k, a, b, t // 3, k) for k, a, b, t, _ in drawn(900, 6, 900, 21)]
