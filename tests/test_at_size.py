@@ -148,3 +148,36 @@ def test_places_known_from_edges_are_not_searched(monkeypatch):
     for source in (search.start(np.ones(len(rows), dtype=bool)), search.run()):
         list(source)
     assert search.work > 100_000 and sum(searched) < 2 * search.work
+
+
+def test_epochs_follow_equal_edges_once(spark):
+    """Days as times and few vertices, each edge six times: counts as one by one, loops, predicates, anchors and replicas too, from a sixth of the roots."""
+    rows = [(6 * k + c, a, b, t // 40, 6 * k + c) for k, a, b, t, _ in drawn(90, 5, 800, 11) for c in range(6)]
+    g = graph(spark, rows)
+    motifs = [MOTIFS[m] for m in ("path2", "lollipop", "tri_cycle", "out_star3")] + [Motif("odd", MOTIFS["path2"].edges, ("src % 2 = 1", None)), Motif.parse("loop_out", "AA AB BC")]
+    tree = PrefixTree.build(motifs)
+    a = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5)), passes={"src % 2 = 1": np.array([r[1] % 2 == 1 for r in rows])})
+    tallied = lambda owned: kernels.tally(kernels.generic(tree), a, owned, 5)
+    every, some = tallied(np.ones(len(rows), dtype=bool)), tallied(a.dst < 3)
+    assert min(every.values()) > 0 and len(every) == len(motifs) and some != every
+    r = epochs.run(g.edges, tree, 5, balance.Slabs(5, 100, (), 2), budget=150, least_work=400)
+    assert {x.motif: x.n for x in r.found.collect()} == every and len(r.costs) > 1
+    assert r.costs[0][1] <= 2 * 90 * len(tree.prefixes())
+    r = epochs.run(g.edges, tree, 5, balance.Slabs(5, 10), anchored="dst < 3")
+    assert {x.motif: x.n for x in r.found.collect()} == some
+
+
+def test_only_owners_with_contexts_get_edges(spark, monkeypatch, tmp_path):
+    """A task's contexts stay together: they have one owner, whatever the work would ask for; budgets double in the end, and no contexts are left behind."""
+    from pyspark.sql.group import GroupedData
+
+    rows = [(k, k % 7 + 1, 0, k, k) for k in range(200)] + [(300 + k, 0, k % 7 + 1, 200 + k, 300 + k) for k in range(200)]
+    a, tree, copies = kernels.Adjacency(*(np.array([r[k] for r in rows], dtype=np.int64) for k in range(5))), PrefixTree.build(group("D2")), []
+    cogroup = GroupedData.cogroup
+    monkeypatch.setattr(GroupedData, "cogroup", lambda self, other: (copies.append(other._df.count()), cogroup(self, other))[1])
+    monkeypatch.setattr(epochs, "scratch_path", lambda s: f"file://{tmp_path}/epochs")
+    r = epochs.run(graph(spark, rows).edges, tree, 150, balance.Slabs(150, 1000), budget=100, least_work=0, offload="one")
+    want = kernels.tally(kernels.generic(tree), a, np.ones(len(rows), dtype=bool), 150)
+    assert {x.motif: x.n for x in r.found.collect()} == {k: n for k, n in want.items() if n}
+    assert r.costs[0][2] > 3_000 and 3 < len(r.costs) <= 12 and set(copies) == {len(rows)}
+    assert all(p.name.endswith("-counts") for p in (tmp_path / "epochs").iterdir())
